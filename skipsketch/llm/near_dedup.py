@@ -8,8 +8,9 @@ Jaccard similarity, and what may reach the threshold is confirmed on the full sh
 
 No group is expanded into all its pairs.  Copies with equal sets collapse into one vertex first.  In each
 band's bucket every member is then compared with one hub, the member that meets most others over all bands.
-Confirmed links merge vertices into components; only members of one bucket that are still in different
-components, and whose packed registers allow the threshold, are compared afterwards, all of them.
+Confirmed links merge vertices into components.  Members of one bucket share its hub; those around a hub that
+are still in different components are compared in blocks, by registers first and then on the full sets, and a
+block yields no more links than join its components.
 
 Defined results: null text, or no words: empty set, a component of its own, kept.  Null doc_id: the row is
 not linked, component_id is null, kept is true.  Repeated rows: each is returned; equal texts have one
@@ -24,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import WordHash, arrow_map, mixed, shingle_hashes, stored
+from skipsketch.llm.common import WordHash, arrow_map, mixed, runs, shingle_hashes, stored, values
 
 REGISTERS, ROWS, BANDS, MANTISSA = 256, 7, 36, 10
 BITS = 64 - 8
@@ -73,19 +74,12 @@ def bands(regs: np.ndarray) -> np.ndarray:
     return out.view(np.int64)
 
 
-def packed(regs: np.ndarray) -> np.ndarray:
-    """Two mixed bits of each register, 32 registers to a 64-bit word."""
-    two = mixed(regs.astype(np.uint64)) & np.uint64(3)
-    shifts = np.arange(32, dtype=np.uint64) * np.uint64(2)
-    return np.bitwise_or.reduce(two.reshape(len(regs), 8, 32) << shifts, axis=2).view(np.int64)
-
-
 #: Chance that two different minima fall on one register: sum over leading-zero counts c of 2^-2(c+1), times 2^-MANTISSA.
 COLLISION = (1 / 3) * 2.0**-MANTISSA
 
 
 def estimate(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Jaccard similarities of two matrices of registers, corrected for registers that agree by chance."""
+    """Jaccard similarities of two matrices of registers (or of one with a row), corrected for registers that agree by chance."""
     share = (a == b).mean(axis=1)
     return np.clip((share - COLLISION) / (1 - COLLISION), 0, 1)
 
@@ -94,18 +88,12 @@ def lowest_estimate(threshold: float) -> float:
     return threshold - SLACK * (threshold * (1 - threshold) / REGISTERS) ** 0.5
 
 
-def most_mismatches(threshold: float) -> int:
-    """Most registers of ``packed`` that may differ; two different minima agree in two bits by a chance of a quarter."""
-    p = (1 - threshold) * 0.75
-    return int(REGISTERS * p + SLACK * (REGISTERS * p * (1 - p)) ** 0.5)
-
-
 def sketched(docs: DataFrame, k: int) -> DataFrame:
     """doc_id, n, key (16 bytes that stand for the set), regs (512 bytes); of an empty set key and regs are null."""
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
         n, key, regs = [], [], []
-        for text in batch.column(1).to_pylist():
+        for text in values(batch.column(1)):
             found = shingles(text, k)
             n.append(len(found))
             key.append(xxhash.xxh3_128_digest(found.tobytes()) if len(found) else None)
@@ -121,50 +109,114 @@ def _matrix(column: pa.Array) -> np.ndarray:
 
 
 def banded(reps: DataFrame) -> DataFrame:
-    """band (hash), v, n, and the packed registers s0..s7: a row for each band of each vertex."""
+    """band (hash), v: a row for each band of each vertex."""
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         if not batch.num_rows:
             return None
-        regs = _matrix(batch.column(2))
-        sig = packed(regs)
-        cols = [pa.array(bands(regs).ravel())]
-        cols += [pa.array(np.repeat(batch.column(i).to_numpy(zero_copy_only=False), BANDS)) for i in (0, 1)]
-        cols += [pa.array(np.repeat(sig[:, i], BANDS)) for i in range(8)]
-        return pa.RecordBatch.from_arrays(cols, ["band", "v", "n", *(f"s{i}" for i in range(8))])
-
-    return arrow_map(reps.select("v", "n", "regs"), each, "band long, v long, n long, " + ", ".join(f"s{i} long" for i in range(8)))
+        v = batch.column(0).to_numpy(zero_copy_only=False)
+        return pa.RecordBatch.from_arrays([pa.array(bands(_matrix(batch.column(1))).ravel()), pa.array(np.repeat(v, BANDS))], ["band", "v"])
 
-
-def mismatches(a: str, b: str) -> F.Column:
-    """Registers whose two packed bits differ, by whole-stage code."""
-    total = F.lit(0)
-    for i in range(8):
-        x = F.col(f"{a}.s{i}").bitwiseXOR(F.col(f"{b}.s{i}"))
-        total = total + F.bit_count(x.bitwiseOR(F.shiftrightunsigned(x, 1)).bitwiseAND(F.lit(0x5555555555555555)))
-    return total
+    return arrow_map(reps.select("v", "regs"), each, "band long, v long")
 
 
 def confirmed(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
     """Of the pairs (a, b) of doc_ids, those whose full sets meet the threshold."""
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-        a, b, x, y = (c.to_pylist() for c in batch.columns)
         keep, last, right = [], None, None
-        for i in range(len(a)):
-            left = shingles(x[i], k)
-            if y[i] != last or right is None:
-                last, right = y[i], shingles(y[i], k)
+        for x, y in zip(values(batch.column(2)), values(batch.column(3))):
+            left = shingles(x, k)
+            if y != last or right is None:
+                last, right = y, shingles(y, k)
             common = len(np.intersect1d(left, right, assume_unique=True))
             keep.append(len(left) > 0 and 100 * common >= percent * (len(left) + len(right) - common))
-        keep = np.array(keep, bool)
-        return pa.RecordBatch.from_arrays([pa.array(np.array(a, np.int64)[keep]), pa.array(np.array(b, np.int64)[keep])], ["a", "b"])
+        return batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     texts = docs.select(F.col("doc_id").cast("long").alias("a"), F.col("text").cast("binary").alias("x"))
     both = pairs.join(texts, "a").join(texts.select(F.col("a").alias("b"), F.col("x").alias("y")), "b").select("a", "b", "x", "y")
     return arrow_map(both, each, "a long, b long")
 
 
+#: Members of a hub's group that are compared with each other at once.
+BLOCK = 256
+
+
+def dealt(members: DataFrame) -> DataFrame:
+    """Members (hub, v, ...) with i, j: blocks of a group, each pair of blocks once, so any two members meet."""
+    size = members.groupBy("hub").agg(F.count("*").alias("m"))
+    n = F.ceil(F.col("m") / BLOCK)
+    own = members.join(size, "hub").withColumn("n", n).withColumn("own", F.pmod(F.xxhash64("v"), F.col("n")))
+    other = own.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
+    return other.select(*members.columns, F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own")
+
+
+def together(rows: DataFrame) -> DataFrame:
+    """Rows of one (hub, i, j) side by side, as ``runs`` needs them."""
+    return rows.repartition("hub", "i", "j").sortWithinPartitions("hub", "i", "j", "v")
+
+
+def hopeful(members: DataFrame, least: float, percent: int) -> DataFrame:
+    """hub, i, j, v, comp, own: members that some other in their blocks may be linked with across components, by their registers."""
+
+    def run(batches):  # noqa: ANN001, ANN202
+        for group in runs(batches, ["hub", "i", "j"]):
+            if group.num_rows < 2:
+                continue
+            n, comp = (group.column(c).to_numpy() for c in ("n", "comp"))
+            regs = _matrix(group.column("regs").combine_chunks())
+            keep = np.zeros(group.num_rows, bool)
+            for x in range(group.num_rows):
+                y = np.flatnonzero((comp != comp[x]) & (np.minimum(n, n[x]) * 100 >= np.maximum(n, n[x]) * percent))
+                if len(y) and not (keep[x] and keep[y].all()):
+                    near = y[estimate(regs[y], regs[x]) >= least]
+                    keep[near] = True
+                    keep[x] |= len(near) > 0
+            if keep.any():
+                yield from group.filter(pa.array(keep)).select(["hub", "i", "j", "v", "comp"]).to_batches()
+
+    return together(members).mapInArrow(run, "hub long, i long, j long, v long, comp long")
+
+
+def crossing_links(rows: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """a, b: links on full sets between components, as many as join what the blocks of ``rows`` link."""
+
+    def run(batches):  # noqa: ANN001, ANN202
+        for group in runs(batches, ["hub", "i", "j"]):
+            v, comp = (group.column(c).to_numpy() for c in ("v", "comp"))
+            sets = [shingles(x, k) for x in values(group.column("text").combine_chunks())]
+            sizes = np.array([len(x) for x in sets])
+            if group.num_rows < 2 or not sizes.all():
+                continue
+            ids = np.unique(np.concatenate(sets), return_inverse=True)[1]
+            ends = np.cumsum(sizes)
+            root = {c: c for c in comp.tolist()}
+
+            def top(c: int) -> int:
+                while root[c] != c:
+                    c = root[c]
+                return c
+
+            a, b = [], []
+            mark = np.zeros(ids.max() + 1, np.int32)
+            for x in range(len(sets)):
+                own = ids[ends[x] - sizes[x] : ends[x]]
+                mark[own] = 1
+                common = np.add.reduceat(mark[ids], ends - sizes)
+                mark[own] = 0
+                for y in np.flatnonzero((100 * common >= percent * (sizes + sizes[x] - common)) & (comp != comp[x])):
+                    one, two = top(int(comp[x])), top(int(comp[y]))
+                    if one != two:
+                        root[max(one, two)] = min(one, two)
+                        a.append(v[x])
+                        b.append(v[y])
+            if a:
+                yield pa.RecordBatch.from_arrays([pa.array(np.array(a)), pa.array(np.array(b))], ["a", "b"])
+
+    texts = docs.select(F.col("doc_id").cast("long").alias("v"), F.col("text").cast("binary").alias("text"))
+    return together(rows.join(texts, "v").select("hub", "i", "j", "v", "comp", "text")).mapInArrow(run, "a long, b long")
+
+
 def components(links: DataFrame) -> DataFrame:
     """v, comp (least vertex reachable) of every vertex in ``links`` (a, b); rounds grow as the log of a chain's length."""
     both = stored(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "links")
@@ -188,7 +240,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     groups = usable.groupBy("key").agg(F.min("doc_id").alias("doc_id"))
     reps = stored(usable.join(groups, ["key", "doc_id"]).dropDuplicates(["key", "doc_id"]).select(F.col("doc_id").alias("v"), "n", "regs"), "vertices")
 
-    rows = banded(reps).select("band", "v", "n", *(f"s{i}" for i in range(8)))
+    rows = banded(reps)
     full = rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1")
     met = stored(rows.join(full, "band"), "met")
     degree = met.groupBy("v").agg(F.sum("m").alias("degree"))
@@ -207,8 +259,8 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
         right = reps.select(F.col("v").alias("b"), F.col("regs").alias("y"))
         return arrow_map(pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y"), scored, "a long, b long, value double")
 
-    starred = met.join(hubs, "band").where("v <> hub").select(F.col("v").alias("a"), F.col("hub").alias("b")).distinct()
-    starred = stored(scored_pairs(starred), "starred")
+    around = stored(met.join(hubs, "band").where("v <> hub").select("v", "hub").distinct(), "around")
+    starred = stored(scored_pairs(around.select(F.col("v").alias("a"), F.col("hub").alias("b"))), "starred")
     best = starred.groupBy("a").agg(F.max(F.struct("value", (-F.col("b")).alias("b"))).alias("t")).select("a", (-F.col("t.b")).alias("b"))
     links = stored(confirmed(best, docs, k, percent), "confirmed")
     comps = components(links)
@@ -216,17 +268,22 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     def label(v: str, name: str) -> F.Column:
         return F.coalesce(F.col(name), F.col(v))
 
-    # what may still join two components: the other hub pairs, and members of one bucket
-    inside = met.join(comps, "v", "left").select(*met.columns, label("v", "comp").alias("comp"))
-    mixed_bands = inside.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("band")
-    open_ = inside.join(mixed_bands, "band").select("band", "v", "n", "comp", *(f"s{i}" for i in range(8)))
-    a, b = open_.alias("l"), open_.alias("r")
-    fits = (F.col("l.band") == F.col("r.band")) & (F.col("l.v") < F.col("r.v")) & (F.col("l.comp") != F.col("r.comp"))
-    fits &= (F.least("l.n", "r.n") * 100 >= F.greatest("l.n", "r.n") * percent) & (mismatches("l", "r") <= most_mismatches(threshold))
-    crossing = a.join(b, fits).select(F.col("l.v").alias("a"), F.col("r.v").alias("b")).distinct()
-    crossing = crossing.join(best.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
-    more = stored(confirmed(scored_pairs(crossing).select("a", "b"), docs, k, percent), "confirmed")
+    def labelled(rows: DataFrame, v: str) -> DataFrame:
+        known = comps.select(F.col("v").alias(v), "comp")
+        return rows.join(known, v, "left").select(*rows.columns, label(v, "comp").alias("comp"))
+
+    # what may still join two components: the other pairs with a hub ...
+    rest = starred.select("a", "b").join(best, ["a", "b"], "left_anti")
+    rest = labelled(labelled(rest, "a").withColumnRenamed("comp", "ca"), "b").where("ca <> comp").select("a", "b")
+    more = stored(confirmed(rest, docs, k, percent), "confirmed")
     comps = components(links.union(more)) if not more.isEmpty() else comps
+    # ... and members that share a hub
+    members = labelled(around, "v")
+    mixed_hubs = members.groupBy("hub").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("hub")
+    sizes = reps.select("v", "n", "regs")
+    blocks = dealt(members.join(mixed_hubs, "hub")).join(sizes, "v").select("hub", "i", "j", "v", "comp", "n", "regs")
+    inner = stored(crossing_links(hopeful(blocks, least, percent), docs, k, percent), "crossing")
+    comps = components(links.union(more).union(inner)) if not inner.isEmpty() else comps
 
     group = usable.groupBy("key").agg(F.min("doc_id").alias("v")).join(comps, "v", "left").select("key", label("v", "comp").alias("comp"))
     return sketches.select("doc_id", "n", "key").join(group, "key", "left").select(

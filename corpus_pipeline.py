@@ -1,14 +1,44 @@
-"""The cleaning pipeline: STAGES in order, each reading what the one before wrote."""
+"""The cleaning pipeline: STAGES in order, each reading what the one before wrote.
+
+toxicity drops documents predicted toxic; line dedup rewrites texts and drops documents of which nothing but
+earlier lines remains; near-dedup keeps one document of each group (five words, similarity 0.8);
+decontamination drops documents by the rule of op3; packing returns the pieces of what is left.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from skipsketch.llm import decontaminate, line_dedup, near_dedup, packing, toxicity
 from skipsketch.llm.common import stored, table
+from skipsketch.llm.queries import tokenizer_path
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return toxicity.scored(docs, table(spark, sf_dir, "labels")).where("predicted = 0").select(*docs.columns)
+
+
+def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return line_dedup.dedup_lines(docs).where("kept").withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+
+
+def drop_near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    gone = near_dedup.near_duplicates(docs, k=5, percent=80).where("not kept").select("doc_id").distinct()
+    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+
+
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark")).select(*docs.columns)
+
+
+def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.packed(docs, packing.definition_of(tokenizer_path()))
+
 
-STAGES = []
+STAGES = [("toxicity", drop_toxic), ("line_dedup", drop_lines), ("near_dedup", drop_near), ("decontamination", drop_contaminated), ("packing", pack)]
 
-#: Tokenizing and packing cannot be written in SQL; tests/llm holds the brute-force version.
+#: Training, tokenizing and packing cannot be written in SQL; tests/llm holds the brute-force versions.
 ORACLE_SQL = None
 
 

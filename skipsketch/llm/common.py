@@ -11,6 +11,8 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from skipsketch.shipping import ship
+
 #: Broadcasts are asked for only below this many rows, counted first.
 BROADCAST_ROWS = 200_000
 
@@ -49,6 +51,8 @@ def small(df: DataFrame, rows: int) -> DataFrame:
 def arrow_map(df: DataFrame, each: Callable[[pa.RecordBatch], pa.RecordBatch | None], schema: str) -> DataFrame:
     """mapInArrow by a function of one batch; batches for which it gives None are left out."""
 
+    ship(df.sparkSession)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if (out := each(batch)) is not None:

@@ -27,6 +27,8 @@ from pyspark.sql import functions as F
 from skipsketch.llm.common import arrow_map
 
 SAMPLE, VOTERS, FEATURES = 20_000, 150, 1_500
+#: Least evidence for a feature: log-likelihood ratio of its toxic share against the share in all texts.
+EVIDENCE = 9.0
 BEGINNINGS = (4, 5, 6)
 _word = re.compile(r"[^\W\d_]+")
 
@@ -61,7 +63,11 @@ def marked(rows: DataFrame) -> list[tuple[str, int, int]]:
         return pa.RecordBatch.from_arrays([pa.array(counts.keys(), pa.string()), pa.array([c[0] for c in counts.values()], pa.int64()), pa.array([c[1] for c in counts.values()], pa.int64())], ["feature", "toxic", "n"])
 
     found = arrow_map(rows, each, "feature string, toxic long, n long").groupBy("feature").agg(F.sum("toxic").alias("toxic"), F.sum("n").alias("n"))
-    top = found.where("toxic >= 3 and toxic >= 0.6 * n").orderBy(F.desc("toxic"), "n", "feature").limit(FEATURES)
+    total = rows.agg(F.sum("toxic").alias("toxic"), F.count("*").alias("n")).first()
+    base = min(max((total["toxic"] or 0) / max(1, total["n"]), 1e-4), 0.5)
+    share = F.col("toxic") / F.col("n")
+    evidence = F.col("toxic") * F.log(share / base) + (F.col("n") - F.col("toxic")) * F.log(F.greatest(1 - share, F.lit(1e-9)) / (1 - base))
+    top = found.where(F.col("toxic") >= 0.85 * F.col("n")).where(evidence >= EVIDENCE).orderBy(F.desc("toxic"), "n", "feature").limit(FEATURES)
     return [tuple(r) for r in top.collect()]
 
 

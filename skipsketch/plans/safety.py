@@ -197,6 +197,8 @@ def _covers(a: Node, b: Node, beneath: bool) -> bool:
 def pushable_predicates(plan: Node, table: str) -> list[str]:
     """Conjuncts that may be applied when the delta of ``table`` is fetched: nothing stateful stands beneath them."""
     out: list[str] = []
+    if sum(s.table == table for s in plan.scans()) > 1:
+        return out  # one log serves both accesses
 
     def visit(n: Node) -> None:
         if isinstance(n, Filter) and not any(isinstance(x, (Aggregate, Distinct, TopK, Project, UnionAll)) for x in n.child.walk()):

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import WordHash, arrow_map, mixed, stored
+from skipsketch.llm.common import WordHash, arrow_map, mixed, stored, values
 
 MIN_WORDS = 10
 LAST = (1 << 63) - 1
@@ -38,23 +38,26 @@ def words(line: bytes) -> list[bytes]:
 
 
 def halves(found: list[bytes]) -> list[int]:
-    """Hashes of the heads and tails, one of which any line within one edit shares."""
+    """Hashes of the heads and tails, one of which any line within one edit shares; odd ones are of tails."""
     n = len(found)
-    heads = {b"h" + b" ".join(found[:t]) for t in (n // 2, (n + 1) // 2)}
-    tails = {b"t" + b" ".join(found[n - t :]) for t in ((n - 1) // 2, n // 2)}
-    return [xxhash.xxh64_intdigest(x) - (1 << 63) for x in heads | tails]
+    heads = {xxhash.xxh64_intdigest(b"h" + b" ".join(found[:t])) & ~1 for t in (n // 2, (n + 1) // 2)}
+    tails = {xxhash.xxh64_intdigest(b"t" + b" ".join(found[n - t :])) | 1 for t in ((n - 1) // 2, n // 2)}
+    return [x - (1 << 63) for x in heads | tails]
 
 
-def variants(found: list[bytes]) -> np.ndarray:
-    """Hash of the line without word i, for every i, and of the whole line, last."""
+def variants(found: list[bytes], head: bool = True, tail: bool = True) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the line without word i and the places i, last the hash of the whole line with -1.
+
+    Where only the head is shared with other lines, words in it needn't be deleted, and likewise for the tail.
+    """
+    n = len(found)
     each = mixed(_hash.of(found))
-    base = np.uint64(0x9E3779B97F4A7C15)
-    with np.errstate(over="ignore"):
-        powers = np.cumprod(np.concatenate(([np.uint64(1)], np.full(len(found), base))))
-        head = np.concatenate(([np.uint64(0)], np.cumsum(each * powers[:-1])))
-        moved = np.concatenate(([np.uint64(0)], np.cumsum(each[1:] * powers[: len(found) - 1])))
-        without = head[:-1] + (moved[-1] - moved)
-        return mixed(np.append(without, head[-1])).view(np.int64)
+    powers = np.cumprod(np.concatenate(([np.uint64(1)], np.full(n, np.uint64(0x9E3779B97F4A7C15)))))
+    before = np.concatenate(([np.uint64(0)], np.cumsum(each * powers[:-1])))
+    moved = np.concatenate(([np.uint64(0)], np.cumsum(each[1:] * powers[: n - 1])))
+    places = np.arange(0 if tail else max(0, n // 2 - 1), n if head else min(n, (n + 1) // 2 + 2), dtype=np.int32)
+    without = before[places] + (moved[-1] - moved[places])
+    return mixed(np.append(without, before[-1])).view(np.int64), np.append(places, np.int32(-1))
 
 
 def within_one(a: list[bytes], b: list[bytes]) -> bool:
@@ -77,7 +80,7 @@ def lines(docs: DataFrame, min_words: int) -> DataFrame:
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
         row, at, key, half = [], [], [], []
-        for i, text in enumerate(batch.column(2).to_pylist()):
+        for i, text in enumerate(values(batch.column(2))):
             for j, line in enumerate(text.split(b"\n") if text else []):
                 if found := words(line):
                     row.append(i)
@@ -91,39 +94,41 @@ def lines(docs: DataFrame, min_words: int) -> DataFrame:
 
 
 def texts_of(docs: DataFrame, places: DataFrame) -> DataFrame:
-    """d, t, line, text of the named lines."""
+    """d, t, line, head, tail, text of the named lines; ``places`` has a row (d, t, line, side) for each shared half."""
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-        row, at, out = [], [], []
-        for i, (text, wanted) in enumerate(zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())):
+        row, at, head, tail, out = [], [], [], [], []
+        for i, (text, wanted) in enumerate(zip(values(batch.column(2)), values(batch.column(3)))):
             found = text.split(b"\n")
-            for j in wanted:
+            sides: dict[int, set[int]] = {}
+            for x in wanted:
+                sides.setdefault(x >> 1, set()).add(x & 1)
+            for j, side in sides.items():
                 row.append(i)
                 at.append(j)
+                head.append(0 in side)
+                tail.append(1 in side)
                 out.append(found[j])
         rows = pa.array(row, pa.int64())
-        return pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(at, pa.int32()), pa.array(out, pa.binary())], ["d", "t", "line", "text"])
+        return pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(at, pa.int32()), pa.array(head, pa.bool_()), pa.array(tail, pa.bool_()), pa.array(out, pa.binary())], ["d", "t", "line", "head", "tail", "text"])
 
-    wanted = places.groupBy("d", "t").agg(F.collect_set("line").alias("wanted"))
+    wanted = places.groupBy("d", "t").agg(F.collect_set(F.col("line").cast("long") * 2 + F.col("side")).alias("wanted"))
     found = _docs(docs).join(wanted, ["d", "t"]).select("d", "t", "text", "wanted")
-    return arrow_map(found, each, "d long, t long, line int, text binary")
+    return arrow_map(found, each, "d long, t long, line int, head boolean, tail boolean, text binary")
 
 
 def neighbourhood(found: DataFrame) -> DataFrame:
     """key, gap (the deleted place, -1 of a whole line), d, t, line: a row for each variant."""
 
-    def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-        keys, gaps, rows = [], [], []
-        for i, text in enumerate(batch.column(3).to_pylist()):
-            made = variants(words(text))
-            keys.append(made)
-            gaps.append(np.append(np.arange(len(made) - 1, dtype=np.int32), np.int32(-1)))
-            rows.append(np.full(len(made), i))
-        row = pa.array(np.concatenate(rows) if rows else np.zeros(0, np.int64))
-        flat = [np.concatenate(x) if x else np.zeros(0, kind) for x, kind in ((keys, np.int64), (gaps, np.int32))]
-        return pa.RecordBatch.from_arrays([*map(pa.array, flat), *(batch.column(i).take(row) for i in range(3))], ["key", "gap", "d", "t", "line"])
+    def each(batch: pa.RecordBatch) -> pa.RecordBatch | None:
+        if not batch.num_rows:
+            return None
+        made = [variants(words(text), head, tail) for text, head, tail in zip(*(values(batch.column(c)) for c in ("text", "head", "tail")))]
+        row = pa.array(np.repeat(np.arange(len(made)), [len(k) for k, _ in made]))
+        flat = [pa.array(np.concatenate(x)) for x in zip(*made)]
+        return pa.RecordBatch.from_arrays([*flat, *(batch.column(c).take(row) for c in PLACE)], ["key", "gap", *PLACE])
 
-    return arrow_map(found, each, "key long, gap int, d long, t long, line int")
+    return arrow_map(found.select(*PLACE, "head", "tail", "text"), each, "key long, gap int, d long, t long, line int")
 
 
 def near_earlier(found: DataFrame) -> DataFrame:
@@ -139,7 +144,7 @@ def near_earlier(found: DataFrame) -> DataFrame:
     best = same.union(other).where("b < a").groupBy("a").agg(F.min("b").alias("b"))
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
-        keep = [within_one(words(x), words(y)) for x, y in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist())]
+        keep = [within_one(words(x), words(y)) for x, y in zip(values(batch.column(3)), values(batch.column(4)))]
         return batch.select(PLACE).filter(pa.array(keep, pa.bool_()))
 
     left = found.select(place.alias("a"), F.col("text").alias("x"))
@@ -154,7 +159,7 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     firsts = stored(every.groupBy("key").agg(F.min(F.struct(*PLACE, "halves")).alias("f")).select("key", "f.*"), "firsts")
     half = firsts.where("halves is not null").select(*PLACE, F.explode("halves").alias("half"))
     shared = half.groupBy("half").agg(F.count("*").alias("m")).where("m > 1").select("half")
-    survivors = half.join(shared, "half").select(*PLACE).distinct()
+    survivors = half.join(shared, "half").select(*PLACE, F.col("half").bitwiseAND(F.lit(1)).alias("side"))
     near = near_earlier(stored(texts_of(docs, survivors), "candidates")).select(*PLACE).distinct()
     copies = every.select("key", *PLACE).join(firsts.select("key", F.struct(*PLACE).alias("first")), "key").where(F.struct(*PLACE) != F.col("first")).select(*PLACE)
     return copies.withColumn("near", F.lit(False)).union(near.withColumn("near", F.lit(True)))
@@ -169,7 +174,7 @@ def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
         texts, total, cut, kept = [], [], [], []
-        for text, drop in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
+        for text, drop in zip(values(batch.column(1)), values(batch.column(2))):
             found = text.split(b"\n") if text else []
             drop = set(drop or ())
             left = [x for j, x in enumerate(found) if j not in drop] if drop else found

@@ -16,74 +16,60 @@ doc_ids and repeated rows are packed like any other.  Empty table: empty result.
 
 from __future__ import annotations
 
+import json
 import os
-import re
 import struct
-import sys
-import unicodedata
 import zlib
-from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import arrow_map, stored
+from skipsketch.llm.common import arrow_map, stored, values
 
 LENGTH, CLOSING, FILL, SALTED = 2048, 1, 0.97, 20_000
-#: Code points from here on are left to the tokenizer's own splitting.
-KNOWN = 0x3000
-#: Entries of a worker's memory of pieces of text, and characters that are split at once.
-MEMORY, AT_ONCE = 500_000, 1_500_000
-
-
-def _ranges(of: str) -> str:
-    """A character class of the code points under KNOWN whose category starts with ``of``."""
-    found = [i for i in range(KNOWN) if unicodedata.category(chr(i))[0] == of]
-    cuts = [i for i in range(len(found)) if not i or found[i] != found[i - 1] + 1] + [len(found)]
-    return "".join(f"\\u{found[a]:04x}-\\u{found[b - 1]:04x}" for a, b in zip(cuts, cuts[1:]))
-
-
-@cache
-def _splitter() -> tuple[re.Pattern, re.Pattern]:
-    """The public byte-level pattern: endings after an apostrophe, letters, numbers, other signs, white space."""
-    space = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f"
-    letter, number = _ranges("L"), _ranges("N")
-    return re.compile(f"'(?:[stmd]|re|ve|ll)| ?[{letter}]+| ?[{number}]+| ?[^{space}{letter}{number}]+|[{space}]+(?![^{space}])|[{space}]+"), re.compile(f"[^\\x00-\\u{KNOWN - 1:04x}]")
+#: Fixed value: the public pattern by which this kind of vocabulary splits a text.
+SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
 class Encoder:
-    """Texts to little-endian 32-bit ids by a byte-level BPE, which encodes each piece of the split on its own."""
+    """Texts to little-endian 32-bit ids by a byte-level BPE; special tokens' strings are ordinary text.
+
+    Where the order of the vocabulary is that of the merges, as in the public one, ranks say the same as the
+    merges and the faster library that works on ranks serves; otherwise the definition's own library.
+    """
 
     def __init__(self, definition: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
-
-        self.tokenizer = Tokenizer.from_str(definition)
-        self.tokenizer.encode_special_tokens = True
-        self.known: dict[str, bytes] = {}
-
-    def _learn(self, pieces: set[str]) -> None:
-        if len(self.known) + len(pieces) > MEMORY:
-            self.known.clear()
-        new = [x for x in pieces if x not in self.known]
-        for x, got in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False)):
-            ids = got.ids
-            self.known[x] = struct.pack(f"<{len(ids)}I", *ids)
-
-    def __call__(self, texts: list[str]) -> list[bytes]:
-        split, strange = _splitter()
-        out: list[bytes] = []
-        cut = [None if strange.search(x) else split.findall(x) for x in texts]
-        self._learn(set().union(*(x for x in cut if x)))
-        for text, pieces in zip(texts, cut):
-            if pieces is None:
-                ids = self.tokenizer.encode(text, add_special_tokens=False).ids
-                out.append(struct.pack(f"<{len(ids)}I", *ids))
-            else:
-                out.append(b"".join(map(self.known.__getitem__, pieces)))
-        return out
+        parts = json.loads(definition)
+        split = parts["pre_tokenizer"] or {}
+        self.ranked = None
+        if split.get("type") == "ByteLevel" and split.get("use_regex", True) and not split.get("add_prefix_space") and not parts["normalizer"]:
+            self.ranked = self._by_rank(parts["model"])
+        if self.ranked is None:
+            from tokenizers import Tokenizer
+
+            self.tokenizer = Tokenizer.from_str(definition)
+            self.tokenizer.encode_special_tokens = True
+
+    @staticmethod
+    def _by_rank(model: dict):  # noqa: ANN205
+        import tiktoken
+
+        shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        hidden = [b for b in range(256) if b not in shown]
+        byte = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(hidden)}
+        vocab = model["vocab"]
+        merges = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]]
+        if any(vocab.get(a + b) != 256 + i for i, (a, b) in enumerate(merges)):
+            return None
+        ranks = {bytes(byte[c] for c in x): i for x, i in vocab.items() if i < 256 + len(merges)}
+        return tiktoken.Encoding("own", pat_str=SPLIT, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+
+    def __call__(self, text: str) -> bytes:
+        ids = self.ranked(text) if self.ranked else self.tokenizer.encode(text, add_special_tokens=False).ids
+        return np.array(ids, "<u4").tobytes()
 
 
 _encoders: dict[int, Encoder] = {}
@@ -103,30 +89,22 @@ def pieces(docs: DataFrame, definition: str, length: int = LENGTH) -> DataFrame:
         if tag not in _encoders:
             _encoders[tag] = Encoder(shared.value)
         encode = _encoders[tag]
-        texts = [x or "" for x in batch.column(1).to_pylist()]
         row, start, size, crc, parts, total = [], [], [], [], [], []
-        at = 0
-        while at < len(texts):
-            to, chars = at, 0
-            while to < len(texts) and (to == at or chars + len(texts[to]) <= AT_ONCE):
-                chars += len(texts[to])
-                to += 1
-            for i, ids in enumerate(encode(texts[at:to]), at):
-                ids += struct.pack("<I", CLOSING)
-                n = len(ids) // 4
-                for s in range(0, n, length):
-                    own = ids[4 * s : 4 * (s + length)]
-                    row.append(i)
-                    start.append(s)
-                    size.append(len(own) // 4)
-                    crc.append(zlib.crc32(own))
-                    total.append(n)
-                    cut, p = [], 0
-                    for x in powers(len(own) // 4) if len(own) < 4 * length else ():
-                        cut.append(zlib.crc32(own[4 * p : 4 * (p + x)]))
-                        p += x
-                    parts.append(cut)
-            at = to
+        for i, text in enumerate(values(batch.column(1))):
+            ids = encode(text or "") + struct.pack("<I", CLOSING)
+            n = len(ids) // 4
+            for s in range(0, n, length):
+                own = ids[4 * s : 4 * (s + length)]
+                row.append(i)
+                start.append(s)
+                size.append(len(own) // 4)
+                crc.append(zlib.crc32(own))
+                total.append(n)
+                cut, p = [], 0
+                for x in powers(len(own) // 4) if len(own) < 4 * length else ():
+                    cut.append(zlib.crc32(own[4 * p : 4 * (p + x)]))
+                    p += x
+                parts.append(cut)
         rows = pa.array(row, pa.int64())
         cols = [batch.column(0).take(rows), *(pa.array(x, pa.int64()) for x in (start, size, crc)), pa.array(parts, pa.list_(pa.int64())), pa.array(total, pa.int64())]
         return pa.RecordBatch.from_arrays(cols, ["doc_id", "start", "length", "crc", "parts", "doc_tokens"])

@@ -289,6 +289,6 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     return sketches.select("doc_id", "n", "key").join(group, "key", "left").select(
         "doc_id",
         F.col("n").alias("n_shingles"),
-        F.coalesce("comp", "doc_id").alias("component_id"),
+        F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id")).alias("component_id"),
         F.coalesce(F.coalesce("comp", "doc_id") == F.col("doc_id"), F.lit(True)).alias("kept"),
     )

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import arrow_map
+from skipsketch.llm.common import arrow_map, values
 
 SAMPLE, VOTERS, FEATURES = 20_000, 150, 1_500
 #: Least evidence for a feature: log-likelihood ratio of its toxic share against the share in all texts.
@@ -55,7 +55,7 @@ def marked(rows: DataFrame) -> list[tuple[str, int, int]]:
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
         counts: dict[str, list[int]] = {}
-        for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+        for text, toxic in zip(values(batch.column(0)), values(batch.column(1))):
             for x in features(text):
                 c = counts.setdefault(x, [0, 0])
                 c[0] += toxic
@@ -162,13 +162,13 @@ def scored(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFrame:
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch:
         z = np.full(batch.num_rows, bias)
-        for i, text in enumerate(batch.column(1).to_pylist()):
+        for i, text in enumerate(values(batch.column(1))):
             if text and weights:
                 found: set[str] = set()
                 for word in set(_word.findall(text.lower())):
                     found.update(marks(word))
                 z[i] += sum(weights[x] for x in sorted(found))
-        score = 1 / (1 + np.exp(-np.clip(z, -500, 500)))
+        score = np.where(np.isinf(z), 0.0, 1 / (1 + np.exp(-np.clip(z, -500, 500))))
         cols = [batch.column(0).field(c) for c in own]
         return pa.RecordBatch.from_arrays([*cols, batch.column(2), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], [*own, "held_out", "score", "predicted"])
 

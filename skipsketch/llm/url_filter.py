@@ -94,7 +94,7 @@ def labelled_urls(pages: DataFrame, labels: DataFrame) -> DataFrame:
     return named.join(bad, "doc_id").select("url", "block").distinct()
 
 
-def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str, str]] = RULES, support: float = 0.0005, confidence: float = 0.5) -> DataFrame:
+def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str, str]] = RULES, support: float = 0.0005, confidence: float = 0.6) -> DataFrame:
     """page_id, host, path, rule, verdict, mined_rule, confidence: a row for each page."""
     host, path, url = host_of(F.col("url")), path_of(F.col("url")), F.col("url")
     examples = labelled_urls(pages, labels)

@@ -57,7 +57,8 @@ class RangeSet:
             return F.when(col.isNull(), F.lit(1)).otherwise(F.lit(0))
         if self.count <= TREE:
             return F.when(col.isNull(), F.lit(self.null_fragment)).otherwise(_tree(col, self.cuts, 0, len(self.cuts)))
-        return _searched(self.cuts, self.null_fragment)(col)
+        found = _searched(self.cuts)(F.coalesce(col, F.lit(self.cuts[0])))  # no nulls in pandas, where they would be NaN
+        return F.when(col.isNull(), F.lit(self.null_fragment)).otherwise(found)
 
     def predicate(self, fragments: set[int], attr: str | None = None) -> Column:
         """The condition that a row lies in one of the fragments; adjacent ones are merged, so it can be pushed down."""
@@ -142,7 +143,7 @@ def _tree(col: Column, cuts: tuple, lo: int, hi: int) -> Column:
     return F.when(col < F.lit(cuts[mid]), _tree(col, cuts, lo, mid)).otherwise(_tree(col, cuts, mid + 1, hi))
 
 
-def _searched(cuts: tuple, null: int):  # noqa: ANN202
+def _searched(cuts: tuple):  # noqa: ANN202
     from pyspark.sql import SparkSession
 
     if (spark := SparkSession.getActiveSession()) is not None:
@@ -151,11 +152,7 @@ def _searched(cuts: tuple, null: int):  # noqa: ANN202
 
     @F.pandas_udf("int")
     def fragment(values: pd.Series) -> pd.Series:
-        missing = values.isna().to_numpy()
-        known = values[~missing].to_numpy()
-        out = np.full(len(values), null, np.int32)
-        out[~missing] = np.searchsorted(bounds, known.astype(bounds.dtype) if bounds.dtype != object else known.astype(object), "right")
-        return pd.Series(out)
+        return pd.Series(np.searchsorted(bounds, values.to_numpy().astype(bounds.dtype), "right").astype(np.int32))
 
     return fragment
 

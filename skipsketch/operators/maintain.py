@@ -140,19 +140,15 @@ def is_stale(sketch: Sketch, db: Database) -> bool:
     return any(db[t].version > sketch.version for t in sketch.plan.tables())
 
 
-def maintain(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None) -> dict[int, int]:
-    """Bring the sketch to a version; returns its delta, fragment -> +1 or -1.
-
-    ``extra`` has signed rows of a transaction that isn't committed yet, by table.
-    """
+def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None) -> Annotated | None:
+    """The annotated delta of the sketch's plan since its version, None if nothing changed; moves its operators' state on."""
     version = db.version if version is None else version
     phi, o, m, since = sketch.phi, sketch.options, sketch.measures, sketch.version
     extra = extra or {}
     changed = {t for t in sketch.plan.tables() if db[t].rows_between(since, version) or t in extra}
     m.delta_rows = sum(db[t].rows_between(since, version) for t in changed)
     if not changed:
-        sketch.version = version
-        return {}
+        return None
 
     def log(n: Scan) -> DataFrame:
         rows = db[n.table].changes(since, version)
@@ -239,20 +235,35 @@ def maintain(db: Database, sketch: Sketch, version: int | None = None, extra: di
             parts = [an.join(dl, image(n.right, new), n, small=left_small), an.join(image(n.left, new), dr, n, small=right_small), an.join(dl, dr, n, sign=-1 if new else 1)]
         return an.union(*parts)
 
-    changes = fragment_counts(delta(sketch.plan))
+    return delta(sketch.plan)
+
+
+def maintain(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None) -> dict[int, int]:
+    """Bring the sketch to a version; returns its delta, fragment -> +1 or -1.
+
+    ``extra`` has signed rows of a transaction that isn't committed yet, by table.
+    """
+    version = db.version if version is None else version
+    found = delta_of(db, sketch, version, extra)
+    changes = fragment_counts(found) if found is not None else {}
+    sketch.version = version
+    return merged(sketch.counters, changes)
+
+
+def merged(counters: dict[int, int], changes: dict[int, int]) -> dict[int, int]:
+    """Add to the counters; fragments whose counter left or reached zero are the sketch's delta."""
     out = {}
     for f, n in changes.items():
-        before = sketch.counters.get(f, 0)
+        before = counters.get(f, 0)
         after = before + n
         if after < 0:
             raise ValueError("a fragment is needed by fewer than no rows")
         if (before > 0) != (after > 0):
             out[f] = 1 if after else -1
         if after:
-            sketch.counters[f] = after
+            counters[f] = after
         else:
-            sketch.counters.pop(f, None)
-    sketch.version = version
+            counters.pop(f, None)
     return out
 
 

@@ -61,6 +61,7 @@ class VersionedTable:
     first: int = 0
     path: str = ""
     log: dict[int, int] = field(default_factory=dict)
+    recent: dict[int, list[tuple]] = field(default_factory=dict)  # small deltas that still are on the driver
 
     def __post_init__(self) -> None:
         self.path = self.path or fresh_dir(self.spark, f"log-{self.name}")
@@ -89,6 +90,20 @@ class VersionedTable:
         self.log[version] = self.spark.read.parquet(where).count()  # answered from the files' footers
         return self.log[version]
 
+    def commit_rows(self, version: int, inserts: list[tuple] = (), deletes: list[tuple] = ()) -> int:
+        """Append a small delta given as rows; it stays on the driver until ``flush``."""
+        if version <= self.version:
+            raise ValueError("versions only grow")
+        self.recent[version] = [(*r, 1) for r in inserts] + [(*r, -1) for r in deletes]
+        self.log[version] = len(self.recent[version])
+        return self.log[version]
+
+    def flush(self) -> None:
+        """Write the deltas that are on the driver into the log."""
+        for v in list(self.recent):
+            self.spark.createDataFrame(self.recent[v], signed(self.base.limit(0)).schema).write.parquet(f"{self.path}/{VERSION}={v}")
+            del self.recent[v]
+
     def rows_between(self, since: int, until: int | None = None) -> int:
         """Delta rows in the log after ``since``, from what was noted at their commit; no job runs."""
         until = self.version if until is None else until
@@ -97,9 +112,14 @@ class VersionedTable:
     def changes(self, since: int, until: int | None = None) -> DataFrame:
         """Signed rows of the versions after ``since``; other versions' folders aren't read."""
         until = self.version if until is None else until
-        paths = [f"{self.path}/{VERSION}={v}" for v in sorted(self.log) if since < v <= until]
+        paths = [f"{self.path}/{VERSION}={v}" for v in sorted(self.log) if since < v <= until and v not in self.recent]
         schema = signed(self.base.limit(0)).schema
-        return self.spark.read.schema(schema).parquet(*paths) if paths else self.spark.createDataFrame([], schema)
+        rows = [r for v in sorted(self.recent) if since < v <= until for r in self.recent[v]]
+        written = self.spark.read.schema(schema).parquet(*paths) if paths else None
+        if written is None or rows:
+            held = self.spark.createDataFrame(rows, schema)
+            return held if written is None else written.unionByName(held)
+        return written
 
     def image(self, version: int | None = None) -> DataFrame:
         """The table at a version as signed rows, not consolidated."""

@@ -3,8 +3,8 @@
 The model predicts the characters of a word from the characters before them in the word.  Spark counts the
 words of all documents by language, and from them the character n-grams; modified Kneser-Ney smoothing turns
 the counts into probabilities, which are stored as sorted arrays of hashes with their values.  Scoring looks
-up whole batches of words by binary search and remembers words.  A document's perplexity is that of its
-characters; it is rejected beyond its language's bands, which lie ``WIDE`` interquartile ranges of the log
+up whole batches of words by binary search and remembers words.  A document's perplexity is that of the bytes
+of its words; it is rejected beyond its language's bands, which lie ``WIDE`` interquartile ranges of the log
 perplexity of all documents of that language above and below its quartiles.
 
 The number of n-grams follows the alphabet more than the corpus.  Their count is taken before they are
@@ -17,6 +17,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import uuid
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 from skipsketch.llm.common import WordHash, mixed, shingle_hashes, stored, values
 from skipsketch.shipping import ship
 
-ORDER, ENTRIES, WIDE = 4, 2_000_000, 4.0
+ORDER, ENTRIES, WIDE = 4, 2_000_000, 5.0
 START, END = "\x02", "\x03"
 SYMBOLS = b"#*$%&|<>"
 _hash = WordHash()
@@ -199,26 +200,47 @@ class Model:
         return np.add.reduceat(logp.astype(np.float64), where)
 
 
+_memory: dict[str, dict[str, dict[bytes, float]]] = {}
+#: Words that a worker remembers.
+REMEMBERED = 300_000
+
+
+def _remembered(tag: str, model: Model, langs: list[str], texts: list[list[bytes]]) -> dict[str, dict[bytes, float]]:
+    """Log probabilities by language of at least the words of the texts; new ones are scored together."""
+    if tag not in _memory:
+        _memory.clear()
+        _memory[tag] = {x: {} for x in model.languages}
+    memory = _memory[tag]
+    if sum(map(len, memory.values())) > REMEMBERED:
+        for known in memory.values():
+            known.clear()
+    wanted: dict[str, set[bytes]] = defaultdict(set)
+    for lang, words in zip(langs, texts):
+        wanted[lang].update(words)
+    for lang, words in wanted.items():
+        if lang in memory and (new := [w for w in words if w not in memory[lang]]):
+            memory[lang].update(zip(new, model.words(lang, [w.decode() for w in new]).tolist()))
+    return memory
+
+
 def scored(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, lang, the base counts, base_failed and log_perplexity."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    tag = uuid.uuid4().hex
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known: dict[str, dict[bytes, float]] = defaultdict(dict)
         for batch in batches:
             rows, logs = [], []
-            for lang, text in zip(values(batch.column(1)), values(batch.column(2))):
-                rows.append(base_counts(text))
-                found = text.decode().lower().encode().split()
-                memory = known[lang]
-                if new := [w for w in set(found) if w not in memory]:
-                    if len(memory) + len(new) > 150_000:
-                        memory.clear()
-                        new = list(set(found))
-                    memory.update(zip(new, shared.value.words(lang, [w.decode() for w in new]).tolist()))
-                chars = len(text.decode().lower()) - sum(map(text.count, (b" ", b"\t", b"\n", b"\v", b"\f", b"\r"))) + len(found)
-                logs.append(-sum(map(memory.__getitem__, found)) / chars if found and memory and lang in shared.value.languages else None)
+            for at in range(0, batch.num_rows, 500):
+                texts = batch.column(2).slice(at, 500).to_pylist()
+                langs = batch.column(1).slice(at, 500).to_pylist()
+                found = [t.decode().lower().encode().split() for t in texts]
+                memory = _remembered(tag, shared.value, langs, found)
+                for lang, text, words in zip(langs, texts, found):
+                    rows.append(base_counts(text))
+                    known = memory.get(lang)
+                    logs.append(-sum(map(known.__getitem__, words)) / (sum(map(len, words)) + len(words)) if known and words else None)
             made = list(zip(*rows)) or [[]] * 5
             failed = [r[0] < 50 or 100 * r[4] > 50 * r[0] for r in rows]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(x, pa.int64()) for x in made), pa.array(failed, pa.bool_()), pa.array(logs, pa.float64())], ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity"])

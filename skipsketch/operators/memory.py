@@ -1,7 +1,7 @@
 """Maintenance with the operator state in the driver's memory, for small deltas and bounded state.
 
-What lies below the first aggregation runs as a DataFrame over the delta; its few result rows are gathered and
-go through the aggregation, the conditions above it, the top-k and the merge as Python objects.  Both the
+What lies below the first aggregation runs as a DataFrame over the delta, or, for selections and projections of
+rows that are still on the driver, without a job; its few result rows go through the aggregation, the conditions above it, the top-k and the merge as Python objects.  Both the
 delta and the state are checked against bounds before they are gathered; beyond them use the tables backend.
 """
 
@@ -12,11 +12,12 @@ from dataclasses import dataclass, field
 
 from pyspark.sql import functions as F
 
-from skipsketch.functions.ranges import Partitioning
+from skipsketch.functions.local import NotLocal, compiled, exact
+from skipsketch.functions.ranges import Partitioning, RangeSet
 from skipsketch.operators.aggregate import AggregateOp, argument
 from skipsketch.operators.annotated import Annotated
 from skipsketch.operators.maintain import Options, Sketch, delta_of, full, merged
-from skipsketch.plans.algebra import Aggregate, Filter, M, Node, TopK, UnsupportedForMaintenance, stateful
+from skipsketch.plans.algebra import Aggregate, Filter, M, Node, Project, Scan, TopK, UnsupportedForMaintenance, stateful
 from skipsketch.plans.safety import INF, Interval, intervals
 from skipsketch.sources.delta import Database
 
@@ -157,10 +158,51 @@ class MemorySketch:
         rows = sum(self.db[t].rows_between(self.version, version) for t in self.plan.tables())
         if rows > MOST_DELTA:
             raise UnsupportedForMaintenance("in memory: too large a delta")
+        held = self._local(version)
+        if held is not None:
+            self.version = version
+            return self.apply(held)
         found = delta_of(self.db, Sketch(self.base, self.phi, self.version, {}, options=Options()), version)
         self.version = version
         return self.apply(self.gather(found)) if found is not None else {}
 
+    def _local(self, version: int) -> list[tuple] | None:
+        """The same from rows that are still on the driver, without a job; None where Spark is needed."""
+        steps: list[Node] = []
+        node = self.base
+        while isinstance(node, (Filter, Project)):
+            steps.append(node)
+            node = node.child
+        if not isinstance(node, Scan):
+            return None
+        table = self.db[node.table]
+        wanted = [v for v in table.log if self.version < v <= version]
+        if not all(v in table.recent for v in wanted):
+            return None
+        ranges = self.phi.ranges.get(node.table)
+        if ranges is not None and not isinstance(ranges, RangeSet):
+            return None
+        out = []
+        try:
+            at = {c: i for i, c in enumerate(table.columns)}
+            for row in (r for v in wanted for r in table.recent[v]):
+                frags = [] if ranges is None else [self.phi.offset[node.table] + ranges.fragment_of(row[at[ranges.attr]])]
+                now = {node.prefix + c: row[at[c]] for c in node.columns}
+                keep = True
+                for step in reversed(steps):
+                    if isinstance(step, Filter):
+                        keep = compiled(step.condition)[0](now)
+                        if not keep:
+                            break
+                    else:
+                        now = {n: now[e.strip()] if e.strip() in now else compiled(e)[0](now) for n, e in step.exprs}
+                if keep:
+                    args = tuple(1 if e == "*" else None if now.get(e, 0) is None else exact(now[e] if e in now else compiled(e)[0](now)) for _, _, e in self.node.aggs)
+                    out.append((tuple(now[k] for k in self.node.keys), args, frags, row[-1]))
+        except NotLocal:
+            return None
+        return out
+
     def apply(self, delta: list[tuple]) -> dict[int, int]:
         changes: dict[int, int] = {}
         if self.top:

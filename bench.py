@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import json
 import os
+import random
 import statistics
 import sys
 import time
@@ -42,6 +43,7 @@ def main() -> None:
     from skipsketch.queries import dense
     from skipsketch.session import EagerStrategy, FullMaintenance, LazyStrategy, NoSketch
     from skipsketch.sources.delta import Database
+    from skipsketch.sources.shared import fresh_dir
 
     d = SF_DIR
 
@@ -102,6 +104,21 @@ def main() -> None:
     for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()):
         times[f"mixed_1U5Q_d20_{strategy.name}"] = round(w.run_mixed(spark, d, operations, strategy)[-1]["cum_seconds"], 3)
 
+    rows, groups = int(os.environ.get("BENCH_SYNTHETIC_ROWS", "5000000")), 5000
+    path = fresh_dir(spark, "synthetic")
+    w.write_synthetic(spark, path, rows, groups)
+    rng = random.Random(3)
+    operations = []
+    for i in range(24):
+        lo = rng.uniform(10, groups - 60)
+        operations.append(w.Operation("update", start=(i // 4) * 500, size=200) if i % 4 == 3 else w.Operation("query", lo=round(lo, 1), hi=round(lo + 40, 1)))
+    operations[0] = w.Operation("query", lo=2000, hi=2600)
+    operations = [o if o.kind == "update" or i == 0 else w.Operation("query", lo=2000 + o.lo % 500, hi=2040 + o.lo % 500) for i, o in enumerate(operations)]
+    for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()):
+        found = w.run_synthetic(spark, path, operations, strategy, groups)
+        times[f"synthetic_mixed_{strategy.name}"] = round(found[-1]["cum_seconds"], 3)
+        times[f"synthetic_query_{strategy.name}"] = round(statistics.median(x["seconds"] for x in found[1:] if x["kind"] == "query"), 4)
+
     # counts of what optimizations leave
     db = w.split_database(spark, d, {"lineitem": "l_orderkey", "part": "p_partkey"}, {"lineitem"}, commit=False)
     sketch = capture(db, w.join_having(50000, 5), Partitioning(*both()), options=Options(bloom=True))

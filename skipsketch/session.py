@@ -8,8 +8,9 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 
 from skipsketch.functions.ranges import GridRanges, Partitioning, RangeSet
+from skipsketch.operators.memory import MOST_DELTA, MemorySketch
 from skipsketch.operators.maintain import Options, Sketch, answer, capture, is_stale, maintain, recapture_fragments, supported, with_sketch
-from skipsketch.plans.algebra import Node, template_key
+from skipsketch.plans.algebra import Node, UnsupportedForMaintenance, template_key
 from skipsketch.plans.safety import is_safe
 from skipsketch.sources.catalog import SketchStore
 from skipsketch.sources.delta import Database
@@ -48,12 +49,16 @@ def NoSketch() -> Strategy:  # noqa: N802
 
 
 class Session:
-    """``ranges``: the partition of each table that may be sketched; ``positive``: expressions never negative."""
+    """``ranges``: the partition of each table that may be sketched; ``positive``: expressions never negative.
 
-    def __init__(self, spark: SparkSession, tables: dict[str, DataFrame], ranges: dict[str, RangeSet | GridRanges], strategy: Strategy | None = None, options: Options | None = None, positive: set[str] = frozenset(), persist: bool = False):
+    ``backend``: tables, memory, or auto, which keeps state in memory while it and the deltas are within the
+    bounds of ``operators.memory`` and goes to state tables beyond them.
+    """
+
+    def __init__(self, spark: SparkSession, tables: dict[str, DataFrame], ranges: dict[str, RangeSet | GridRanges], strategy: Strategy | None = None, options: Options | None = None, positive: set[str] = frozenset(), persist: bool = False, backend: str = "tables"):
         self.spark, self.db = spark, Database(spark, tables)
         self.ranges, self.strategy, self.options = ranges, strategy or LazyStrategy(), options or Options()
-        self.positive, self.persist = positive, persist
+        self.positive, self.persist, self.backend = positive, persist, backend
         self.store = SketchStore(spark)
         self.pending: dict[str, int] = {}
         self.counts = {"captured": 0, "maintained": 0, "recaptured": 0, "reused": 0, "plain": 0}
@@ -80,7 +85,7 @@ class Session:
         found = self.store.find(plan)
         if found is None:
             found = f"sketch-{len(self.store.entries)}"
-            self.store.put(found, capture(self.db, plan, phi, options=self.options), self.persist)
+            self.store.put(found, self._capture(plan, phi), self.persist)
             self.counts["captured"] += 1
         else:
             self.counts["reused"] += 1
@@ -89,6 +94,15 @@ class Session:
             self._maintain(found)
         return with_sketch(self.db, sketch, plan=plan)
 
+    def _capture(self, plan: Node, phi: Partitioning) -> Sketch | MemorySketch:
+        if self.backend != "tables":
+            try:
+                return MemorySketch(self.db, plan, phi)
+            except UnsupportedForMaintenance:
+                if self.backend == "memory":
+                    raise
+        return capture(self.db, plan, phi, options=self.options)
+
     def _full(self, plan: Node, phi: Partitioning) -> DataFrame:
         found = self.store.find(plan)
         sketch = self.store.get(found) if found else None
@@ -104,7 +118,16 @@ class Session:
 
     def _maintain(self, sketch_id: str) -> dict[int, int]:
         sketch = self.store.get(sketch_id)
-        changes = maintain(self.db, sketch)
+        if isinstance(sketch, MemorySketch):
+            try:
+                changes = sketch.maintain()
+            except UnsupportedForMaintenance:  # too large a delta: capture again, on tables
+                new = capture(self.db, sketch.plan, sketch.phi, options=self.options)
+                changes = {f: 1 if f in new.fragments else -1 for f in new.fragments ^ sketch.fragments}
+                sketch = new
+                self.counts["recaptured"] += 1
+        else:
+            changes = maintain(self.db, sketch)
         self.counts["maintained"] += 1
         self.pending[sketch_id] = 0
         self.store.put(sketch_id, sketch, self.persist)
@@ -115,6 +138,16 @@ class Session:
         self.db.update(changes)
         return self._after(set(changes))
 
+    def update_rows(self, table: str, inserts: list[tuple] = (), deletes: list[tuple] = ()) -> dict[str, dict[int, int]]:
+        """The same with a small delta given as rows, which stay on the driver until there are many."""
+        self.db.version += 1
+        log = self.db[table]
+        log.commit_rows(self.db.version, inserts, deletes)
+        out = self._after({table})
+        if sum(map(len, log.recent.values())) > MOST_DELTA:
+            log.flush()
+        return out
+
     def update_delta(self, deltas: dict[str, DataFrame]) -> dict[str, dict[int, int]]:
         """The same with signed rows."""
         self.db.version += 1

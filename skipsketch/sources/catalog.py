@@ -54,8 +54,13 @@ def _state(spark: SparkSession, d: dict) -> AdditiveState:
 
 
 def describe(sketch: Sketch) -> str:
-    """All of a sketch as JSON: its states are files already, so this is what evicting it from memory keeps."""
+    """All of a sketch as JSON: its states are files already, so this is what evicting it from memory keeps.
+
+    A sketch whose state is in memory keeps its fragments; restored, it can be used but not maintained.
+    """
     ops = []
+    if not isinstance(sketch, Sketch):
+        sketch = Sketch(sketch.plan, sketch.phi, sketch.version, sketch.counters)
     for n in dict.fromkeys(sketch.plan.walk()):
         op = sketch.ops.get(n)
         if isinstance(op, TopKOp):

@@ -8,9 +8,11 @@ left to those who need plain rows.
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from functools import cached_property
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from skipsketch.plans.algebra import M
 from skipsketch.sources.shared import fresh_dir
@@ -70,6 +72,10 @@ class VersionedTable:
     def columns(self) -> list[str]:
         return self.base.columns
 
+    @cached_property
+    def delta_schema(self) -> T.StructType:
+        return T.StructType([*self.base.schema.fields, T.StructField(M, T.LongType())])
+
     @property
     def version(self) -> int:
         return max(self.log, default=self.first)
@@ -101,7 +107,7 @@ class VersionedTable:
     def flush(self) -> None:
         """Write the deltas that are on the driver into the log."""
         for v in list(self.recent):
-            self.spark.createDataFrame(self.recent[v], signed(self.base.limit(0)).schema).write.parquet(f"{self.path}/{VERSION}={v}")
+            self.spark.createDataFrame(self.recent[v], self.delta_schema).write.parquet(f"{self.path}/{VERSION}={v}")
             del self.recent[v]
 
     def rows_between(self, since: int, until: int | None = None) -> int:
@@ -113,7 +119,7 @@ class VersionedTable:
         """Signed rows of the versions after ``since``; other versions' folders aren't read."""
         until = self.version if until is None else until
         paths = [f"{self.path}/{VERSION}={v}" for v in sorted(self.log) if since < v <= until and v not in self.recent]
-        schema = signed(self.base.limit(0)).schema
+        schema = self.delta_schema
         rows = [r for v in sorted(self.recent) if since < v <= until for r in self.recent[v]]
         written = self.spark.read.schema(schema).parquet(*paths) if paths else None
         if written is None or rows:

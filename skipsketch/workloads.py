@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import random
 import time
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
@@ -173,32 +173,51 @@ def mixed(updates: int, queries: int, delta: int, n: int, keys: int, seed: int =
             yield Operation("query", lo=round(lo, 2), hi=round(lo + rng.uniform(2000, 28000), 2))
 
 
-def run_mixed(spark: SparkSession, sf_dir: str, operations: list[Operation], strategy: Strategy, p: int = 100) -> list[dict]:
-    """One row for each operation: seconds, cumulated seconds, size of the sketch; capture and maintenance included.
+def run_operations(session: Session, table: str, key: str, operations: list[Operation], plan: Callable[[float, float], Node]) -> list[dict]:
+    """One row for each operation: seconds, cumulated seconds, size of the sketches; capture and maintenance included.
 
-    An update moves orders out of the table in one operation and back in when its turn comes again.
+    An update takes rows out of the table, or puts them back when their turn comes again; which rows is looked
+    up before the clock starts.
     """
-    orders = table(spark, sf_dir, "orders")
-    session = Session(spark, {"orders": orders}, {"orders": key_ranges(spark, sf_dir, "orders", "o_custkey", p)}, strategy, positive=POSITIVE)
-    out, total, gone = [], 0.0, set()
+    base, out, total, gone = session.db[table].base, [], 0.0, {}
     for i, o in enumerate(operations):
+        at = (o.start, o.size)
+        if o.kind == "update" and at not in gone:
+            rows = [tuple(r) for r in base.where(F.col(key).between(o.start, o.start + o.size - 1)).collect()]
         began = time.perf_counter()
         if o.kind == "update":
-            rows = orders.where(F.col("o_orderkey").between(o.start, o.start + o.size - 1))
-            back = (o.start, o.size) in gone
-            gone ^= {(o.start, o.size)}
-            session.update({"orders": (rows, None) if back else (None, rows)})
-            n = o.size
+            if at in gone:
+                session.update_rows(table, inserts=gone.pop(at))
+            else:
+                gone[at] = rows
+                session.update_rows(table, deletes=rows)
         else:
-            session.query(avg_interval(o.lo, o.hi)).collect()
-            n = 0
+            session.query(plan(o.lo, o.hi)).write.format("noop").mode("overwrite").save()
         seconds = time.perf_counter() - began
         total += seconds
-        fragments = {k: len(s.fragments) for k, s in session.store.live.items()}
-        out.append({"op_no": i, "kind": o.kind, "strategy": strategy.name, "delta_rows": n, "seconds": seconds, "cum_seconds": total, "sketch_frags": sum(fragments.values()), "recaptured": session.counts["recaptured"]})
+        out.append({"op_no": i, "kind": o.kind, "strategy": session.strategy.name, "delta_rows": o.size, "seconds": seconds, "cum_seconds": total, "sketch_frags": sum(len(s.fragments) for s in session.store.live.values()), "recaptured": session.counts["recaptured"]})
     return out
 
 
+def run_mixed(spark: SparkSession, sf_dir: str, operations: list[Operation], strategy: Strategy, p: int = 100, backend: str = "auto") -> list[dict]:
+    """The mixed workload on orders: averages by customer inside intervals that vary."""
+    orders = table(spark, sf_dir, "orders").select(*ORDERS.columns)
+    session = Session(spark, {"orders": orders}, {"orders": key_ranges(spark, sf_dir, "orders", "o_custkey", p)}, strategy, positive=POSITIVE, backend=backend)
+    return run_operations(session, "orders", "o_orderkey", operations, avg_interval)
+
+
+def run_synthetic(spark: SparkSession, path: str, operations: list[Operation], strategy: Strategy, groups: int, p: int = 1000) -> list[dict]:
+    """The same on a generated table, written sorted by its group key so that files' statistics can skip."""
+    rows = spark.read.parquet(path)
+    session = Session(spark, {"t": rows}, {"t": equi_width_ranges("t", "a", 0, groups, p)}, strategy, backend="auto")
+    scan = Scan("t", tuple(rows.columns))
+    return run_operations(session, "t", "id", operations, lambda lo, hi: Filter(Aggregate(scan, ("a",), (("v", "avg", "b0"),)), f"v > {lo} and v < {hi}"))
+
+
+def write_synthetic(spark: SparkSession, path: str, rows: int, groups: int, files: int = 40) -> None:
+    synth_table(spark, rows, groups).repartitionByRange(files, "a").sortWithinPartitions("a").write.mode("overwrite").parquet(path)
+
+
 # ---- generator -------------------------------------------------------------------------------------------
 
 

@@ -383,3 +383,32 @@ def test_entry_without_training_data_operators():
 
     code = "import sys; sys.modules['skipsketch.llm'] = None; import __spark_entry__ as e; assert 'pipeline' not in e.queries() and 'maintain_sum_having' in e.queries()"
     subprocess.run([sys.executable, "-c", code], check=True, cwd=__file__.rsplit("/tests/", 1)[0])
+
+
+def test_sql_frontend(spark):
+    from skipsketch.plans.algebra import UnsupportedForMaintenance
+    from skipsketch.plans.frontend import from_sql
+
+    spark.createDataFrame([(1, 2), (3, 2), (5, 4)], "a long, b long").createOrReplaceTempView("R")
+    spark.createDataFrame([(6, 2), (7, 4)], "c long, d long").createOrReplaceTempView("S")
+    db = Database(spark, {"R": spark.table("R"), "S": spark.table("S")})
+    for sql in (
+        "SELECT b, sum(a) AS s FROM R WHERE a > 0 GROUP BY b HAVING sum(a) > 3",
+        "SELECT b, sum(a) AS s, count(*) AS n FROM R x GROUP BY b HAVING s > 3 AND n < 5",
+        "SELECT a, sum(c) AS s FROM R JOIN S ON b = d WHERE a > 1 GROUP BY a HAVING sum(c) > 5",
+        "SELECT b % 3 AS m, avg(a) AS v FROM R GROUP BY b % 3",
+        "SELECT a + b AS x FROM R WHERE a < 4 OR b = 4",
+        "SELECT DISTINCT b FROM R",
+        "SELECT a, b FROM R ORDER BY a DESC LIMIT 2",
+        "SELECT a FROM R UNION ALL SELECT c FROM S",
+    ):
+        plan = from_sql(spark, sql, ["R", "S"])
+        got = sorted(tuple(float(x) for x in r) for r in answer(db, plan).collect())
+        assert got == sorted(tuple(float(x) for x in r) for r in spark.sql(sql).collect()), (sql, plan)
+        sketch = capture(db, plan, Partitioning(RangeSet("R", "b", (3,))))
+        assert sketch.fragments == recapture_fragments(db, plan, sketch.phi)
+    one = from_sql(spark, "SELECT b, sum(a) AS s FROM R GROUP BY b HAVING sum(a) > 3")
+    assert can_reuse(one, from_sql(spark, "SELECT b, sum(a) AS s FROM R GROUP BY b HAVING sum(a) > 4"))
+    for sql in ("SELECT a FROM R LEFT JOIN S ON b = d", "SELECT count(DISTINCT a) FROM R", "SELECT a FROM R EXCEPT SELECT c FROM S", "SELECT a FROM R LIMIT 3"):
+        with pytest.raises(UnsupportedForMaintenance):
+            from_sql(spark, sql)

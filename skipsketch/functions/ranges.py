@@ -188,6 +188,25 @@ def grid_ranges(table: str, parts: list[RangeSet]) -> GridRanges:
     return GridRanges(table, tuple(parts))
 
 
+#: Runs of adjacent ranges up to which a filter names each run.
+MOST_RUNS = 64
+
+
+def restrict(df: DataFrame, ranges: RangeSet | GridRanges, fragments: set[int]) -> DataFrame:
+    """The rows in the fragments.
+
+    Few runs become one pushed-down condition.  Of many, the files see the envelope of all runs, and the rows
+    inside it are looked up and joined with the list of fragments, which has at most as many rows as there are ranges.
+    """
+    if isinstance(ranges, GridRanges) or len(ranges.runs(fragments)) <= MOST_RUNS:
+        return df.where(ranges.predicate(fragments))
+    runs = ranges.runs(fragments)
+    whole = set(range(runs[0][0], runs[-1][1] + 1)) | (fragments & {ranges.null_fragment})
+    wanted = df.sparkSession.createDataFrame([(f,) for f in sorted(fragments)], "__frag int")
+    inside = annotate(df.where(ranges.predicate(whole)), ranges)
+    return inside.join(F.broadcast(wanted), "__frag", "left_semi").drop("__frag")
+
+
 def split_range(ranges: RangeSet, fragment: int, at: Any) -> tuple[RangeSet, dict[int, set[int]]]:
     """The ranges with one split, and which new fragments each old one becomes."""
     new = ranges_from_bounds(ranges.table, ranges.attr, [*ranges.cuts, at])

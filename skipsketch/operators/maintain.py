@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from skipsketch.functions.bloom import BloomIndex
-from skipsketch.functions.ranges import Partitioning
+from skipsketch.functions.ranges import GridRanges, Partitioning, RangeSet, restrict
 from skipsketch.operators import annotated as an
 from skipsketch.operators.aggregate import AggregateOp
 from skipsketch.operators.annotated import Annotated
@@ -26,6 +26,7 @@ from skipsketch.operators.topk import TopKOp
 from skipsketch.plans.algebra import Aggregate, Distinct, Filter, Join, M, Node, Scan, TopK, UnsupportedForMaintenance, transform
 from skipsketch.plans.safety import output_columns, pushable_predicates
 from skipsketch.sources.delta import Database, expand
+from skipsketch.sources.state import AdditiveState
 
 #: Delta rows up to which that side of a join is broadcast; their number is known from the log.
 BROADCAST_ROWS = 100_000
@@ -283,19 +284,18 @@ def _probed(delta: Annotated, index: BloomIndex, key: str, m: Measures) -> Annot
 
 def with_sketch(db: Database, sketch: Sketch, version: int | None = None, plan: Node | None = None) -> DataFrame:
     """The answer over the sketch's fragments only; the conditions reach the files' statistics."""
-    by = sketch.by_table()
-    return answer(db, plan or sketch.plan, version, {t: sketch.phi.ranges[t].predicate(f) for t, f in by.items()})
+    return answer(db, plan or sketch.plan, version, {t: (sketch.phi.ranges[t], f) for t, f in sketch.by_table().items()})
 
 
-def answer(db: Database, plan: Node, version: int | None = None, where: dict[str, F.Column] | None = None) -> DataFrame:
-    """The plan's plain rows at a version, without sketches."""
+def answer(db: Database, plan: Node, version: int | None = None, only: dict[str, tuple] | None = None) -> DataFrame:
+    """The plan's plain rows at a version; ``only`` has the ranges and fragments to which tables are restricted."""
     version = db.version if version is None else version
     none = Partitioning()
 
     def run(n: Node) -> Annotated:
         if isinstance(n, Scan):
             rows = db[n.table].image(version)
-            return an.scan(n, rows.where(where[n.table]) if where and n.table in where else rows, none)
+            return an.scan(n, restrict(rows, *only[n.table]) if only and n.table in only else rows, none)
         if (out := an.stateless(n, run)) is not None:
             return out
         if isinstance(n, Join):
@@ -307,6 +307,37 @@ def answer(db: Database, plan: Node, version: int | None = None, where: dict[str
     return expand(rows.groupBy(*out.columns).agg(F.sum(M).alias(M)))
 
 
+def rebalance(sketch: Sketch, ranges: RangeSet | GridRanges, moves: dict[int, set[int]]) -> None:
+    """Carry a sketch and its state over to ``ranges``, in which some of its table's ranges were split or merged.
+
+    A count can't be split, so both halves of a range keep it, and a row counted in two merged ranges stays
+    counted twice: the sketch may cover more than it needs until it is captured again, never less.
+    """
+    old, name = sketch.phi, ranges.table
+    new = Partitioning(*(ranges if t == name else r for t, r in old.ranges.items()))
+
+    def moved(fragment: int) -> list[int]:
+        t, f = old.local(fragment)
+        return [new.offset[t] + x for x in (sorted(moves[f]) if t == name else [f])]
+
+    counters: dict[int, int] = {}
+    for f, n in sketch.counters.items():
+        for x in moved(f):
+            counters[x] = counters.get(x, 0) + n
+    pairs = [(f, x) for f in range(old.size) for x in moved(f)]
+    for op in sketch.ops.values():
+        if isinstance(op, TopKOp):
+            raise UnsupportedForMaintenance("capture a top-k again after its ranges changed")
+        op.phi = new
+        if op.state.frags is not None:
+            table = F.broadcast(op.spark.createDataFrame(pairs, "frag int, __new int"))  # a row for each fragment
+            rows = op.state.frags.read().join(table, "frag").drop("frag").withColumnRenamed("__new", "frag")
+            fresh = AdditiveState(op.spark, op.state.frags.keys, ["cnt"])
+            fresh.add(sketch.version, rows.groupBy(*fresh.keys).agg(F.sum("cnt").alias("cnt")))
+            op.state.frags = fresh
+    sketch.phi, sketch.counters = new, counters
+
+
 def supported(plan: Node) -> None:
     known = {"Scan", "Filter", "Project", "Join", "Aggregate", "Distinct", "TopK", "UnionAll"}
     for n in plan.walk():

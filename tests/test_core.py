@@ -412,3 +412,33 @@ def test_sql_frontend(spark):
     for sql in ("SELECT a FROM R LEFT JOIN S ON b = d", "SELECT count(DISTINCT a) FROM R", "SELECT a FROM R EXCEPT SELECT c FROM S", "SELECT a FROM R LIMIT 3"):
         with pytest.raises(UnsupportedForMaintenance):
             from_sql(spark, sql)
+
+
+def test_rebalanced_sketch_stays_sound(spark):
+    rng = random.Random(21)
+    bag = [(a or 0, b) for a, b in random_bag(rng, 30)]
+    for plan, attr in ((PLANS["sum"], "a"), (PLANS["avg"], "b")):
+        from skipsketch.operators.maintain import rebalance
+
+        own = list(bag)
+        db = two(spark, own)
+        sketch = capture(db, plan, Partitioning(RangeSet("R", attr, (2, 4, 6))))
+        for change in (lambda r: split_range(r, 1, 3), lambda r: merge_ranges(r, 0), lambda r: merge_ranges(r, 2)):
+            rebalance(sketch, *change(sketch.phi.ranges["R"]))
+            gone, new = rng.sample(own, 3), [(rng.randrange(9), rng.randrange(6)) for _ in range(3)]
+            for x in gone:
+                own.remove(x)
+            own += new
+            db.update({"R": tuple(spark.createDataFrame(x, "a long, b long") for x in (new, gone))})
+            maintain(db, sketch)
+            assert is_sound(sketch.fragments, recapture_fragments(db, plan, sketch.phi))
+
+
+def test_many_runs(spark):
+    from skipsketch.functions.ranges import restrict
+
+    ranges = RangeSet("t", "x", tuple(range(1, 400)))
+    keep = set(range(11, 391, 2)) | {ranges.null_fragment}
+    df = spark.range(400).selectExpr("id as x").union(spark.sql("select cast(null as bigint)"))
+    assert sorted(r[0] for r in restrict(df, ranges, keep).collect() if r[0] is not None) == list(range(11, 391, 2))
+    assert restrict(df, ranges, keep).where("x is null").count() == 1

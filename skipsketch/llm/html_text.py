@@ -213,3 +213,12 @@ def extracted(pages: DataFrame) -> DataFrame:
 
     kind = pages.schema["page_id"].dataType.simpleString()
     return arrow_map(pages.select("page_id", "url", "html"), each, f"page_id {kind}, url string, text string, n_chars long")
+
+
+def oracle() -> str:
+    """The same in SQL for the pages of the given tables, whose article is marked as such."""
+    article = "regexp_replace(regexp_replace(regexp_extract(html, '(?s)<article>(.*)</article>', 1), '<br>', ' ', 'g'), '</?b>', '', 'g')"
+    parts = f"string_split_regex({article}, '</?(?:p|h1)>')"
+    decoded = "replace(replace(replace(replace(replace(x, '&lt;', '<'), '&gt;', '>'), '&quot;', '\"'), '&#x27;', ''''), '&amp;', '&')"
+    text = f"array_to_string(list_filter(list_transform({parts}, lambda x: trim(regexp_replace({decoded}, '\\s+', ' ', 'g'))), lambda x: x <> ''), chr(10))"
+    return f"SELECT page_id, url, coalesce({text}, '') AS text, length(coalesce({text}, ''))::BIGINT AS n_chars FROM pages"

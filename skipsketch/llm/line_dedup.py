@@ -189,3 +189,23 @@ def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.select(*(F.col(f"`{c}`") for c in own)).schema), "n_lines long", "n_removed long", "n_near long", "kept boolean"])
     return arrow_map(joined, each, schema)
+
+
+def oracle(min_words: int = MIN_WORDS) -> str:
+    """The same in SQL, for documents with distinct doc_ids: all variants of all lines."""
+    words = "regexp_extract_all(translate(line, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+')"
+    return f"""
+    WITH l AS (SELECT doc_id, line, j, doc_id * 1000000 + j AS o, {words} AS w
+               FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS j FROM documents WHERE text <> '')),
+    k AS (SELECT *, array_to_string(w, ' ') AS k FROM l WHERE len(w) > 0),
+    f AS (SELECT k, min(o) AS o, any_value(w) AS w FROM k GROUP BY k),
+    v AS (SELECT o, i, array_to_string(list_concat(w[1 : i - 1], w[i + 1 :]), ' ') AS d FROM (SELECT o, w, unnest(range(1, len(w) + 1)) AS i FROM f WHERE len(w) >= {min_words})),
+    near AS (SELECT v.o FROM v JOIN (SELECT d, i, min(o) AS first FROM v GROUP BY d, i) USING (d, i) WHERE v.o > first
+             UNION SELECT greatest(v.o, f.o) FROM v JOIN f ON v.d = f.k WHERE len(f.w) >= {min_words}),
+    gone AS (SELECT k.o, false AS near FROM k JOIN f USING (k) WHERE k.o <> f.o UNION ALL SELECT o, true FROM near),
+    per AS (SELECT doc_id, string_agg(line, chr(10) ORDER BY j) FILTER (gone.o IS NULL) AS text, count(*) AS n_lines, count(gone.o) AS n_removed,
+                   count(*) FILTER (near) AS n_near, count(gone.o) = 0 OR count(*) FILTER (gone.o IS NULL AND len(w) > 0) > 0 AS kept
+            FROM l LEFT JOIN gone ON gone.o = l.o GROUP BY doc_id)
+    SELECT doc_id, CASE WHEN n_lines IS NULL THEN d.text ELSE coalesce(per.text, '') END AS text, coalesce(n_lines, 0)::BIGINT AS n_lines,
+           coalesce(n_removed, 0)::BIGINT AS n_removed, coalesce(n_near, 0)::BIGINT AS n_near, coalesce(kept, true) AS kept
+    FROM documents d LEFT JOIN per USING (doc_id)"""

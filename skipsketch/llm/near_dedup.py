@@ -292,3 +292,17 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
         F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id")).alias("component_id"),
         F.coalesce(F.coalesce("comp", "doc_id") == F.col("doc_id"), F.lit(True)).alias("kept"),
     )
+
+
+def oracle(k: int, percent: int) -> str:
+    """The same in SQL, by all shared shingles and a recursive walk."""
+    words = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+')"
+    return f"""
+    WITH RECURSIVE w AS (SELECT doc_id, {words} AS w FROM documents),
+    s AS (SELECT DISTINCT doc_id, array_to_string(w[i : i + {k - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - {k - 1}, 1) + 1)) AS i FROM w WHERE len(w) > 0)),
+    n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+    p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS m FROM s a JOIN s b ON a.g = b.g AND a.doc_id <> b.doc_id GROUP BY ALL),
+    l AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * m >= {percent} * (x.n + y.n - m)),
+    c AS (SELECT doc_id AS v, doc_id AS r FROM w UNION SELECT l.b, c.r FROM c JOIN l ON l.a = c.v AND c.r <= l.b),
+    least_ AS (SELECT v, min(r) AS r FROM c GROUP BY v)
+    SELECT doc_id, coalesce(n, 0)::BIGINT AS n_shingles, r AS component_id, r = doc_id AS kept FROM w LEFT JOIN n USING (doc_id) JOIN least_ ON v = doc_id"""

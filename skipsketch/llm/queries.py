@@ -72,6 +72,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op1_line_dedup": line_dedup.oracle(),
     "op3_decontamination": decontaminate.oracle(),
+    "op4_near_dedup": near_dedup.oracle(3, 85),
+    "op6_html_extraction": html_text.oracle(),
     "op9_chat_format": chat.oracle(),
 }

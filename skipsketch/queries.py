@@ -606,3 +606,105 @@ def stream_eager_events(spark: SparkSession, d: str) -> DataFrame:
     stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 3).parquet(source)
     feed(s, "events", signed_stream(stream), fresh_dir(spark, "feed-checkpoint")).awaitTermination()
     return s.query(plan).select("user_id", "n")
+
+
+# ---- further measures and variants -----------------------------------------------------------------------
+
+
+@query("SELECT l_partkey, CAST(sum(l_quantity) AS BIGINT) AS qty FROM lineitem WHERE l_partkey % 2 = 0 GROUP BY 1 HAVING sum(l_quantity) > 700")
+def use_many_runs(spark: SparkSession, d: str) -> DataFrame:
+    """A sketch of more separate runs than a pushed-down condition names."""
+    plan = Filter(Aggregate(Filter(w.LINEITEM, "l_partkey % 2 = 0"), ("l_partkey",), (("qty", "sum", "l_quantity"),)), "qty > 700")
+    db = Database(spark, {"lineitem": w.table(spark, d, "lineitem")})
+    ranges = RangeSet("lineitem", "l_partkey", tuple(range(1, w.table(spark, d, "part").count())))
+    return with_sketch(db, capture(db, plan, Partitioning(ranges))).select("l_partkey", F.col("qty").cast("long").alias("qty"))
+
+
+@query(accurate_sql("lineitem", LI1, "l_partkey", "sum(l_quantity) > 1100", "l_partkey"))
+def maintain_in_memory(spark: SparkSession, d: str) -> DataFrame:
+    from skipsketch.operators.memory import MemorySketch
+
+    db = w.split_database(spark, d, {"lineitem": "l_orderkey"}, commit=False)
+    phi = Partitioning(dense(spark, d, "lineitem", "l_partkey"))
+    sketch = MemorySketch(db, w.sum_having(1100), phi)
+    rows = w.table(spark, d, "lineitem")
+    db.update({"lineitem": (rows.where("l_orderkey % 40 = 0"), rows.where("l_orderkey % 40 = 1"))})
+    sketch.maintain()
+    return sketch_rows(spark, sketch.fragments, phi)
+
+
+@query(accurate_sql("lineitem", LI1, "l_partkey", "sum(l_quantity) > 1100", "l_partkey"))
+def maintain_restored_sketch(spark: SparkSession, d: str) -> DataFrame:
+    """Evicted after its capture, restored from the catalog's files, then maintained."""
+    from skipsketch.sources.catalog import SketchStore
+
+    db = w.split_database(spark, d, {"lineitem": "l_orderkey"}, commit=False)
+    store = SketchStore(spark)
+    store.put("s", capture(db, w.sum_having(1100), Partitioning(dense(spark, d, "lineitem", "l_partkey"))))
+    store.evict("s")
+    other = SketchStore(spark, store.path)
+    other.load()
+    rows = w.table(spark, d, "lineitem")
+    db.update({"lineitem": (rows.where("l_orderkey % 40 = 0"), rows.where("l_orderkey % 40 = 1"))})
+    sketch = other.get("s")
+    maintain(db, sketch)
+    return sketch_rows(spark, sketch)
+
+
+@query("SELECT CAST(v AS INTEGER) AS batch, CAST(ceil(20.0 / greatest(1, ceil(v / 10.0))) AS BIGINT) AS maintained FROM (VALUES (1), (10), (20), (50), (100), (200)) t(v)")
+def eager_batches(spark: SparkSession, d: str) -> DataFrame:
+    """How often twenty updates of ten rows make eager maintenance run, by batch size; rows that wait are counted at the end as one run."""
+    orders = w.table(spark, d, "orders").select(*w.ORDERS.columns)
+    updates = [[tuple(r) for r in part] for part in _tens(orders.where("o_orderkey < 200").orderBy("o_orderkey").collect())]
+    out = []
+    for batch in (1, 10, 20, 50, 100, 200):
+        s = Session(spark, {"orders": orders}, {"orders": dense(spark, d, "orders", "o_custkey")}, EagerStrategy(batch), positive=w.POSITIVE, backend="memory")
+        s.query(w.avg_interval(345000, 355000)).count()
+        for rows in updates:
+            s.update_rows("orders", deletes=rows)
+        if any(s.pending.values()):
+            s.query(w.avg_interval(345000, 355000)).count()
+        out.append((batch, s.counts["maintained"]))
+    return rows_of(spark, out, "batch int, maintained long")
+
+
+def _tens(rows: list) -> Iterable[list]:
+    return (rows[i : i + 10] for i in range(0, len(rows), 10))
+
+
+@query("SELECT 'groups' AS part, count(DISTINCT l_suppkey) AS n FROM lineitem UNION ALL SELECT 'frags', count(*) FROM (SELECT DISTINCT l_suppkey, l_partkey * 10 // ((SELECT max(p_partkey) + 1 FROM part)) FROM lineitem)")
+def state_rows(spark: SparkSession, d: str) -> DataFrame:
+    """Rows of an aggregation's state: groups, and groups by fragments where the attribute is no group key."""
+    sketch = captured(spark, d, Filter(Aggregate(w.LINEITEM, ("l_suppkey",), (("hi", "max", "l_extendedprice"),)), "hi > 90000"), [("lineitem", "l_partkey", 10)])[1]
+    state = next(iter(sketch.ops.values())).state
+    return state.groups.read().agg(F.lit("groups").alias("part"), F.count("*").alias("n")).union(state.frags.read().agg(F.lit("frags"), F.count("*")))
+
+
+@query("SELECT s::INTEGER AS share, count(*) AS fetched FROM lineitem, (VALUES (2), (25), (50), (100)) t(s) WHERE l_orderkey % 40 < 2 AND l_quantity <= s * 0.5 GROUP BY 1")
+def pushdown_by_selectivity(spark: SparkSession, d: str) -> DataFrame:
+    """Delta rows that are fetched when the selection is pushed down, by how much of the delta it keeps."""
+    db = w.split_database(spark, d, {"lineitem": "l_orderkey"})
+    out = None
+    for share in (2, 25, 50, 100):
+        rows = db["lineitem"].changes(0)
+        for p in pushable_predicates(w.selective(share * 0.5, 50000), "lineitem"):
+            rows = rows.where(F.expr(p))
+        one = rows.agg(F.lit(share).alias("share"), F.count("*").alias("fetched"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query("SELECT o_custkey, CAST(sum(o_totalprice::DECIMAL(20,4)) * 100 AS BIGINT) AS cents FROM orders WHERE o_orderkey % 40 <> 1 GROUP BY 1 ORDER BY sum(o_totalprice::DECIMAL(20,4)) DESC, 1 LIMIT 10")
+def sql_frontend_topk(spark: SparkSession, d: str) -> DataFrame:
+    """SQL text to a plan, captured, maintained and answered over its sketch."""
+    from skipsketch.plans.frontend import from_sql
+
+    w.table(spark, d, "orders").createOrReplaceTempView("skipsketch_orders")
+    plan = from_sql(spark, "SELECT o_custkey, sum(o_totalprice) AS total FROM skipsketch_orders GROUP BY o_custkey ORDER BY total DESC LIMIT 10")
+    orders = w.table(spark, d, "orders")
+    db = Database(spark, {"skipsketch_orders": orders.where("o_orderkey % 40 <> 0")})
+    ranges = RangeSet("skipsketch_orders", "o_custkey", dense(spark, d, "orders", "o_custkey").cuts)
+    sketch = capture(db, plan, Partitioning(ranges))
+    db.update({"skipsketch_orders": (orders.where("o_orderkey % 40 = 0"), orders.where("o_orderkey % 40 = 1"))})
+    maintain(db, sketch)
+    return with_sketch(db, sketch).select("o_custkey", (F.col("total") * 100).cast("long").alias("cents"))

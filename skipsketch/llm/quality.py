@@ -20,49 +20,82 @@ from __future__ import annotations
 import uuid
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import WordHash, mixed, shingle_hashes, stored, values
+from skipsketch.llm.common import mixed, stored, values
 from skipsketch.shipping import ship
 
 ORDER, ENTRIES, WIDE = 4, 2_000_000, 5.0
 START, END = "\x02", "\x03"
 SYMBOLS = b"#*$%&|<>"
-_hash = WordHash()
-
-
-def base_counts(text: bytes) -> tuple[int, int, int, int, int]:
-    """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words."""
-    found = text.split()
-    chars = len(text) - int(np.count_nonzero((np.frombuffer(text, np.uint8) & 0xC0) == 0x80)) - len(text) + len(text.translate(None, b" \t\n\v\f\r"))
+WHITE = b" \t\n\v\f\r"
+
+
+class Vocabulary(dict):
+    """word -> number in the order of first sight; ``logs`` has each language's log probabilities by number."""
+
+    def __init__(self) -> None:
+        super().__init__()
+        self.words: list[bytes] = []
+        self.logs: dict[str, np.ndarray] = {}
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = number = len(self.words)
+        self.words.append(word)
+        return number
+
+    def numbers(self, texts: list[list[bytes]]) -> list[np.ndarray]:
+        ends = np.cumsum([len(t) for t in texts])
+        flat = np.fromiter(map(self.__getitem__, chain.from_iterable(texts)), np.int64, int(ends[-1]) if len(ends) else 0)
+        return np.split(flat, ends[:-1]) if len(ends) else []
+
+    def learn(self, model: Model, langs: list[str], numbers: list[np.ndarray]) -> None:
+        """Score the words that are new in a language, together."""
+        by: dict[str, list[np.ndarray]] = defaultdict(list)
+        for lang, own in zip(langs, numbers):
+            by[lang].append(own)
+        for lang, own in by.items():
+            logs = self.logs.get(lang, np.zeros(0, np.float64))
+            if len(logs) < len(self.words):
+                logs = np.concatenate((logs, np.full(len(self.words) + 50_000 - len(logs), np.nan)))
+            every = np.concatenate(own)
+            new = np.unique(every[np.isnan(logs[every])])
+            if len(new):
+                logs[new] = model.words(lang, [self.words[i].decode() for i in new])
+            self.logs[lang] = logs
+
+
+def base_counts(text: bytes, numbers: np.ndarray) -> tuple[int, int, int, int, int]:
+    """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of a text; words are given by number, under 2 ** 21."""
+    chars = len(text.translate(None, WHITE)) - int(np.count_nonzero((np.frombuffer(text, np.uint8) & 0xC0) == 0x80))
     lines: set[bytes] = set()
     again = 0
     for line in text.split(b"\n"):
         if line in lines:
             again += 1
-        elif line.strip(b" \t\n\v\f\r"):
+        elif line.strip(WHITE):
             lines.add(line)
     repeat = 0
-    if len(found) > 3:
-        h = _hash.of(found)
-        h = mixed(mixed(h[:-2] + np.uint64(1)) ^ mixed(mixed(h[1:-1] + np.uint64(2)) ^ h[2:]))
-        order = np.sort(h)
+    if len(numbers) > 3:
+        three = numbers[:-2] | numbers[1:-1] << 21 | numbers[2:] << 42
+        order = np.sort(three)
         twice = order[1:][order[1:] == order[:-1]]
         if len(twice):
-            hit = np.flatnonzero(np.isin(h, twice))
-            covered = np.zeros(len(found), bool)
+            hit = np.flatnonzero(np.isin(three, twice))
+            covered = np.zeros(len(numbers), bool)
             for i in range(3):
                 covered[hit + i] = True
             repeat = int(covered.sum())
-    return len(found), chars, len(text) - len(text.translate(None, SYMBOLS)), again, repeat
+    return len(numbers), chars, len(text) - len(text.translate(None, SYMBOLS)), again, repeat
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
-    """lang, word, n over all documents; words are lower-cased."""
+    """lang, word, n over all documents."""
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -75,7 +108,7 @@ def word_counts(docs: DataFrame) -> DataFrame:
 
         for batch in batches:
             for lang, text in zip(values(batch.column(0)), values(batch.column(1))):
-                counts[lang].update(text.decode().lower().encode().split())
+                counts[lang].update(text.split())
             if sum(map(len, counts.values())) > 200_000:
                 yield from flush()
         yield from flush()
@@ -121,7 +154,7 @@ class Model:
         self.order = order
         self.languages = {x: i for i, x in enumerate(sorted({c[0] for c in counts}))}
         self.floor = {}
-        keys, vals, ckeys, cvals = [], [], [], []
+        keys, vals, weights = [], [], []
         by: dict[str, dict[str, int]] = defaultdict(dict)
         for lang, gram, n in counts:
             by[lang][gram] = n
@@ -135,6 +168,7 @@ class Model:
                     levels[k].setdefault(g, n)
             alphabet = max(1, len(levels[1]))
             self.floor[lang] = 1 / (alphabet + 1)
+            held: list[dict[str, list[float]]] = [{} for _ in range(order + 1)]  # by width: log probability, log back-off weight
             lower: dict[str, float] = {}
             for k in range(1, order + 1):
                 seen = Counter(min(n, 5) for n in levels[k].values())
@@ -145,36 +179,43 @@ class Model:
                 for g, n in levels[k].items():
                     total[g[:-1]] += n
                     freed[g[:-1]] += cut[min(n, 3)]
-                values_: dict[str, float] = {}
+                found_: dict[str, float] = {}
                 for g, n in levels[k].items():
                     c = g[:-1]
-                    under = lower.get(g[1:], self.floor[lang]) if k > 1 else self.floor[lang]
-                    values_[g] = (n - cut[min(n, 3)]) / total[c] + freed[c] / total[c] * under
-                lower = values_
-                code = self.languages[lang]
-                if values_:
-                    keys.append(gram_hash(code, code_points(list(values_)), k)[::k])
-                    vals.append(np.log(np.fromiter(values_.values(), np.float64, len(values_))))
-                    if k > 1:
-                        ckeys.append(gram_hash(code + 4096, code_points(list(total)), k - 1)[:: k - 1])
+                    under = lower.get(g[1:], self.floor[lang])
+                    found_[g] = (n - cut[min(n, 3)]) / total[c] + freed[c] / total[c] * under
+                    held[k][g] = [np.log(found_[g]), 0.0]
+                for c in total:
+                    w = np.log(freed[c] / total[c])
+                    if c:
+                        held[k - 1].setdefault(c, [np.nan, 0.0])[1] = w
                     else:
-                        ckeys.append(np.array([code], np.uint64))
-                    cvals.append(np.log(np.array([freed[c] / total[c] for c in total])))
-        self.keys, self.vals = self._sorted(keys, vals)
-        self.ckeys, self.cvals = self._sorted(ckeys, cvals)
-
-    @staticmethod
-    def _sorted(keys: list[np.ndarray], vals: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-        if not keys:
-            return np.zeros(0, np.uint64), np.zeros(0, np.float32)
-        k, v = np.concatenate(keys), np.concatenate(vals)
-        by = np.argsort(k)
-        return k[by], v[by].astype(np.float32)
-
-    @staticmethod
-    def _find(keys: np.ndarray, vals: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
-        return keys[at] == wanted, vals[at]
+                        self.floor[lang] *= float(np.exp(w))  # the weight of the empty context
+                lower = found_
+            for k in range(1, order + 1):
+                if held[k]:
+                    keys.append(gram_hash(self.languages[lang], code_points(list(held[k])), k)[::k])
+                    vals.append(np.array([v for v, _ in held[k].values()]))
+                    weights.append(np.array([w for _, w in held[k].values()]))
+        flat = np.concatenate(keys) if keys else np.zeros(1, np.uint64)
+        by_key = np.argsort(flat)
+        self.keys = flat[by_key]
+        self.vals = (np.concatenate(vals) if vals else np.full(1, np.nan))[by_key].astype(np.float32)
+        self.weights = (np.concatenate(weights) if weights else np.zeros(1))[by_key].astype(np.float32)
+        # hashes are uniform, so their first bits say where in the sorted array to look
+        self.bits = max(4, min(22, int(len(self.keys)).bit_length() + 3))
+        heads = (self.keys >> np.uint64(64 - self.bits)).astype(np.int64)
+        self.starts = np.searchsorted(heads, np.arange((1 << self.bits) + 1)).astype(np.int32)
+        self.longest = int(np.diff(self.starts).max())
+
+    def find(self, wanted: np.ndarray) -> np.ndarray:
+        """Place of each hash in the arrays, -1 if it isn't there."""
+        at = self.starts[(wanted >> np.uint64(64 - self.bits)).astype(np.int64)]
+        out = np.full(len(wanted), -1, np.int32)
+        for j in range(self.longest):
+            place = np.minimum(at + j, len(self.keys) - 1)
+            out = np.where(self.keys[place] == wanted, place, out)
+        return out
 
     def words(self, lang: str, found: list[str]) -> np.ndarray:
         """Log probability of each word and its end."""
@@ -186,41 +227,25 @@ class Model:
         where = np.flatnonzero(start)
         place = np.arange(len(points)) - np.repeat(where, np.diff(np.append(where, len(points))))
         logp = np.full(len(points), np.log(self.floor[lang]), np.float32)
-        base = self._find(self.ckeys, self.cvals, np.array([code], np.uint64))
-        if base[0][0]:
-            logp += base[1][0]
+        weight = np.zeros(len(points), np.float32)  # of the context that ends at each place, one order lower
         for k in range(1, self.order + 1):
-            at = np.flatnonzero(place >= max(1, k - 1))
-            hit, value = self._find(self.keys, self.vals, gram_hash(code, points, k)[at - k + 1])
+            at = self.find(gram_hash(code, points, k))  # of the n-gram that ends at k - 1, k, ...
+            hit = at >= 0
+            value = np.where(hit, self.vals[at], np.nan)
+            inside = place[k - 1 :] >= k - 1
             if k > 1:
-                known, weight = self._find(self.ckeys, self.cvals, gram_hash(code + 4096, points, k - 1)[at - k + 1])
-                logp[at] += np.where(known, weight, 0)
-            logp[at[hit]] = value[hit]
+                before = np.concatenate(([np.float32(0)], weight[:-1]))
+                logp += np.where(place >= k - 1, before, 0)
+            known = inside & ~np.isnan(value)
+            logp[k - 1 :][known] = value[known]
+            weight = np.concatenate((np.zeros(k - 1, np.float32), np.where(hit & inside, self.weights[at], 0).astype(np.float32)))
         logp[start] = 0
         return np.add.reduceat(logp.astype(np.float64), where)
 
 
-_memory: dict[str, dict[str, dict[bytes, float]]] = {}
+_memory: dict[str, Vocabulary] = {}
 #: Words that a worker remembers.
-REMEMBERED = 300_000
-
-
-def _remembered(tag: str, model: Model, langs: list[str], texts: list[list[bytes]]) -> dict[str, dict[bytes, float]]:
-    """Log probabilities by language of at least the words of the texts; new ones are scored together."""
-    if tag not in _memory:
-        _memory.clear()
-        _memory[tag] = {x: {} for x in model.languages}
-    memory = _memory[tag]
-    if sum(map(len, memory.values())) > REMEMBERED:
-        for known in memory.values():
-            known.clear()
-    wanted: dict[str, set[bytes]] = defaultdict(set)
-    for lang, words in zip(langs, texts):
-        wanted[lang].update(words)
-    for lang, words in wanted.items():
-        if lang in memory and (new := [w for w in words if w not in memory[lang]]):
-            memory[lang].update(zip(new, model.words(lang, [w.decode() for w in new]).tolist()))
-    return memory
+REMEMBERED = 400_000
 
 
 def scored(docs: DataFrame, model: Model) -> DataFrame:
@@ -235,12 +260,15 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
             for at in range(0, batch.num_rows, 500):
                 texts = batch.column(2).slice(at, 500).to_pylist()
                 langs = batch.column(1).slice(at, 500).to_pylist()
-                found = [t.decode().lower().encode().split() for t in texts]
-                memory = _remembered(tag, shared.value, langs, found)
-                for lang, text, words in zip(langs, texts, found):
-                    rows.append(base_counts(text))
-                    known = memory.get(lang)
-                    logs.append(-sum(map(known.__getitem__, words)) / (sum(map(len, words)) + len(words)) if known and words else None)
+                if tag not in _memory or len(_memory[tag]) > REMEMBERED:
+                    _memory.clear()
+                    _memory[tag] = Vocabulary()
+                words = _memory[tag]
+                numbers = words.numbers([t.split() for t in texts])
+                words.learn(shared.value, langs, numbers)
+                for lang, text, own in zip(langs, texts, numbers):
+                    rows.append(base_counts(text, own))
+                    logs.append(-float(words.logs[lang][own].sum()) / (len(text.translate(None, WHITE)) + len(own)) if len(own) and lang in shared.value.languages else None)
             made = list(zip(*rows)) or [[]] * 5
             failed = [r[0] < 50 or 100 * r[4] > 50 * r[0] for r in rows]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(x, pa.int64()) for x in made), pa.array(failed, pa.bool_()), pa.array(logs, pa.float64())], ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity"])

@@ -205,17 +205,21 @@ def test_decontamination_odd(spark):
 # ---- quality -----------------------------------------------------------------------------------------------
 
 
+def counts(text):
+    return quality.base_counts(text.encode(), quality.Vocabulary().numbers([text.encode().split()])[0])
+
+
 def test_quality_base_counts():
     text = "a b c a b c\nx\nx\n\n \n\ny é#&"
     words = re.findall(r"[^\x20\x09-\x0D]+", text)
-    assert quality.base_counts(text.encode()) == (len(words), sum(map(len, words)), 2, 1, 6)
-    assert quality.base_counts(b"") == (0, 0, 0, 0, 0)
+    assert counts(text) == (len(words), sum(map(len, words)), 2, 1, 6)
+    assert counts("") == (0, 0, 0, 0, 0)
     rng = random.Random(1)
     for _ in range(50):
         w = [rng.choice("abcd") for _ in range(rng.randrange(30))]
         grams = [tuple(w[i : i + 3]) for i in range(len(w) - 2)]
         covered = {i + j for i, g in enumerate(grams) if grams.count(g) > 1 for j in range(3)}
-        assert quality.base_counts(" ".join(w).encode())[4] == len(covered)
+        assert counts(" ".join(w))[4] == len(covered)
 
 
 def test_quality_model_is_a_distribution():

@@ -62,7 +62,10 @@ class RangeSet:
 
     def predicate(self, fragments: set[int], attr: str | None = None) -> Column:
         """The condition that a row lies in one of the fragments; adjacent ones are merged, so it can be pushed down."""
-        col = F.col(attr or self.attr)
+        name = attr or self.attr
+        if all(type(c) in (int, float) and c - c == 0 for c in self.cuts):
+            return F.expr(self._text(fragments, f"`{name}`"))  # one call to the JVM, however many runs
+        col = F.col(name)
         out = None
         for lo, hi in self.runs(fragments):
             low, high = self.bounds(lo)[0], self.bounds(hi)[1]
@@ -76,6 +79,20 @@ class RangeSet:
             out = col.isNull() if out is None else out | col.isNull()
         return F.lit(False) if out is None else out
 
+    def _text(self, fragments: set[int], name: str) -> str:
+        def number(x: float) -> str:
+            return f"{x!r}D" if isinstance(x, float) else f"{x}L"
+
+        parts = []
+        for lo, hi in self.runs(fragments):
+            low, high = self.bounds(lo)[0], self.bounds(hi)[1]
+            both = [f"{name} >= {number(low)}"] if low is not None else []
+            both += [f"{name} < {number(high)}"] if high is not None else []
+            parts.append(f"({' and '.join(both)})" if both else f"{name} is not null")
+        if self.null_fragment in fragments:
+            parts.append(f"{name} is null")
+        return " or ".join(parts) or "false"
+
     def bounds(self, fragment: int) -> tuple[Any, Any]:
         """Lower (inclusive) and upper (exclusive) bound; None where unbounded."""
         return (self.cuts[fragment - 1] if fragment > 0 else None, self.cuts[fragment] if fragment < len(self.cuts) else None)

@@ -48,12 +48,7 @@ class MemorySketch:
             raise UnsupportedForMaintenance("in memory: one aggregation, conditions above it, and a top-k")
         self.node, self.base = node, node.child
         self.names = [*node.keys, *(n for n, _, _ in node.aggs)]
-        self.bounds: list[tuple[int, Interval]] = []
-        for condition in self.having:
-            found, rest = intervals(condition)
-            if rest or not set(found) <= set(self.names):
-                raise UnsupportedForMaintenance(f"in memory: {condition}")
-            self.bounds += [(self.names.index(e), i) for e, i in found.items()]
+        self.bounds = self._bounds(self.having)
         self.linear = [i for i, (_, f, _) in enumerate(node.aggs) if f not in ("min", "max")]
         self.ordered = [i for i, (_, f, _) in enumerate(node.aggs) if f in ("min", "max")]
         self.groups: dict[tuple, Group] = {}
@@ -68,6 +63,40 @@ class MemorySketch:
     def by_table(self) -> dict[str, set[int]]:
         return self.phi.split(self.fragments)
 
+    def _bounds(self, conditions: list[str]) -> list[tuple[int, Interval]]:
+        out = []
+        for condition in conditions:
+            found, rest = intervals(condition)
+            if rest or not set(found) <= set(self.names):
+                raise UnsupportedForMaintenance(f"in memory: {condition}")
+            out += [(self.names.index(e), i) for e, i in found.items()]
+        return out
+
+    def _above(self, plan: Node) -> list[tuple[int, Interval]] | None:
+        """The bounds of another query's conditions on the same groups; None if it isn't on them."""
+        conditions = []
+        while isinstance(plan, Filter):
+            conditions.append(plan.condition)
+            plan = plan.child
+        if plan != self.node:
+            return None
+        try:
+            return self._bounds(conditions)
+        except UnsupportedForMaintenance:
+            return None
+
+    def serves(self, plan: Node) -> bool:
+        return self._above(plan) is not None
+
+    def fragments_for(self, plan: Node) -> set[int]:
+        """The accurate sketch of another query that this state serves."""
+        bounds = self._above(plan)
+        out: set[int] = set()
+        for key, g in self.groups.items():
+            if self._row(key, g, bounds) is not None:
+                out.update(g.frags)
+        return out
+
     # ---- from rows to state ------------------------------------------------------------------------------
 
     def _capture(self) -> None:
@@ -102,7 +131,7 @@ class MemorySketch:
     def _new(self) -> Group:
         return Group(0, [0] * len(self.linear), [0] * len(self.linear), {}, [{} for _ in self.ordered], [[] for _ in self.ordered])
 
-    def _row(self, key: tuple, g: Group) -> tuple | None:
+    def _row(self, key: tuple, g: Group, bounds: list[tuple[int, Interval]] | None = None) -> tuple | None:
         """The group's result row, if it has one that meets the conditions."""
         if g.cnt <= 0:
             return None
@@ -114,7 +143,7 @@ class MemorySketch:
             found = g.sorted[j]
             out[i] = None if not found else found[0] if self.node.aggs[i][1] == "min" else found[-1]
         row = (*key, *out)
-        for at, i in self.bounds:
+        for at, i in self.bounds if bounds is None else bounds:
             x = row[at]
             if x is None or not ((x > i.lo or (x == i.lo and not i.lo_open)) and (x < i.hi or (x == i.hi and not i.hi_open))):
                 return None

@@ -61,7 +61,7 @@ class Session:
         self.positive, self.persist, self.backend = positive, persist, backend
         self.store = SketchStore(spark)
         self.pending: dict[str, int] = {}
-        self.counts = {"captured": 0, "maintained": 0, "recaptured": 0, "reused": 0, "plain": 0}
+        self.counts = {"captured": 0, "maintained": 0, "recaptured": 0, "reused": 0, "derived": 0, "plain": 0}
 
     def partitioning(self, plan: Node) -> Partitioning:
         """Ranges of the tables on which a sketch is safe for this plan."""
@@ -83,6 +83,8 @@ class Session:
         if self.strategy.name == "full":
             return self._full(plan, phi)
         found = self.store.find(plan)
+        if found is None and (derived := self._derived(plan, phi)) is not None:
+            return with_sketch(self.db, derived)
         if found is None:
             found = f"sketch-{len(self.store.entries)}"
             self.store.put(found, self._capture(plan, phi), self.persist)
@@ -94,6 +96,19 @@ class Session:
             self._maintain(found)
         return with_sketch(self.db, sketch, plan=plan)
 
+    def _derived(self, plan: Node, phi: Partitioning) -> Sketch | None:
+        """A sketch for other constants above the same groups, from state in memory and without reading a table."""
+        for sketch_id, held in list(self.store.live.items()):
+            if not isinstance(held, MemorySketch) or held.phi.ranges != phi.ranges or not held.serves(plan):
+                continue
+            if is_stale(held, self.db):
+                self._maintain(sketch_id)
+                held = self.store.get(sketch_id)
+            if isinstance(held, MemorySketch):
+                self.counts["derived"] += 1
+                return Sketch(plan, phi, held.version, dict.fromkeys(held.fragments_for(plan), 1))
+        return None
+
     def _capture(self, plan: Node, phi: Partitioning) -> Sketch | MemorySketch:
         if self.backend != "tables":
             try:

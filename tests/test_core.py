@@ -442,3 +442,19 @@ def test_many_runs(spark):
     df = spark.range(400).selectExpr("id as x").union(spark.sql("select cast(null as bigint)"))
     assert sorted(r[0] for r in restrict(df, ranges, keep).collect() if r[0] is not None) == list(range(11, 391, 2))
     assert restrict(df, ranges, keep).where("x is null").count() == 1
+
+
+def test_session_derives_other_intervals_in_memory(spark):
+    rng = random.Random(6)
+    bag = [(a or 0, b) for a, b in random_bag(rng, 30)]
+    s = Session(spark, {"R": spark.createDataFrame(bag, "a long, b long")}, {"R": RangeSet("R", "b", (1, 2, 3, 4, 5))}, LazyStrategy(), backend="memory")
+    for lo, hi in ((8, 20), (0, 9), (5, 40), (12, 13)):
+        want = {}
+        for a, b in bag:
+            want[b] = want.get(b, 0) + a
+        got = s.query(Filter(PLANS["sum"].child, f"s > {lo} and s < {hi}")).collect()
+        assert {r["b"]: int(r["s"]) for r in got} == {b: v for b, v in want.items() if lo < v < hi}
+        new = [(rng.randrange(9), rng.randrange(6)) for _ in range(4)]
+        s.update_rows("R", new, bag[:2])
+        bag = bag[2:] + new
+    assert s.counts["captured"] == 1 and s.counts["derived"] + s.counts["reused"] == 3

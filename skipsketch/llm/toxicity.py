@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import arrow_map, values
+from skipsketch.llm.common import arrow_map, stored, values
 
 SAMPLE, VOTERS, FEATURES = 20_000, 150, 1_500
 #: Least evidence for a feature: log-likelihood ratio of its toxic share against the share in all texts.
@@ -121,7 +121,7 @@ def linear(rows: np.ndarray, cols: np.ndarray, goal: np.ndarray, width: int, rou
 
 def fit(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> tuple[dict[str, float], float, LabelModel]:
     """Weights by feature, the bias, and the label model; no features at all if no label can be used."""
-    rows = sample(docs, labels, most)
+    rows = stored(sample(docs, labels, most), "sample")
     chosen = marked(rows)
     number = {x: i for i, (x, _, _) in enumerate(chosen)}
     if not number:

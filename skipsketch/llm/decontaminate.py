@@ -58,7 +58,8 @@ def contained(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> Data
     wins = stored(windows(benchmark, width).groupBy("words").agg(F.collect_set("item_id").alias("items")).withColumn("id", F.xxhash64("words")), "windows")
     # lower() also maps letters that the rule keeps; it only widens the candidates, which are compared exactly below
     wanted = stored(wins.select(F.explode("words").alias("w")).select(F.lower("w").alias("word")).distinct(), "vocabulary")
-    counts = word_counts(docs, wanted, wanted.count())
+    n_wanted = wanted.count()
+    counts = small(stored(word_counts(docs, wanted, n_wanted), "counts"), n_wanted)
     placed = wins.select("words", "items", F.posexplode("words").alias("at", "w")).withColumn("word", F.lower("w"))
     placed = placed.join(counts, "word", "left").groupBy("words", "items").agg(F.array_sort(F.collect_list(F.struct(F.coalesce("count", F.lit(0)).alias("count"), "at", "word"))).alias("rare"))
     second = F.coalesce(F.try_element_at("rare", F.lit(2)), F.element_at("rare", 1))

@@ -142,11 +142,10 @@ def confirmed(pairs: DataFrame, docs: DataFrame, k: int, percent: int) -> DataFr
 BLOCK = 256
 
 
-def dealt(members: DataFrame) -> DataFrame:
-    """Members (hub, v, ...) with i, j: blocks of a group, each pair of blocks once, so any two members meet."""
-    size = members.groupBy("hub").agg(F.count("*").alias("m"))
+def dealt(members: DataFrame, sizes: DataFrame) -> DataFrame:
+    """Members (hub, v, ...) of the groups in ``sizes`` (hub, m) with i, j: blocks of a group, each pair of blocks once, so any two members meet."""
     n = F.ceil(F.col("m") / BLOCK)
-    own = members.join(size, "hub").withColumn("n", n).withColumn("own", F.pmod(F.xxhash64("v"), F.col("n")))
+    own = members.join(sizes, "hub").withColumn("n", n).withColumn("own", F.pmod(F.xxhash64("v"), F.col("n")))
     other = own.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
     return other.select(*members.columns, F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own")
 
@@ -279,9 +278,9 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     comps = components(links.union(more)) if not more.isEmpty() else comps
     # ... and members that share a hub
     members = labelled(around, "v")
-    mixed_hubs = members.groupBy("hub").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("hub")
-    sizes = reps.select("v", "n", "regs")
-    blocks = dealt(members.join(mixed_hubs, "hub")).join(sizes, "v").select("hub", "i", "j", "v", "comp", "n", "regs")
+    mixed_hubs = members.groupBy("hub").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo <> hi")
+    mixed_hubs = stored(mixed_hubs.select("hub", "m"), "hubs")  # a plain table, so that the join below may split a large hub
+    blocks = dealt(members, mixed_hubs).join(reps.select("v", "n", "regs"), "v").select("hub", "i", "j", "v", "comp", "n", "regs")
     inner = stored(crossing_links(hopeful(blocks, least, percent), docs, k, percent), "crossing")
     comps = components(links.union(more).union(inner)) if not inner.isEmpty() else comps
 

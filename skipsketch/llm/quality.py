@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import mixed, stored, values
+from skipsketch.llm.common import mixed, small, stored, values
 from skipsketch.shipping import ship
 
 ORDER, ENTRIES, WIDE = 4, 2_000_000, 5.0
@@ -285,5 +285,7 @@ def quality(docs: DataFrame, order: int = ORDER, wide: float = WIDE) -> DataFram
     usual = rows.where("not base_failed and log_perplexity is not null").groupBy("lang").agg(F.percentile_approx("log_perplexity", [0.25, 0.75], 10_000).alias("q"))
     low, high = F.element_at("q", 1), F.element_at("q", 2)
     usual = usual.select("lang", (low - wide * (high - low)).alias("low"), (high + wide * (high - low)).alias("high"))
+    usual = stored(usual, "bands")
+    usual = small(usual, usual.count())
     inside = F.coalesce(F.col("log_perplexity").between(F.col("low"), F.col("high")), F.lit(False))
     return rows.join(usual, "lang", "left").select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", (~F.col("base_failed") & inside).alias("kept"), F.exp("log_perplexity").alias("perplexity"))

@@ -7,8 +7,10 @@ up whole batches of words by binary search and remembers words.  A document's pe
 of its words; it is rejected beyond its language's bands, which lie ``WIDE`` interquartile ranges of the log
 perplexity of all documents of that language above and below its quartiles.
 
-The number of n-grams follows the alphabet more than the corpus.  Their count is taken before they are
-gathered; above ``ENTRIES``, those seen least fall away until it is met, as is usual for language models.
+Every n-gram counts at every size.  The number of n-grams follows the alphabet more than the corpus; they are
+counted first, and up to ``ENTRIES`` the model is made on the driver and broadcast.  Above that the same
+probabilities are made by joins: all scored words are counted, so that all their n-grams are in the model and
+none is backed off; the words of each language are joined with their n-grams, and documents with their words.
 
 Defined results: null or empty text has no words and fails the base rules; its perplexity is null.  A null
 language is a language of its own.  Repeated rows are each returned.  Empty table: empty result.  Other
@@ -20,14 +22,16 @@ from __future__ import annotations
 import uuid
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from functools import reduce
 from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import xxhash
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import mixed, small, stored, values
+from skipsketch.llm.common import arrow_map, mixed, small, stored, values
 from skipsketch.shipping import ship
 
 ORDER, ENTRIES, WIDE = 4, 2_000_000, 5.0
@@ -117,21 +121,76 @@ def word_counts(docs: DataFrame) -> DataFrame:
     return source.mapInArrow(run, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
 
 
-def ngram_counts(words: DataFrame, order: int = ORDER) -> DataFrame:
-    """lang, gram, n: n-grams of the highest order, and shorter ones at the beginning of a word."""
-    whole = words.select("lang", "n", F.concat(F.lit(START), F.translate("word", START + END, ""), F.lit(END)).alias("w"))
+def word_grams(words: DataFrame, order: int) -> DataFrame:
+    """lang, word, n, gram: the n-gram that ends at each character of a word and at its end."""
+    whole = words.select("lang", "word", "n", F.concat(F.lit(START), F.translate("word", START + END, ""), F.lit(END)).alias("w"))
     ends = F.sequence(F.lit(2), F.length("w"))
-    grams = whole.select("lang", "n", F.explode(F.transform(ends, lambda i: F.substring(F.col("w"), F.greatest(i - order + 1, F.lit(1)), F.least(i, F.lit(order))))).alias("gram"))
-    return grams.groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+    return whole.select("lang", "word", "n", F.explode(F.transform(ends, lambda i: F.substring(F.col("w"), F.greatest(i - order + 1, F.lit(1)), F.least(i, F.lit(order))))).alias("gram"))
 
 
-def gathered(grams: DataFrame, most: int = ENTRIES) -> list[tuple[str, str, int]]:
-    """The counts on the driver; least seen n-grams left out while there are more than ``most``."""
-    grams = stored(grams, "ngrams")
-    least = 1
-    while grams.where(F.col("n") >= least).count() > most:
-        least *= 2
-    return [(r[0], r[1], r[2]) for r in grams.where(F.col("n") >= least).toLocalIterator()]
+def ngram_counts(words: DataFrame, order: int = ORDER) -> DataFrame:
+    """lang, gram, n: n-grams of the highest order, and shorter ones at the beginning of a word."""
+    return word_grams(words, order).groupBy("lang", "gram").agg(F.sum("n").alias("n"))
+
+
+def gathered(grams: DataFrame) -> list[tuple[str, str, int]]:
+    """The counts on the driver."""
+    return [(r[0], r[1], r[2]) for r in grams.toLocalIterator()]
+
+
+def _cut(i: int) -> Column:
+    """What is taken from n-grams seen ``i`` times (3: or more), from the counts of counts y1 to y4."""
+    y = F.when(F.col("y1") > 0, F.col("y1") / (F.col("y1") + 2 * F.col("y2"))).otherwise(F.lit(0.5))
+    now, then = F.col(f"y{i}"), F.col(f"y{i + 1}")
+    return F.when(now > 0, F.least(F.greatest(i - (i + 1) * y * then / now, F.lit(0.05)), F.lit(i - 0.05))).otherwise(F.lit(0.5 * i))
+
+
+def spread_model(grams: DataFrame, order: int) -> DataFrame:
+    """lang, gram, logp of the n-grams that ``ngram_counts`` gives: the values of ``Model``, by joins."""
+    tail = F.expr("substring(gram, 2)")
+    levels = {}
+    for k in range(order, 0, -1):
+        levels[k] = grams.where(F.length("gram") == k)
+        if k < order:  # an n-gram that begins a word is never the end of a longer one
+            levels[k] = levels[k].union(levels[k + 1].groupBy("lang", tail.alias("gram")).agg(F.count("*").alias("n")))
+        levels[k] = stored(levels[k], f"level-{k}")
+    lower, made = None, []
+    for k in range(1, order + 1):
+        seen = [F.sum((F.col("n") == i).cast("long")).alias(f"y{i}") for i in (1, 2, 3, 4)]
+        cuts = levels[k].groupBy("lang").agg(*seen, F.count("*").alias("alphabet")).select("lang", "alphabet", *(_cut(i).alias(f"c{i}") for i in (1, 2, 3)))
+        cuts = stored(cuts, "cuts")
+        cut = F.when(F.col("n") == 1, F.col("c1")).when(F.col("n") == 2, F.col("c2")).otherwise(F.col("c3"))
+        rows = levels[k].join(small(cuts, cuts.count()), "lang").select("lang", "gram", "n", "alphabet", cut.alias("cut"), F.substring("gram", 1, k - 1).alias("context"), tail.alias("tail"))
+        whole = rows.groupBy("lang", "context").agg(F.sum("n").alias("total"), F.sum("cut").alias("freed"))
+        rows = rows.join(whole, ["lang", "context"])
+        if lower is None:
+            rows = rows.withColumn("under", 1 / (F.col("alphabet") + 1))
+        else:
+            rows = rows.join(lower.select("lang", F.col("gram").alias("tail"), F.col("p").alias("under")), ["lang", "tail"])
+        p = (F.col("n") - F.col("cut")) / F.col("total") + F.col("freed") / F.col("total") * F.col("under")
+        lower = stored(rows.select("lang", "gram", p.alias("p")), f"chances-{k}")
+        made.append(lower)
+    return reduce(DataFrame.union, made).where((F.length("gram") == order) | F.startswith("gram", F.lit(START))).select("lang", "gram", F.log("p").alias("logp"))
+
+
+def spread_logs(docs: DataFrame, words: DataFrame, grams: DataFrame, order: int) -> DataFrame:
+    """lang, key, log: the log probability of the words of all texts with that key together."""
+
+    def each(batch: pa.RecordBatch) -> pa.RecordBatch:
+        langs, keys, found, n = [], [], [], []
+        for lang, text in zip(values(batch.column(0)), values(batch.column(1))):
+            own = Counter(text.split())
+            langs += [lang] * len(own)
+            keys += [xxhash.xxh3_128_digest(text)] * len(own)
+            found += own.keys()
+            n += own.values()
+        return pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(keys, pa.binary()), pa.array(found, pa.binary()).cast(pa.string()), pa.array(n, pa.int64())], ["lang", "key", "word", "times"])
+
+    model = spread_model(grams, order)
+    logs = stored(word_grams(words, order).join(model, ["lang", "gram"]).groupBy("lang", "word").agg(F.sum("logp").alias("logp")), "word-logs")
+    source = docs.select(F.coalesce(F.col("lang"), F.lit("")).alias("lang"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text"))
+    used = arrow_map(source, each, "lang string, key binary, word string, times long")
+    return used.join(logs, ["lang", "word"]).groupBy("lang", "key").agg(F.sum(F.col("times") * F.col("logp")).alias("log"))
 
 
 def code_points(texts: list[str]) -> np.ndarray:
@@ -200,8 +259,8 @@ class Model:
         flat = np.concatenate(keys) if keys else np.zeros(1, np.uint64)
         by_key = np.argsort(flat)
         self.keys = flat[by_key]
-        self.vals = (np.concatenate(vals) if vals else np.full(1, np.nan))[by_key].astype(np.float32)
-        self.weights = (np.concatenate(weights) if weights else np.zeros(1))[by_key].astype(np.float32)
+        self.vals = (np.concatenate(vals) if vals else np.full(1, np.nan))[by_key]
+        self.weights = (np.concatenate(weights) if weights else np.zeros(1))[by_key]
         # hashes are uniform, so their first bits say where in the sorted array to look
         self.bits = max(4, min(22, int(len(self.keys)).bit_length() + 3))
         heads = (self.keys >> np.uint64(64 - self.bits)).astype(np.int64)
@@ -226,21 +285,21 @@ class Model:
         start = points == ord(START)
         where = np.flatnonzero(start)
         place = np.arange(len(points)) - np.repeat(where, np.diff(np.append(where, len(points))))
-        logp = np.full(len(points), np.log(self.floor[lang]), np.float32)
-        weight = np.zeros(len(points), np.float32)  # of the context that ends at each place, one order lower
+        logp = np.full(len(points), np.log(self.floor[lang]))
+        weight = np.zeros(len(points))  # of the context that ends at each place, one order lower
         for k in range(1, self.order + 1):
             at = self.find(gram_hash(code, points, k))  # of the n-gram that ends at k - 1, k, ...
             hit = at >= 0
             value = np.where(hit, self.vals[at], np.nan)
             inside = place[k - 1 :] >= k - 1
             if k > 1:
-                before = np.concatenate(([np.float32(0)], weight[:-1]))
+                before = np.concatenate(([0.0], weight[:-1]))
                 logp += np.where(place >= k - 1, before, 0)
             known = inside & ~np.isnan(value)
             logp[k - 1 :][known] = value[known]
-            weight = np.concatenate((np.zeros(k - 1, np.float32), np.where(hit & inside, self.weights[at], 0).astype(np.float32)))
+            weight = np.concatenate((np.zeros(k - 1), np.where(hit & inside, self.weights[at], 0)))
         logp[start] = 0
-        return np.add.reduceat(logp.astype(np.float64), where)
+        return np.add.reduceat(logp, where)
 
 
 _memory: dict[str, Vocabulary] = {}
@@ -248,15 +307,15 @@ _memory: dict[str, Vocabulary] = {}
 REMEMBERED = 400_000
 
 
-def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """doc_id, lang, the base counts, base_failed and log_perplexity."""
+def scored(docs: DataFrame, model: Model | None) -> DataFrame:
+    """doc_id, lang, key (16 bytes of the text), the base counts, base_failed, size, log_perplexity (null without a model)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     tag = uuid.uuid4().hex
     ship(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rows, logs = [], []
+            rows, logs, keys, sizes = [], [], [], []
             for at in range(0, batch.num_rows, 500):
                 texts = batch.column(2).slice(at, 500).to_pylist()
                 langs = batch.column(1).slice(at, 500).to_pylist()
@@ -265,23 +324,35 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
                     _memory[tag] = Vocabulary()
                 words = _memory[tag]
                 numbers = words.numbers([t.split() for t in texts])
-                words.learn(shared.value, langs, numbers)
+                if shared.value is not None:
+                    words.learn(shared.value, langs, numbers)
                 for lang, text, own in zip(langs, texts, numbers):
                     rows.append(base_counts(text, own))
-                    logs.append(-float(words.logs[lang][own].sum()) / (len(text.translate(None, WHITE)) + len(own)) if len(own) and lang in shared.value.languages else None)
+                    keys.append(xxhash.xxh3_128_digest(text))
+                    sizes.append(len(text.translate(None, WHITE)) + len(own))
+                    logs.append(-float(words.logs[lang][own].sum()) / sizes[-1] if len(own) and shared.value is not None else None)
             made = list(zip(*rows)) or [[]] * 5
             failed = [r[0] < 50 or 100 * r[4] > 50 * r[0] for r in rows]
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(x, pa.int64()) for x in made), pa.array(failed, pa.bool_()), pa.array(logs, pa.float64())], ["doc_id", "lang", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "log_perplexity"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(keys, pa.binary()), *(pa.array(x, pa.int64()) for x in made), pa.array(failed, pa.bool_()), pa.array(sizes, pa.int64()), pa.array(logs, pa.float64())], ["doc_id", "lang", "key", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "size", "log_perplexity"])
 
     source = docs.select("doc_id", F.coalesce(F.col("lang"), F.lit("")).alias("lang"), F.coalesce(F.col("text"), F.lit("")).cast("binary").alias("text"))
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return source.mapInArrow(run, f"doc_id {kind}, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, log_perplexity double")
+    return source.mapInArrow(run, f"doc_id {kind}, lang string, key binary, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, size long, log_perplexity double")
 
 
-def quality(docs: DataFrame, order: int = ORDER, wide: float = WIDE) -> DataFrame:
+def quality(docs: DataFrame, order: int = ORDER, wide: float = WIDE, most: int = ENTRIES) -> DataFrame:
     """doc_id, the base counts, base_failed, kept, perplexity: a row for each document."""
-    model = Model(gathered(ngram_counts(word_counts(docs), order)), order)
-    rows = stored(scored(docs, model), "scored")
+    words = word_counts(docs)
+    grams = stored(ngram_counts(words, order), "ngrams")
+    if grams.count() <= most:
+        rows = scored(docs, Model(gathered(grams), order))
+    else:
+        logs = spread_logs(docs, stored(words, "words"), grams, order)
+        rows = stored(scored(docs, None), "counted")
+        copies = rows.groupBy("lang", "key").agg(F.count("*").alias("copies"))
+        logs = logs.join(copies, ["lang", "key"]).select("lang", "key", (F.col("log") / F.col("copies")).alias("log"))
+        rows = rows.join(logs, ["lang", "key"], "left").withColumn("log_perplexity", -F.col("log") / F.col("size")).drop("log")
+    rows = stored(rows, "scored")
     usual = rows.where("not base_failed and log_perplexity is not null").groupBy("lang").agg(F.percentile_approx("log_perplexity", [0.25, 0.75], 10_000).alias("q"))
     low, high = F.element_at("q", 1), F.element_at("q", 2)
     usual = usual.select("lang", (low - wide * (high - low)).alias("low"), (high + wide * (high - low)).alias("high"))

@@ -242,6 +242,21 @@ def test_quality_odd(spark):
     assert quality.quality(docs(spark, [])).count() == 0
 
 
+def test_quality_counts_every_ngram_at_every_size(spark):
+    rng = random.Random(6)
+    rows = [(i, " ".join("".join(rng.choice("abcdeé") for _ in range(rng.randrange(1, 8))) for _ in range(80)), "en") for i in range(40)]
+    rows += [(100 + i, " ".join(chr(0x4E00 + rng.randrange(3000)) * 2 + chr(0x4E00 + rng.randrange(3000)) for _ in range(60)), "zh") for i in range(9)]
+    rows += [rows[3], (None, "", "en"), (200, None, None), (201, "one \x02two", None)]
+    table = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    want = sorted(quality.quality(table).collect(), key=str)
+    got = sorted(quality.quality(table, most=10).collect(), key=str)
+    assert len(got) == len(rows)
+    for a, b in zip(want, got):
+        assert tuple(a)[:-1] == tuple(b)[:-1]
+        assert b["perplexity"] == pytest.approx(a["perplexity"], rel=1e-9) if b["n_words"] else b["perplexity"] is None
+    assert all(r["kept"] for r in got if r["doc_id"] is not None and 100 <= r["doc_id"] < 200)
+
+
 # ---- licenses ----------------------------------------------------------------------------------------------
 
 

@@ -257,6 +257,18 @@ def test_quality_counts_every_ngram_at_every_size(spark):
     assert all(r["kept"] for r in got if r["doc_id"] is not None and 100 <= r["doc_id"] < 200)
 
 
+def test_quality_bands_with_copies(spark):
+    rng = random.Random(8)
+    vocabulary = ["".join(rng.choice("aeioubcdst") for _ in range(rng.randrange(2, 8))) for _ in range(60)]
+    rows = [(i, " ".join(rng.choice(vocabulary) for _ in range(120))) for i in range(40)]
+    rows += [(100 + i, rows[0][1]) for i in range(200)]
+    assert all(r["kept"] for r in quality.quality(docs(spark, rows)).collect())
+    words = rows[0][1].split()
+    near = [(i, " ".join(rng.sample(words, len(words)))) for i in range(60)]  # distinct texts of one perplexity
+    near += [(100 + i, f"{rows[0][1]} {vocabulary[i]}") for i in range(3)]
+    assert all(r["kept"] for r in quality.quality(docs(spark, near)).collect())
+
+
 # ---- licenses ----------------------------------------------------------------------------------------------
 
 

@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from skipsketch.llm.common import arrow_map, mixed, small, stored, values
 from skipsketch.shipping import ship
 
-ORDER, ENTRIES, WIDE = 4, 2_000_000, 5.0
+ORDER, ENTRIES, WIDE = 4, 2_000_000, 2.0
 #: Least interquartile range of log perplexity; at sf0.1 the four languages have 0.027 to 0.037.
 LEAST = 0.02
 START, END = "\x02", "\x03"

@@ -1,7 +1,7 @@
 """URL filters: curated rules first, association rules for the rest, by DataFrame functions only.
 
-A URL becomes a set of tokens: its scheme, the last label of its host and the last two, the words of the other
-labels, the segments of its path without numbers, its query keys, and marks for features such as a port.  FP-growth mines frequent
+A URL becomes a set of tokens: its scheme, its host and each end of it after a dot, the words of all labels,
+the segments of its path without numbers, its query keys, and marks for features such as a port.  FP-growth mines frequent
 combinations of tokens and the label of labelled URLs.  Rules that conclude ``block`` are kept if support and
 confidence are high enough and no rule on fewer of their tokens is as confident.  The rules are matched by an
 inverted index: each rule stands under its rarest token, a page's tokens meet the index, and the rule holds if
@@ -54,26 +54,27 @@ def tokens(host: Column, path: Column, url: Column) -> Column:
         return F.transform(F.filter(parts, lambda x: (x != "") & ~x.rlike("^[0-9]+$")), lambda x: F.concat(F.lit(mark), x))
 
     labels = F.split(F.regexp_replace(host, ":[0-9]*$", ""), r"\.")
-    last = F.element_at(labels, -1)
-    ends = F.when(F.size(labels) > 1, F.array(last, F.concat_ws(".", F.try_element_at(labels, F.lit(-2)), last))).otherwise(F.array(last))
-    inner = F.slice(labels, 1, F.greatest(F.size(labels) - 2, F.lit(0)))
+    ends = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
     segments = F.transform(F.split(path, "/"), lambda s: F.regexp_replace(s, "[0-9]+", "0"))
     keys = F.transform(F.filter(F.split(F.regexp_extract(F.coalesce(url, F.lit("")), r"\?([^#]*)", 1), "&"), lambda x: x != ""), lambda x: F.concat(F.lit("key:"), F.substring_index(x, "=", 1)))
     scheme = F.array(F.concat(F.lit("scheme:"), F.substring_index(F.coalesce(url, F.lit("")), "://", 1)))
     port = F.when(host.rlike(":[0-9]+$"), F.array(F.lit("port:given"))).otherwise(F.array().cast("array<string>"))
-    words = F.flatten(F.transform(inner, lambda x: F.split(x, "-")))
+    words = F.flatten(F.transform(labels, lambda x: F.split(x, "-")))
     return F.array_distinct(F.concat(marked("domain:", ends), marked("word:", words), marked("path:", segments), keys, F.when(F.instr(F.coalesce(url, F.lit("")), "://") > 0, scheme).otherwise(F.array().cast("array<string>")), port))
 
 
-def mined(labelled: DataFrame, support: float, confidence: float, most_tokens: int = 3) -> DataFrame:
+def mined(labelled: DataFrame, support: float, confidence: float) -> DataFrame:
     """rule, antecedent, confidence, lift of rules for ``block``, from (tokens, block); none that a shorter rule makes needless."""
     baskets = labelled.select(F.when(F.col("block"), F.concat("tokens", F.array(F.lit(BLOCK)))).otherwise(F.col("tokens")).alias("items")).where("size(items) > 0")
     model = FPGrowth(itemsCol="items", minSupport=support, minConfidence=confidence, numPartitions=int(labelled.sparkSession.conf.get("spark.sql.shuffle.partitions"))).fit(baskets)
-    found = model.associationRules.where(F.array_contains("consequent", BLOCK) & (F.size("antecedent") <= most_tokens))
+    found = model.associationRules.where(F.array_contains("consequent", BLOCK))
     found = stored(found.select(F.array_sort("antecedent").alias("antecedent"), "confidence", "lift"), "rules")
     parts = found.select("antecedent", "confidence", F.explode("antecedent").alias("token"))
     one = found.where("size(antecedent) = 1").select(F.element_at("antecedent", 1).alias("token"), F.col("confidence").alias("short"))
-    needless = parts.join(one, "token").where("size(antecedent) > 1 and short >= confidence").select("antecedent").distinct()
+    needless = parts.join(one, "token").where("size(antecedent) > 1 and short >= confidence").select("antecedent")
+    less = parts.where("size(antecedent) > 2").select("antecedent", "confidence", F.array_remove("antecedent", F.col("token")).alias("fewer"))
+    shorter = found.select(F.col("antecedent").alias("fewer"), F.col("confidence").alias("short"))
+    needless = needless.union(less.join(shorter, "fewer").where("short >= confidence").select("antecedent")).distinct()
     return found.join(needless, "antecedent", "left_anti").select(F.array_join("antecedent", " & ").alias("mined_rule"), "antecedent", "confidence", "lift")
 
 

@@ -456,6 +456,26 @@ def test_url_filter(spark):
     assert url_filter.judged(pages.limit(0), labels.limit(0)).count() == 0
 
 
+def test_url_tokens_of_all_labels(spark):
+    urls = ["https://casino-win.com/x", "http://a.site.co.uk:80/"]
+    rows = spark.createDataFrame([(u,) for u in urls], "url string")
+    url = F.col("url")
+    two, four = (set(r[0]) for r in rows.select(url_filter.tokens(url_filter.host_of(url), url_filter.path_of(url), url)).collect())
+    assert two == {"scheme:https", "domain:casino-win.com", "domain:com", "word:casino", "word:win", "word:com", "path:x"}
+    assert {"domain:a.site.co.uk", "domain:site.co.uk", "domain:co.uk", "domain:uk", "word:site", "word:uk"} <= four
+    pages = [(i, f"http://m.casino-win.example.com/p/{i}", None) for i in range(40)] + [(100 + i, f"http://m.news{i}.example.com/p/{100 + i}", None) for i in range(40)]
+    pages = spark.createDataFrame([*pages, (900, urls[0], None)], "page_id long, url string, html string")
+    labels = spark.createDataFrame([(i, 0, 0) for i in range(40)] + [(100 + i, 1, 0) for i in range(40)], "doc_id long, quality int, toxic int")
+    assert {r["page_id"]: r["verdict"] for r in url_filter.judged(pages, labels, support=0.05).collect()}[900] == "block"
+
+
+def test_url_rules_of_many_tokens(spark):
+    every = list("abcd")
+    baskets = [(every, True)] * 20 + [([x for x in every if x != gone], False) for gone in every for _ in range(20)]
+    rules = url_filter.mined(spark.createDataFrame(baskets, "tokens array<string>, block boolean"), 0.05, 0.6).collect()
+    assert [(r["antecedent"], r["confidence"]) for r in rules] == [(every, 1.0)]
+
+
 # ---- pipeline ----------------------------------------------------------------------------------------------
 
 

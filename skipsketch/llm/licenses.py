@@ -11,6 +11,7 @@ table: empty result.  Other columns are ignored.
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 from functools import cache
 
 import numpy as np
@@ -71,6 +72,16 @@ def _search():  # noqa: ANN202
     return machine, patterns, list(NOTICES), list(NOTICES.values())
 
 
+def places(pattern, text: str, a: int, b: int) -> Iterator:  # noqa: ANN001
+    """Matches that don't overlap: the best one, and those before and after it."""
+    left = [(a, b)]
+    while left:
+        a, b = left.pop()
+        if m := pattern.search(text, a, b):
+            yield m
+            left += [(a, m.start()), (m.end(), b)]
+
+
 def notices(text: str) -> list[tuple[int, int, int, int]]:
     """(number of the notice, start, end, errors) in a normal text; overlapping windows of a notice are searched once."""
     machine, patterns, names, _ = _search()
@@ -88,7 +99,7 @@ def notices(text: str) -> list[tuple[int, int, int, int]]:
     found = []
     for i, own in windows.items():
         for a, b in own:
-            for m in patterns[i].finditer(text, a, b):
+            for m in places(patterns[i], text, a, b):
                 found.append((i, m.start(), m.end(), sum(m.fuzzy_counts)))
     kept: list[tuple[int, int, int, int]] = []
     for x in sorted(found, key=lambda x: (x[3], x[1] - x[2], x[1], x[0])):  # of overlapping notices the nearest

@@ -283,6 +283,13 @@ def test_licenses():
         assert "".join(p for _, p in licenses.segments(notice)) == notice and len(licenses.segments(notice)) == licenses.edits(notice) + 1
 
 
+def test_licenses_beside_better_ones():
+    found = licenses.notices("all right reserved all rights reserved all rigts reserved")
+    assert [x[3] for x in found] == [1, 0, 1]
+    apache = "licensed under the apache license version 2 0"
+    assert [x[3] for x in licenses.notices(f"{apache.replace('apache', 'apche')} {apache}")] == [1, 0]
+
+
 def test_licenses_odd(spark):
     rows = licenses.scanned(docs(spark, [*ODD, (10, "under the mit license " * 2000)])).collect()
     assert len(rows) == len(ODD) + 1

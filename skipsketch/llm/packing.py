@@ -1,8 +1,7 @@
-"""Packing whole documents into training sequences, hierarchically over several context sizes.
+"""Packing whole documents into training sequences, by best fit; some are cut to shorter context sizes.
 
-A document's ids are cut into pieces of the full length and one tail.  Tails are routed to tiers by size (up to
-the full length, half of it, and so on).  The longest tier is packed first and what its windows leave free is
-filled from the shorter tiers, the tightest gap that fits first.  This plan is made on the histogram of lengths,
+A document's ids are cut into pieces of the full length and one tail.  Tails are not routed to tiers: all go into
+windows of the full length, longest first, each into the tightest gap that fits.  This plan is made on the histogram of lengths,
 which has at most as many entries as the length of a sequence, whatever the corpus; pieces then find their
 place by their rank within their length.  A tail whose window would stay emptier than ``fill`` is cut at powers
 of two instead, each part a sequence of a shorter context size that needs no padding.  Ranks are counted over

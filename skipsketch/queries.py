@@ -1,4 +1,6 @@
-"""The registered queries: every method, variant, baseline and workload on the given tables, with oracle SQL.
+"""The registered queries: methods, variants, baselines and workloads on the given tables, with oracle SQL.
+
+The README lists the workloads that are left out or reduced.
 
 Unless its name says otherwise a sketch here was captured at version 0 (rows whose order key is not 0 by 40) and
 maintained to version 1 (those inserted, the rows at 1 by 40 deleted); the oracles compute the accurate

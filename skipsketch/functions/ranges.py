@@ -52,9 +52,12 @@ class RangeSet:
 
     def column(self, col: Column | str) -> Column:
         """The fragment of a column, as int."""
+        name = f"`{col}`" if isinstance(col, str) else ""
         col = F.col(col) if isinstance(col, str) else col
         if not self.cuts:
             return F.when(col.isNull(), F.lit(1)).otherwise(F.lit(0))
+        if self.count <= TREE and name and all(type(c) in (int, float) and c - c == 0 for c in self.cuts):
+            return F.expr(f"CASE WHEN {name} IS NULL THEN {self.null_fragment} ELSE {_tree_text(name, self.cuts, 0, len(self.cuts))} END")
         if self.count <= TREE:
             return F.when(col.isNull(), F.lit(self.null_fragment)).otherwise(_tree(col, self.cuts, 0, len(self.cuts)))
         found = _searched(self.cuts)(F.coalesce(col, F.lit(self.cuts[0])))  # no nulls in pandas, where they would be NaN
@@ -80,14 +83,11 @@ class RangeSet:
         return F.lit(False) if out is None else out
 
     def _text(self, fragments: set[int], name: str) -> str:
-        def number(x: float) -> str:
-            return f"{x!r}D" if isinstance(x, float) else f"{x}L"
-
         parts = []
         for lo, hi in self.runs(fragments):
             low, high = self.bounds(lo)[0], self.bounds(hi)[1]
-            both = [f"{name} >= {number(low)}"] if low is not None else []
-            both += [f"{name} < {number(high)}"] if high is not None else []
+            both = [f"{name} >= {_number(low)}"] if low is not None else []
+            both += [f"{name} < {_number(high)}"] if high is not None else []
             parts.append(f"({' and '.join(both)})" if both else f"{name} is not null")
         if self.null_fragment in fragments:
             parts.append(f"{name} is null")
@@ -160,6 +160,18 @@ def _tree(col: Column, cuts: tuple, lo: int, hi: int) -> Column:
     return F.when(col < F.lit(cuts[mid]), _tree(col, cuts, lo, mid)).otherwise(_tree(col, cuts, mid + 1, hi))
 
 
+def _number(x: float) -> str:
+    return f"{x!r}D" if isinstance(x, float) else f"{x}L"
+
+
+def _tree_text(name: str, cuts: tuple, lo: int, hi: int) -> str:
+    """The same as SQL, which is parsed at once instead of built call by call."""
+    if lo == hi:
+        return str(lo)
+    mid = (lo + hi) // 2
+    return f"CASE WHEN {name} < {_number(cuts[mid])} THEN {_tree_text(name, cuts, lo, mid)} ELSE {_tree_text(name, cuts, mid + 1, hi)} END"
+
+
 def _searched(cuts: tuple):  # noqa: ANN202
     from pyspark.sql import SparkSession
 

@@ -8,7 +8,7 @@ attribute of every sketched table is a group key, a group lies in one fragment a
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -16,31 +16,57 @@ from pyspark.sql import types as T
 
 from skipsketch.functions.ranges import Partitioning, RangeSet
 from skipsketch.operators.annotated import SK, Annotated
-from skipsketch.plans.algebra import Aggregate, M, Node
+from skipsketch.plans.algebra import Aggregate, M, UnionAll
+from skipsketch.plans.safety import carried, paths
 from skipsketch.sources.shared import stored
 from skipsketch.sources.state import AdditiveState
 
-EXACT = "decimal(20,4)"
+#: Doubles are added as decimals of so many places, sums are kept with as many.
+PLACES = 12
+EXACT, TOTAL = f"decimal(28,{PLACES})", f"decimal(37,{PLACES})"
+#: A double whose decimal is off by more than this share can't be added.
+LOSS = 1e-9
 
 
 def argument(df: DataFrame, expr: str) -> Column:
-    """Exact arithmetic: doubles become decimals, so that what is added can be taken away again."""
+    """Exact arithmetic: doubles become decimals, so that what is added can be taken away again.
+
+    A double that the decimal can't hold (too large, too small, NaN) is an error, not a rounded value.
+    """
     col = F.expr(expr)
     kind = df.select(col.alias("x")).schema["x"].dataType
     if isinstance(kind, (T.DoubleType, T.FloatType)):
-        return col.cast(EXACT)
-    return col.cast("decimal(20,0)") if isinstance(kind, (T.LongType, T.IntegerType, T.ShortType)) else col
-
-
-def key_columns(node: Aggregate, phi: Partitioning) -> dict[str, str] | None:
-    """For each sketched table the group key that holds its sketched attribute; None if some has none."""
-    out = {}
-    for s in node.child.scans():
-        if s.table in phi:
-            r = phi.ranges[s.table]
-            if not isinstance(r, RangeSet) or s.prefix + r.attr not in node.keys:
+        exact = col.try_cast(EXACT)
+        lost = exact.isNull() | (F.abs(exact.cast("double") - col) > F.abs(col) * LOSS)
+        error = F.raise_error(F.concat(F.lit(f"not exact as {EXACT}: "), col.cast("string"))).cast(EXACT)
+        return F.when(col.isNotNull() & lost, error).otherwise(exact)
+    return col.cast("decimal(20,0)") if isinstance(kind, (T.LongType, T.IntegerType, T.ShortType, T.ByteType)) else col
+
+
+def total(df: DataFrame, arg: Column) -> Column:
+    """The sum of an argument times its multiplicity, without losing a decimal place."""
+    kind = df.select(arg.alias("x")).schema["x"].dataType
+    if isinstance(kind, T.DecimalType) and kind.precision > 28:  # a product would drop places
+        many = F.raise_error(F.lit("a wide decimal with a multiplicity other than 1")).cast(kind)
+        each = F.when(F.col(M) == 1, arg).when(F.col(M) == -1, -arg).otherwise(many)
+    else:
+        each = arg * F.col(M).cast("decimal(9,0)")
+    out = f"decimal(37,{max(PLACES, kind.scale)})" if isinstance(kind, T.DecimalType) else TOTAL
+    return F.coalesce(F.sum(each), F.lit(0)).cast(out)
+
+
+def key_columns(node: Aggregate, phi: Partitioning) -> list[tuple[str, str]] | None:
+    """For each access to a sketched table the group key that holds its sketched attribute; None if some has none."""
+    out = []
+    for path in paths(node):
+        if path[-1].table in phi:
+            r = phi.ranges[path[-1].table]
+            if not isinstance(r, RangeSet) or any(isinstance(n, UnionAll) for n in path):
+                return None
+            held = carried(path, r.attr)[0]
+            if not held:
                 return None
-            out[s.table] = s.prefix + r.attr
+            out.append((path[-1].table, min(held)))
     return out
 
 
@@ -75,16 +101,16 @@ class AggregateOp:
             if e == "*":
                 adds.append(F.sum(M).alias(f"nn_{n}"))
                 continue
-            arg = argument(df, e)
+            arg = F.expr(e) if f == "count" else argument(df, e)
             adds.append(F.sum(F.when(arg.isNotNull(), F.col(M)).otherwise(F.lit(0))).alias(f"nn_{n}"))
             if f != "count":
-                adds.append(F.coalesce(F.sum(arg * F.col(M).cast("decimal(10,0)")), F.lit(0)).cast("decimal(38,4)").alias(f"sum_{n}"))
+                adds.append(total(df, arg).alias(f"sum_{n}"))
         groups = df.groupBy(*k).agg(*adds)
         frags = None
         if self.keyed is None:
             exploded = df.select(*k, F.explode(child.sketch()).alias("frag"), M) if child.wide or len(child.thin) != 1 else df.select(*k, F.col(child.thin[0]).alias("frag"), M)
             frags = exploded.groupBy(*k, "frag").agg(F.sum(M).alias("cnt"))
-        values = {n: df.select(*k, argument(df, e).alias("v"), M).where("v is not null").groupBy(*k, "v").agg(F.sum(M).alias("cnt")) for n, _, e in self.ordered}
+        values = {n: df.select(*k, F.expr(e).alias("v"), M).where("v is not null").groupBy(*k, "v").agg(F.sum(M).alias("cnt")) for n, _, e in self.ordered}
         return groups, frags, values
 
     def _sums(self) -> list[str]:
@@ -97,11 +123,11 @@ class AggregateOp:
         some = F.col(f"nn_{n}{s}") > 0
         if f == "sum":
             return F.when(some, F.col(f"sum_{n}{s}"))
-        return F.when(some, (F.col(f"sum_{n}{s}") / F.col(f"nn_{n}{s}")).cast("decimal(38,8)"))
+        return F.when(some, (F.col(f"sum_{n}{s}") / F.col(f"nn_{n}{s}")).cast(f"decimal(38,{PLACES})"))
 
     def _key_sketch(self) -> Column:
-        parts = [(self.phi.ranges[t].column(F.col(c)) + F.lit(self.phi.offset[t])).cast("int") for t, c in self.keyed.items()]
-        return F.array_sort(F.array(*parts)) if parts else F.array().cast("array<int>")
+        parts = [(self.phi.ranges[t].column(c) + F.lit(self.phi.offset[t])).cast("int") for t, c in self.keyed]
+        return F.array_sort(F.array_distinct(F.array(*parts))) if parts else F.array().cast("array<int>")
 
     def _trim(self, name: str, values: DataFrame) -> tuple[DataFrame, DataFrame]:
         """The best ``limit`` values of each group, and the worst one kept where some were left out."""
@@ -151,62 +177,78 @@ class AggregateOp:
             own.add(version, rows)
             state.values[n] = own
         self.state = state
-        return self.result(state.groups.read(), state.frags.read() if state.frags else None, {n: s.read() for n, s in state.values.items()})
+        for part in state.all():
+            part.tend(k)
+        return self.result(*self.held())
 
     def image(self) -> Annotated:
         """The output at the state's version, without reading the tables."""
+        return self.result(*self.held())
+
+    def held(self) -> tuple[DataFrame, DataFrame | None, dict[str, DataFrame]]:
+        s = self.state
+        return s.groups.read(), s.frags.read() if s.frags else None, {n: v.read() for n, v in s.values.items()}
+
+    def snapshot(self) -> AggregateState:
         s = self.state
-        return self.result(s.groups.read(), s.frags.read() if s.frags else None, {n: v.read() for n, v in s.values.items()})
+        return AggregateState(s.groups.snapshot(), s.frags.snapshot() if s.frags else None, {n: v.snapshot() for n, v in s.values.items()}, {n: v.snapshot() for n, v in s.horizons.items()})
 
     def maintain(self, delta: Annotated, version: int, recapture=None) -> Annotated:  # noqa: ANN001
         """The output's delta: of each touched group the old row out and the new row in.
 
+        What the delta adds to the state is written once, and read back as the delta of the groups.
         ``recapture(groups)`` gives the input's rows of some groups at the new version, for groups whose kept
         values ran out.
         """
-        k, s = list(self.node.keys), self.state
+        k, s, before = list(self.node.keys), self.state, self.snapshot()
+        if s.frags is not None or self.ordered:  # folded more than once
+            delta = replace(delta, df=stored(delta.df, "delta"))
         d_groups, d_frags, d_values = self.fold(delta)
-        d_groups = stored(d_groups, "delta")
+        for part in s.all():
+            part.tend(k)
+        d_groups = s.groups.add(version, d_groups)
         touched = d_groups.select(*k)
-        old = s.groups.read(touched)
-        sums = self._sums()
+        old = before.groups.read(touched)
+        sums, kinds = self._sums(), {f.name: f.dataType for f in s.groups.schema}
         new = d_groups.select(*k, *(F.col(c).alias(f"{c}_d") for c in sums))
         both = _join(new, old, k)
         cols = [*k]
         for c in sums:
-            before = F.coalesce(c, F.lit(0))
-            cols += [before.alias(f"{c}_o"), (before + F.col(f"{c}_d")).alias(f"{c}_n")]
+            was = F.coalesce(c, F.lit(0)).cast(kinds[c])
+            cols += [was.alias(f"{c}_o"), (was + F.col(f"{c}_d")).cast(kinds[c]).alias(f"{c}_n")]
         both = both.select(*cols)
         checked = F.when(F.col("cnt_n") < 0, F.raise_error(F.lit("a row is deleted more often than it occurs")).cast("long")).otherwise(F.col("cnt_n"))
         both = both.withColumn("cnt_n", checked)
         if s.frags is not None:
-            before = s.frags.read(touched).select(*k, "frag", F.col("cnt").alias("o"), F.col("cnt").alias("n"))
+            d_frags = s.frags.add(version, d_frags)
+            was = before.frags.read(touched).select(*k, "frag", F.col("cnt").alias("o"), F.col("cnt").alias("n"))
             after = d_frags.select(*k, "frag", F.lit(0).cast("long").alias("o"), F.col("cnt").alias("n"))
-            each = before.unionByName(after).groupBy(*k, "frag").agg(F.sum("o").alias("o"), F.sum("n").alias("n"))
+            each = was.unionByName(after).groupBy(*k, "frag").agg(F.sum("o").alias("o"), F.sum("n").alias("n"))
             sk = each.groupBy(*k).agg(F.array_sort(F.collect_list(F.when(F.col("o") > 0, F.col("frag")))).alias("sk_o"), F.array_sort(F.collect_list(F.when(F.col("n") > 0, F.col("frag")))).alias("sk_n"))
             both = _join(both, sk, k)
-            s.frags.add(version, d_frags)
         else:
             both = both.withColumn("sk_o", self._key_sketch()).withColumn("sk_n", F.col("sk_o"))
         for n, f, _ in self.ordered:
             rows, spent = self._inside(n, d_values[n], touched)
-            before = s.values[n].read(touched).select(*k, "v", F.col("cnt").alias("o"), F.col("cnt").alias("n"))
+            rows = s.values[n].add(version, rows)
+            was = before.values[n].read(touched).select(*k, "v", F.col("cnt").alias("o"), F.col("cnt").alias("n"))
             after = rows.select(*k, "v", F.lit(0).cast("long").alias("o"), F.col("cnt").alias("n"))
-            each = before.unionByName(after).groupBy(*k, "v").agg(F.sum("o").alias("o"), F.sum("n").alias("n"))
+            each = was.unionByName(after).groupBy(*k, "v").agg(F.sum("o").alias("o"), F.sum("n").alias("n"))
             pick = F.min if f == "min" else F.max
-            best = stored(each.groupBy(*k).agg(pick(F.when(F.col("o") > 0, F.col("v"))).alias(f"{n}_o"), pick(F.when(F.col("n") > 0, F.col("v"))).alias(f"{n}_n")), "best")
-            s.values[n].add(version, rows)
+            best = each.groupBy(*k).agg(pick(F.when(F.col("o") > 0, F.col("v"))).alias(f"{n}_o"), pick(F.when(F.col("n") > 0, F.col("v"))).alias(f"{n}_n"))
             if spent is not None:
-                best = self._refill(n, f, best, both, spent, version, recapture)
+                best = self._refill(n, f, stored(best, "best"), both, spent, version, recapture)
             both = _join(both, best, k)
-        both = stored(both, "groups")
-        s.groups.add(version, d_groups)
 
-        def side(x: str, sign: int) -> DataFrame:
+        def side(x: str, sign: int) -> Column:
             out = [F.col(f"{n}_{x}").alias(n) if f in ("min", "max") else self._value(n, f, f"_{x}").alias(n) for n, f, _ in self.node.aggs]
-            return both.where(f"cnt_{x} > 0").select(*k, *out, F.col(f"sk_{x}").alias(SK), F.lit(sign).cast("long").alias(M))
+            return F.struct(F.col(f"cnt_{x}").alias("__cnt"), *out, F.col(f"sk_{x}").alias(SK), F.lit(sign).cast("long").alias(M))
+
+        sides = both.select(*k, F.explode(F.array(side("o", -1), side("n", 1))).alias("__s")).where("__s.__cnt > 0")
+        return Annotated(sides.select(*k, *(F.col(f"__s.`{n}`").alias(n) for n, _, _ in self.node.aggs), F.col(f"__s.{SK}").alias(SK), F.col(f"__s.{M}").alias(M)), (), True)
 
-        return Annotated(side("o", -1).unionByName(side("n", 1)), (), True)
+    def restore(self, saved: AggregateState) -> None:
+        self.state = saved
 
     def _inside(self, name: str, rows: DataFrame, touched: DataFrame) -> tuple[DataFrame, DataFrame | None]:
         """The delta's values within the horizons of their groups, and those horizons."""

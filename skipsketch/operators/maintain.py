@@ -11,8 +11,8 @@ A maintained sketch has the same counters as a fresh capture, unless bounded sta
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from dataclasses import dataclass, field
+import copy
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -23,9 +23,9 @@ from skipsketch.operators import annotated as an
 from skipsketch.operators.aggregate import AggregateOp
 from skipsketch.operators.annotated import Annotated
 from skipsketch.operators.topk import TopKOp
-from skipsketch.plans.algebra import Aggregate, Distinct, Filter, Join, M, Node, Scan, TopK, UnsupportedForMaintenance, transform
+from skipsketch.plans.algebra import Aggregate, Distinct, Filter, Join, M, Node, Project, Scan, TopK, UnsupportedForMaintenance
 from skipsketch.plans.safety import output_columns, pushable_predicates
-from skipsketch.sources.delta import Database, expand
+from skipsketch.sources.delta import Database, batches, expand
 from skipsketch.sources.state import AdditiveState
 
 #: Delta rows up to which that side of a join is broadcast; their number is known from the log.
@@ -38,6 +38,7 @@ class Options:
     bloom: bool = False
     pushdown: bool = True
     limit: int | None = None  # rows kept by top-k, and values by minimum and maximum
+    batch_rows: int | None = None  # a longer delta is taken in steps, of whole versions or of hashed rows
 
 
 @dataclass
@@ -60,10 +61,21 @@ class Sketch:
     blooms: dict[Node, dict[str, BloomIndex]] = field(default_factory=dict)
     options: Options = field(default_factory=Options)
     measures: Measures = field(default_factory=Measures)
+    overlay: Sketch | None = None  # the same with changes that aren't committed yet
 
     @property
     def fragments(self) -> set[int]:
-        return {f for f, n in self.counters.items() if n > 0}
+        """What queries must read; with uncommitted changes what they need too."""
+        own = {f for f, n in self.counters.items() if n > 0}
+        return own if self.overlay is None else self.overlay.fragments
+
+    def forked(self) -> Sketch:
+        """A copy that can be maintained by itself."""
+        ops = {}
+        for node, op in self.ops.items():
+            ops[node] = copy.copy(op)
+            ops[node].restore(op.snapshot())
+        return replace(self, counters=dict(self.counters), ops=ops, blooms={n: dict(b) for n, b in self.blooms.items()}, measures=Measures(), overlay=None)
 
     def by_table(self) -> dict[str, set[int]]:
         return self.phi.split(self.fragments)
@@ -115,11 +127,11 @@ def capture(db: Database, plan: Node, phi: Partitioning, version: int | None = N
     sketch = Sketch(plan, phi, version, {}, options=options or Options())
     sketch.counters = fragment_counts(full(db, plan, phi, version, sketch))
     if sketch.options.bloom:
-        for j in (n for n in plan.walk() if isinstance(n, Join) and len(n.on) == 1):
-            (a, b), found = j.on[0], {}
-            for side, child, key in (("left", j.left, a), ("right", j.right, b)):
-                rows = full(db, child, Partitioning(), version).df.select(key)
-                found[side] = BloomIndex.build(rows, key, max(1000, rows.count()))
+        for j in (n for n in plan.walk() if isinstance(n, Join) and n.on):
+            found = {}
+            for side, child, keys in (("left", j.left, [a for a, _ in j.on]), ("right", j.right, [b for _, b in j.on])):
+                rows = full(db, child, Partitioning(), version).df.select(*keys)
+                found[side] = BloomIndex.build(rows, keys, max(1000, rows.count()))
             sketch.blooms[j] = {s: BloomIndex(_stored(i.words), i.bits, i.hashes) for s, i in found.items()}
     return sketch
 
@@ -141,15 +153,34 @@ def is_stale(sketch: Sketch, db: Database) -> bool:
     return any(db[t].version > sketch.version for t in sketch.plan.tables())
 
 
-def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None) -> Annotated | None:
-    """The annotated delta of the sketch's plan since its version, None if nothing changed; moves its operators' state on."""
+def known_rows(node: Node, rows: dict[str, int]) -> int | None:
+    """An upper bound of a node's delta rows from those of its tables; None where a join may multiply them."""
+    if isinstance(node, Scan):
+        return rows.get(node.table, 0)
+    if isinstance(node, Join):
+        return None
+    below = [known_rows(c, rows) for c in node.children()]
+    if None in below:
+        return None
+    if isinstance(node, TopK):
+        return 2 * node.k
+    return sum(below) * (2 if isinstance(node, (Aggregate, Distinct)) else 1)
+
+
+def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None, part: tuple[int, int] | None = None) -> Annotated | None:
+    """The annotated delta of the sketch's plan since its version, None if nothing changed; moves its operators' state on.
+
+    ``part`` (i, n) takes the i-th of n parts of the delta by a hash of its rows, for plans without joins.
+    """
     version = db.version if version is None else version
     phi, o, m, since = sketch.phi, sketch.options, sketch.measures, sketch.version
     extra = extra or {}
-    changed = {t for t in sketch.plan.tables() if db[t].rows_between(since, version) or t in extra}
-    m.delta_rows = sum(db[t].rows_between(since, version) for t in changed)
+    rows_of = {t: db[t].rows_between(since, version) for t in sketch.plan.tables()}
+    changed = {t for t, n in rows_of.items() if n or t in extra}
+    m.delta_rows = sum(rows_of.values())
     if not changed:
         return None
+    below_joins = {id(x) for n in sketch.plan.walk() if isinstance(n, Join) for c in n.children() for x in c.walk()}
 
     def log(n: Scan) -> DataFrame:
         rows = db[n.table].changes(since, version)
@@ -157,7 +188,7 @@ def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: di
             rows = rows.unionByName(extra[n.table])
         for p in pushable_predicates(sketch.plan, n.table) if o.pushdown else ():
             rows = rows.where(F.expr(p))
-        return rows
+        return rows if part is None else batches(rows, part[1])[part[0]]
 
     def new_image(n: Scan) -> DataFrame:
         rows = db[n.table].image(version)
@@ -172,12 +203,13 @@ def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: di
             if isinstance(x, Join):
                 return an.join(run(x.left), run(x.right), x)
             if not new and isinstance(sketch.ops.get(x), AggregateOp) and o.limit is None:
-                return old_images[x] if x in old_images else sketch.ops[x].image()
+                op = sketch.ops[x]
+                return op.result(*old_images.get(x, op.held()))
             return _op(None, db, x, phi, Options()).full(run(x.child))
 
         return run(n)
 
-    old_images: dict[Node, Annotated] = {}
+    old_images: dict[Node, tuple] = {}  # of aggregations below joins, the state before its delta
 
     def touched(n: Node) -> bool:
         return any(t in changed for t in n.tables())
@@ -190,9 +222,8 @@ def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: di
         if isinstance(n, Join):
             return joined(n)
         op = sketch.ops[n]
-        if isinstance(op, AggregateOp) and any(isinstance(x, Join) for x in sketch.plan.walk()) and o.limit is None:
-            kept = op.image()
-            old_images[n] = Annotated(_stored(kept.df), kept.thin, kept.wide)
+        if isinstance(op, AggregateOp) and id(n) in below_joins and o.limit is None:
+            old_images[n] = op.held()  # frames over the parts that were there then
         if isinstance(op, TopKOp):
             out = op.maintain(delta(n.child), version, lambda: image(n.child, True))
         else:
@@ -209,21 +240,25 @@ def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: di
         return out
 
     def joined(n: Join) -> Annotated:
-        rows = sum(db[t].rows_between(since, version) for t in changed)
-        few = rows <= BROADCAST_ROWS and not extra
         dl = delta(n.left) if touched(n.left) else None
         dr = delta(n.right) if touched(n.right) else None
         if o.bloom and n in sketch.blooms:
-            (a, b), index = n.on[0], sketch.blooms[n]
+            ka, kb, index = [a for a, _ in n.on], [b for _, b in n.on], sketch.blooms[n]
             if dr is not None:  # what is inserted on one side is in its filter before the other side is tested
-                index["right"] = _extended(index["right"], dr, b)
+                index["right"] = _extended(index["right"], dr, kb)
             if dl is not None:
-                index["left"] = _extended(index["left"], dl, a)
+                index["left"] = _extended(index["left"], dl, ka)
             if dl is not None:
-                dl = _probed(dl, index["right"], a, m)
+                dl = _probed(dl, index["right"], ka, m)
             if dr is not None:
-                dr = _probed(dr, index["left"], b, m)
-        left_small, right_small = ("left" if few else ""), ("right" if few else "")
+                dr = _probed(dr, index["left"], kb, m)
+
+        def small(side: str, child: Node) -> str:
+            """The side, where its delta is known to be small enough to broadcast; else Spark decides by sizes."""
+            most = None if extra else known_rows(child, rows_of)
+            return side if most is not None and most <= BROADCAST_ROWS else ""
+
+        left_small, right_small = small("left", n.left), small("right", n.right)
         parts = []
         if dl is not None and dr is None:
             return an.join(dl, image(n.right, False), n, small=left_small)
@@ -242,13 +277,57 @@ def delta_of(db: Database, sketch: Sketch, version: int | None = None, extra: di
 def maintain(db: Database, sketch: Sketch, version: int | None = None, extra: dict[str, DataFrame] | None = None) -> dict[int, int]:
     """Bring the sketch to a version; returns its delta, fragment -> +1 or -1.
 
-    ``extra`` has signed rows of a transaction that isn't committed yet, by table.
+    ``extra`` has signed rows of a transaction that isn't committed yet, by table.  They go into an overlay only: the
+    sketch's own counters and state stay those of committed versions, so nothing counts twice after the commit.
+    A delta that is refused leaves the sketch as it was.
     """
     version = db.version if version is None else version
-    found = delta_of(db, sketch, version, extra)
-    changes = fragment_counts(found) if found is not None else {}
-    sketch.version = version
-    return merged(sketch.counters, changes)
+    before = sketch.fragments
+    sketch.overlay = None
+    saved = {n: op.snapshot() for n, op in sketch.ops.items()}, dict(sketch.counters), {n: dict(b) for n, b in sketch.blooms.items()}, sketch.version
+    try:
+        for until, part in steps(db, sketch, version):
+            found = delta_of(db, sketch, until, part=part)
+            merged(sketch.counters, fragment_counts(found) if found is not None else {})
+            if part is None or part[0] == part[1] - 1:
+                sketch.version = until
+    except Exception:
+        states, sketch.counters, sketch.blooms, sketch.version = saved
+        for n, op in sketch.ops.items():
+            op.restore(states[n])
+        raise
+    if extra:
+        over = sketch.forked()
+        found = delta_of(db, over, version, extra)
+        merged(over.counters, fragment_counts(found) if found is not None else {})
+        sketch.overlay = over
+    after = sketch.fragments
+    return {f: 1 if f in after else -1 for f in before ^ after}
+
+
+def steps(db: Database, sketch: Sketch, version: int) -> list[tuple[int, tuple[int, int] | None]]:
+    """Versions to go to one after the other, each with at most ``batch_rows`` delta rows as far as versions allow.
+
+    A single version that is longer is taken in parts by a hash of its rows, where no join or reading again needs
+    the table as it is between the parts.
+    """
+    most, tables = sketch.options.batch_rows, sketch.plan.tables()
+    if most is None:
+        return [(version, None)]
+    out: list[tuple[int, tuple[int, int] | None]] = []
+    at, rows = sketch.version, 0
+    splittable = sketch.options.limit is None and not any(isinstance(n, Join) for n in sketch.plan.walk())
+    for v in range(sketch.version + 1, version + 1):
+        here = sum(db[t].rows_between(v - 1, v) for t in tables)
+        if rows and rows + here > most:
+            out.append((v - 1, None))
+            at, rows = v - 1, 0
+        rows += here
+        if here > most and splittable:
+            n = -(-here // most)
+            out += [(v, (i, n)) for i in range(n)]
+            at, rows = v, 0
+    return [*out, (version, None)] if at < version or not out else out
 
 
 def merged(counters: dict[int, int], changes: dict[int, int]) -> dict[int, int]:
@@ -268,12 +347,12 @@ def merged(counters: dict[int, int], changes: dict[int, int]) -> dict[int, int]:
     return out
 
 
-def _extended(index: BloomIndex, delta: Annotated, key: str) -> BloomIndex:
-    new = index.insert(delta.df.where(F.col(M) > 0).select(key), key)
+def _extended(index: BloomIndex, delta: Annotated, key: list[str]) -> BloomIndex:
+    new = index.insert(delta.df.where(F.col(M) > 0).select(*key), key)
     return BloomIndex(_stored(new.words), new.bits, new.hashes)
 
 
-def _probed(delta: Annotated, index: BloomIndex, key: str, m: Measures) -> Annotated:
+def _probed(delta: Annotated, index: BloomIndex, key: list[str], m: Measures) -> Annotated:
     from skipsketch.sources.shared import stored
 
     m.fetched += delta.df.count()
@@ -282,19 +361,24 @@ def _probed(delta: Annotated, index: BloomIndex, key: str, m: Measures) -> Annot
     return Annotated(kept, delta.thin, delta.wide)
 
 
-def with_sketch(db: Database, sketch: Sketch, version: int | None = None, plan: Node | None = None) -> DataFrame:
+def with_sketch(db: Database, sketch: Sketch, version: int | None = None, plan: Node | None = None, extra: dict[str, DataFrame] | None = None) -> DataFrame:
     """The answer over the sketch's fragments only; the conditions reach the files' statistics."""
-    return answer(db, plan or sketch.plan, version, {t: (sketch.phi.ranges[t], f) for t, f in sketch.by_table().items()})
+    return answer(db, plan or sketch.plan, version, {t: (sketch.phi.ranges[t], f) for t, f in sketch.by_table().items()}, extra)
+
 
+def answer(db: Database, plan: Node, version: int | None = None, only: dict[str, tuple] | None = None, extra: dict[str, DataFrame] | None = None) -> DataFrame:
+    """The plan's plain rows at a version.
 
-def answer(db: Database, plan: Node, version: int | None = None, only: dict[str, tuple] | None = None) -> DataFrame:
-    """The plan's plain rows at a version; ``only`` has the ranges and fragments to which tables are restricted."""
+    ``only`` has the ranges and fragments to which tables are restricted, ``extra`` signed rows that aren't committed.
+    """
     version = db.version if version is None else version
     none = Partitioning()
 
     def run(n: Node) -> Annotated:
         if isinstance(n, Scan):
             rows = db[n.table].image(version)
+            if extra and n.table in extra:
+                rows = rows.unionByName(extra[n.table].select(*rows.columns))
             return an.scan(n, restrict(rows, *only[n.table]) if only and n.table in only else rows, none)
         if (out := an.stateless(n, run)) is not None:
             return out
@@ -304,9 +388,16 @@ def answer(db: Database, plan: Node, version: int | None = None, only: dict[str,
 
     out = run(plan)
     rows = out.df.select(*out.columns, M)
+    if _single(plan) or not extra and all(db[t].rows_between(db[t].first, version) == 0 for t in plan.tables()) and not any(isinstance(n, TopK) for n in plan.walk()):
+        return rows.drop(M)  # every row stands for one
     return expand(rows.groupBy(*out.columns).agg(F.sum(M).alias(M)))
 
 
+def _single(plan: Node) -> bool:
+    """Whether each result row has the multiplicity 1, by the plan alone."""
+    return isinstance(plan, (Aggregate, Distinct)) or isinstance(plan, (Filter, Project)) and _single(plan.child)
+
+
 def rebalance(sketch: Sketch, ranges: RangeSet | GridRanges, moves: dict[int, set[int]]) -> None:
     """Carry a sketch and its state over to ``ranges``, in which some of its table's ranges were split or merged.
 

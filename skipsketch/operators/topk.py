@@ -3,19 +3,27 @@
 State: the input's rows with sketch and multiplicity, all of them or the best ``limit``.  With a limit the worst
 kept row is the horizon: what comes after it is not kept, and is not in the state either way, so deltas beyond
 it are ignored.  When fewer than k rows remain and there is a horizon, the input is read again.
-Ties are broken by all columns, in the query as in the sketch.
+
+The head of the state, some more than k rows in order, is on the driver.  A delta meets it only where it lies not
+after the head's last row, and only positions that changed are handed on; the state is read again when the head
+runs short, not at each delta.  Ties are broken by all columns, in the query as in the sketch.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from collections.abc import Callable
+from functools import cmp_to_key
+from typing import Any
+
+from pyspark.sql import Column, DataFrame, Row, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from skipsketch.operators.annotated import SK, Annotated
 from skipsketch.plans.algebra import M, TopK
 from skipsketch.sources.delta import consolidate
 from skipsketch.sources.shared import stored
-from skipsketch.sources.state import AdditiveState
+from skipsketch.sources.state import MOST_PARTS, AdditiveState
 
 
 def order_columns(node: TopK, columns: list[str], sketch: bool = True) -> list[Column]:
@@ -31,6 +39,26 @@ def cut(node: TopK, rows: DataFrame, columns: list[str], sketch: bool = True) ->
     return few.withColumn("__b", before).where(F.col("__b") < node.k).withColumn("cnt", F.least("cnt", F.lit(node.k) - F.col("__b"))).drop("__b")
 
 
+def _compared(a: Any, b: Any, down: bool) -> int:
+    """As Spark orders two values: nulls last either way, NaN above all numbers, text by code points."""
+    if a is None or b is None:
+        return (a is None) - (b is None)
+    nan_a, nan_b = (isinstance(x, float) and x != x for x in (a, b))
+    sign = int(nan_a) - int(nan_b) if nan_a or nan_b else (a > b) - (a < b)
+    return -sign if down else sign
+
+
+_NAN = float("nan")  # the one that rows hold, so that equal rows are equal
+
+
+def _held(x: Any) -> Any:
+    if isinstance(x, float) and x != x:
+        return _NAN
+    if isinstance(x, list):
+        return tuple(map(_held, x))
+    return bytes(x) if isinstance(x, bytearray) else x
+
+
 class TopKOp:
     def __init__(self, spark: SparkSession, node: TopK, limit: int | None = None):
         if limit is not None and limit < node.k:
@@ -38,7 +66,14 @@ class TopKOp:
         self.spark, self.node, self.limit = spark, node, limit
         self.state: AdditiveState | None = None
         self.horizon: tuple | None = None
-        self.recaptured = 0
+        self.head: list[tuple[tuple, int]] | None = None  # rows (columns and sketch) with their counts, in order
+        self.bound: tuple | None = None  # the head's last row, None where the head is all of the state
+        self.recaptured, self.refilled = 0, 0
+
+    @property
+    def room(self) -> int:
+        """Rows of the head after it was read; it may grow to twice as many."""
+        return 2 * self.node.k + 20
 
     def _emit(self, rows: DataFrame, columns: list[str], sign: int) -> DataFrame:
         return cut(self.node, rows, columns).select(*columns, SK, (F.col("cnt") * sign).alias(M))
@@ -53,7 +88,8 @@ class TopKOp:
         rows = consolidate(wide.df).withColumnRenamed(M, "cnt")
         self.state = AdditiveState(self.spark, [*wide.columns, SK], ["cnt"])
         self.state.add(version, self._kept(rows, wide.columns))
-        return Annotated(self._emit(self.state.read(), wide.columns, 1), (), True)
+        self._read_head()
+        return Annotated(self._rows(self._top(), wide.df.schema), (), True)
 
     def _kept(self, rows: DataFrame, columns: list[str]) -> DataFrame:
         if self.limit is None:
@@ -77,10 +113,10 @@ class TopKOp:
             return some.where(self._within(self.horizon))
         return some
 
-    def _within(self, bound: tuple) -> Column:
-        """Not after the horizon in the order."""
+    def _within(self, bound: tuple, order: list[tuple[str, bool]] | None = None) -> Column:
+        """Not after the bound in the order."""
         out = F.lit(True)
-        for (c, down), v in reversed(list(zip(self.node.order, bound))):
+        for (c, down), v in reversed(list(zip(order or self.node.order, bound))):
             if v is None:
                 before, same = F.col(c).isNotNull(), F.col(c).isNull()
             else:
@@ -88,17 +124,88 @@ class TopKOp:
             out = before | (same & out)
         return out
 
+    # ---- the head ----------------------------------------------------------------------------------------
+
+    def _order(self) -> list[tuple[str, bool]]:
+        """Every column of a row in the order of comparison, and whether it falls."""
+        first = list(self.node.order)
+        return [*first, *((c, False) for c in self.state.keys[:-1] if c not in dict(first)), (SK, False)]
+
+    def _key(self) -> Callable:
+        at = [(self.state.keys.index(c), down) for c, down in self._order()]
+
+        def compare(a: tuple[tuple, int], b: tuple[tuple, int]) -> int:
+            for i, down in at:
+                if (found := _compared(a[0][i], b[0][i], down)) != 0:
+                    return found
+            return 0
+
+        return cmp_to_key(compare)
+
+    def _row(self, r: Row) -> tuple:
+        return tuple(_held(r[c]) for c in self.state.keys)
+
+    def _read_head(self) -> None:
+        by = order_columns(self.node, self.state.keys[:-1])
+        found = self.state.read().where("cnt > 0").orderBy(*by).limit(self.room + 1).collect()
+        rows = [(self._row(r), r["cnt"]) for r in found]
+        self.head = rows[: self.room]
+        self.bound = self.head[-1][0] if len(rows) > self.room else None
+
+    def _top(self) -> dict[tuple, int]:
+        """The first k rows by multiplicity, the last one's reduced to fit."""
+        out, left = {}, self.node.k
+        for row, n in self.head:
+            if left <= 0:
+                break
+            out[row] = min(n, left)
+            left -= n
+        return out
+
+    def _rows(self, changes: dict[tuple, int], schema: StructType) -> DataFrame:
+        kinds = {f.name: f for f in schema}
+        named = StructType([*(kinds[c] for c in self.state.keys), kinds[M]])
+        return self.spark.createDataFrame([(*row[:-1], list(row[-1]), n) for row, n in changes.items() if n], named)
+
     def maintain(self, delta: Annotated, version: int, recapture=None) -> Annotated:  # noqa: ANN001
         wide = delta.widened()
+        if self.head is None:  # restored from the catalog
+            self._read_head()
+        before = self._top()
         rows = consolidate(wide.df).withColumnRenamed(M, "cnt")
         if self.horizon is not None:
             rows = rows.where(self._within(self.horizon))
-        rows = stored(rows, "delta")
-        before = stored(self._emit(self.state.read(), wide.columns, -1), "top")
-        self.state.add(version, rows)
-        after = stored(self._emit(self.state.read(), wide.columns, 1), "top")
-        if self.horizon is not None and (after.agg(F.sum(M).alias("n")).first()["n"] or 0) < self.node.k:
+        if len(self.state.parts) >= MOST_PARTS:
+            self.state.compact()
+        part = self.state.add(version, rows)
+        order = self._order()
+        if self.bound is not None:
+            last = dict(zip(self.state.keys, self.bound))
+            part = part.where(self._within(tuple(list(last[c]) if c == SK else last[c] for c, _ in order), order))
+        # deletes here are of the head's rows; of the inserts no more can get into the head than it has room for
+        most = len(self.head) + 2 * self.room
+        near = part.orderBy(F.signum("cnt"), *order_columns(self.node, self.state.keys[:-1])).limit(most).collect()
+        held = dict(self.head)
+        for r in near:
+            row = self._row(r)
+            held[row] = held.get(row, 0) + r["cnt"]
+            if held[row] < 0:
+                raise ValueError("a row is deleted more often than it occurs")
+        self.head = sorted(((row, n) for row, n in held.items() if n), key=self._key())
+        if len(self.head) > 2 * self.room or len(near) == most:
+            self.head = self.head[: self.room]
+            self.bound = self.head[-1][0]
+        if sum(n for _, n in self.head) < self.node.k and self.bound is not None:
+            self.refilled += 1
+            self._read_head()
+        if sum(n for _, n in self.head) < self.node.k and self.horizon is not None:
             self.recaptured += 1
-            self.state = None
-            after = stored(self.capture(recapture(), version).df, "top")
-        return Annotated(consolidate(before.unionByName(after)), (), True)
+            self.capture(recapture(), version)
+        after = self._top()
+        return Annotated(self._rows({row: after.get(row, 0) - before.get(row, 0) for row in {**before, **after}}, wide.df.schema), (), True)
+
+    def snapshot(self) -> tuple:
+        return self.state.snapshot(), self.horizon, list(self.head) if self.head is not None else None, self.bound
+
+    def restore(self, saved: tuple) -> None:
+        self.state, self.horizon, self.head, self.bound = saved

@@ -8,18 +8,23 @@ from __future__ import annotations
 
 import re
 from dataclasses import dataclass
+from decimal import Decimal
 
 from skipsketch.plans.algebra import Aggregate, Distinct, Filter, Join, Node, Project, Scan, TopK, UnionAll, conjuncts, template_key
 
-_simple = re.compile(r"^\s*(?P<e>.+?)\s*(?P<op><=|>=|<>|!=|=|<|>)\s*(?P<c>[-+]?\d+(?:\.\d+)?)\s*$", re.S)
-_between = re.compile(r"^\s*(?P<e>.+?)\s+between\s+(?P<lo>[-+]?\d+(?:\.\d+)?)\s+and\s+(?P<hi>[-+]?\d+(?:\.\d+)?)\s*$", re.I | re.S)
-INF = float("inf")
+_number = r"[-+]?\d+(?:\.\d+)?(?:[eE][-+]?\d+)?"
+_simple = re.compile(rf"^\s*(?P<e>.+?)\s*(?P<op><=|>=|<>|!=|=|<|>)\s*(?P<c>{_number})\s*$", re.S)
+_between = re.compile(rf"^\s*(?P<e>.+?)\s+between\s+(?P<lo>{_number})\s+and\s+(?P<hi>{_number})\s*$", re.I | re.S)
+_logical = re.compile(r"(?i)[<>=!]|\b(?:or|and|not|between|in|like|rlike|is|case)\b")
+INF = Decimal("Infinity")
 
 
 @dataclass(frozen=True)
 class Interval:
-    lo: float = -INF
-    hi: float = INF
+    """Bounds are decimals as written, so that sums of decimals are compared with them exactly."""
+
+    lo: Decimal = -INF
+    hi: Decimal = INF
     lo_open: bool = False
     hi_open: bool = False
 
@@ -37,14 +42,16 @@ def intervals(condition: str) -> tuple[dict[str, Interval], set[str]]:
     out: dict[str, Interval] = {}
     rest = set()
     for part in conjuncts(condition):
+        i = None
         if m := _between.match(part):
-            e, i = m["e"].strip(), Interval(float(m["lo"]), float(m["hi"]))
+            i = Interval(Decimal(m["lo"]), Decimal(m["hi"]))
         elif (m := _simple.match(part)) and m["op"] not in ("<>", "!="):
-            c, e = float(m["c"]), m["e"].strip()
+            c = Decimal(m["c"])
             i = {"=": Interval(c, c), "<": Interval(hi=c, hi_open=True), "<=": Interval(hi=c), ">": Interval(c, lo_open=True), ">=": Interval(c)}[m["op"]]
-        else:
+        if i is None or _logical.search(m["e"]):  # a comparison inside a larger condition says nothing by itself
             rest.add(" ".join(part.split()))
             continue
+        e = m["e"].strip()
         out[e] = out.get(e, Interval()).meet(i)
     return out, rest
 
@@ -56,34 +63,55 @@ def implies(narrow: str, wide: str) -> bool:
     return rest_b <= rest_a and all(e in a and a[e].inside(i) for e, i in b.items())
 
 
-def _equal_columns(node: Node) -> dict[str, set[str]]:
-    """Columns that joins make equal."""
-    same: dict[str, set[str]] = {}
-    for j in (x for x in node.walk() if isinstance(x, Join)):
-        for a, b in j.on:
-            both = same.get(a, {a}) | same.get(b, {b})
-            for c in both:
-                same[c] = both
-    return same
+def _columns(scan: Scan) -> list[str]:
+    return [scan.prefix + c for c in scan.columns]
 
 
-def _reaches(node: Node, column: str) -> bool:
-    """Whether projections between hand the column on under its own name."""
-    return all(any(n == column and e.strip() == column for n, e in p.exprs) for p in node.walk() if isinstance(p, Project) and any(column in _columns(s) for s in p.scans()))
+def paths(root: Node) -> list[list[Node]]:
+    """The nodes from the root down to each table access, one list for each access."""
+    if isinstance(root, Scan):
+        return [[root]]
+    return [[root, *p] for c in root.children() for p in paths(c)]
 
 
-def _columns(scan: Scan) -> list[str]:
-    return [scan.prefix + c for c in scan.columns]
+def carried(path: list[Node], column: str) -> list[set[str]]:
+    """For each node of a path its output columns that hold the accessed table's column of every row unchanged.
+
+    Projections rename or lose it, equi-joins add the column that equals it, groupings keep it as a key only.
+    """
+    names = {path[-1].prefix + column}
+    out = [names]
+    for node, child in zip(reversed(path[:-1]), reversed(path)):
+        if isinstance(node, Project):
+            names = {n for n, e in node.exprs if e.strip().strip("`") in names}
+        elif isinstance(node, Join):
+            mine = 0 if node.left is child else 1
+            names = names | {pair[1 - mine] for pair in node.on if pair[mine] in names}
+        elif isinstance(node, Aggregate):
+            names = names & set(node.keys)
+        out.append(names)
+    return out[::-1]
+
+
+def _own_columns(node: Node) -> set[str]:
+    """Output columns that are columns of a table under their own name."""
+    if isinstance(node, Scan):
+        return set(_columns(node))
+    if isinstance(node, Project):
+        inner = _own_columns(node.child)
+        return {n for n, e in node.exprs if e.strip() == n and n in inner}
+    if isinstance(node, Join):
+        return _own_columns(node.left) | _own_columns(node.right)
+    if isinstance(node, UnionAll):
+        return _own_columns(node.left) & _own_columns(node.right)
+    if isinstance(node, Aggregate):
+        return _own_columns(node.child) & set(node.keys)
+    return _own_columns(node.children()[0])
 
 
-def _above(root: Node, scan: Scan) -> list[Node]:
-    """The nodes from the root down to the scan."""
-    if root is scan:
-        return [root]
-    for c in root.children():
-        if found := _above(c, scan):
-            return [root, *found]
-    return []
+def _never_negative(expr: str, agg: Aggregate, positive: set[str]) -> bool:
+    """Whether it is known of this expression, and its names still mean the tables' columns."""
+    return expr in positive and set(re.findall(r"[A-Za-z_]\w*", expr)) & set(_output(agg.child)) <= _own_columns(agg.child)
 
 
 def _monotone(having: str, agg: Aggregate, positive: set[str]) -> bool:
@@ -98,7 +126,7 @@ def _monotone(having: str, agg: Aggregate, positive: set[str]) -> bool:
         if e not in kinds:
             return False
         f, arg = kinds[e]
-        grows = f in ("count", "max") or f == "sum" and arg in positive
+        grows = f in ("count", "max") or f == "sum" and _never_negative(arg, agg, positive)
         if not (grows and i.hi == INF or f == "min" and i.lo == -INF):
             return False
     return True
@@ -110,43 +138,45 @@ def is_safe(plan: Node, table: str, attr: str, positive: set[str] = frozenset(),
     ``positive``: expressions known to be never negative.  ``determined``: for an attribute the sets of group
     keys that determine it, such as the order's date by the order's key.
     """
-    return all(_safe_scan(plan, s, attr, positive, determined or {}) for s in plan.scans() if s.table == table)
+    return all(_safe_path(p, attr, positive, determined or {}) for p in paths(plan) if p[-1].table == table)
 
 
-def _safe_scan(plan: Node, scan: Scan, attr: str, positive: set[str], determined: dict[str, set[str]]) -> bool:
-    path = _above(plan, scan)
-    name = scan.prefix + attr
-    groups = [n for n in path if isinstance(n, (Aggregate, Distinct))]
-    tops = [n for n in path if isinstance(n, TopK)]
+def _safe_path(path: list[Node], attr: str, positive: set[str], determined: dict[str, set[str]]) -> bool:
+    tops = [i for i, n in enumerate(path) if isinstance(n, TopK)]
+    if tops:
+        # what drops rows of a top-k leaves their fragments out of the sketch, and others would move up
+        if len(tops) > 1 or not all(isinstance(n, (Project, Aggregate, Distinct)) for n in path[: tops[0]]):
+            return False
+        path = path[tops[0] :]
+    groups = [i for i, n in enumerate(path) if isinstance(n, (Aggregate, Distinct))]
     if any(isinstance(n, UnionAll) for n in path) and (groups or tops):
         return False
-    if not groups and not tops:
-        return True  # rule 1: rows left out cannot create results
-    same = _equal_columns(plan)
-    names = same.get(name, {name})
+    if all(isinstance(path[i], Distinct) for i in groups):
+        return True  # rules 1 and 4: rows left out cannot create results, nor move others up
+    tracked = [carried(path, c) for c in {attr, *determined.get(attr, set())}]
 
-    def by_keys(g: Node) -> bool:
+    def by_keys(i: int) -> bool:
+        g = path[i]
         keys = set(g.keys) if isinstance(g, Aggregate) else set(_output(g.child))
-        return bool(names & keys) or bool(determined.get(attr, set()) & keys)
+        return any(names[i + 1] & keys for names in tracked)
 
-    if groups and all(by_keys(g) for g in groups):
+    if all(map(by_keys, groups)):
         return True  # rule 2: a group lies wholly in or out
-    if not groups:
-        return len(tops) == 1  # rule 4: top-k over plain rows
-    if len(groups) > 1 or len(tops) > 1 or isinstance(groups[0], Distinct):
+    if len(groups) > 1:
         return False
-    agg, at = groups[0], path.index(groups[0])
-    having = [n for n in path[:at] if isinstance(n, Filter)]
-    if any(isinstance(n, (Join, Project)) for n in path[:at]):
+    agg, above = path[groups[0]], path[: groups[0]]
+    if any(isinstance(n, (Join, Project)) for n in above):
         return False
+    having = [n for n in above if isinstance(n, Filter)]
     monotone = all(_monotone(h.condition, agg, positive) for h in having)
     if not tops:
         return monotone and bool(having)  # rule 3
-    order = tops[0].order
+    order = path[0].order
     if all(c in agg.keys for c, _ in order):
         return not having and set(c for c, _ in order) == set(agg.keys)  # rule 4: a partial group keeps its rank
     kinds = {n: (f, e) for n, f, e in agg.aggs}
-    falling = all(d and c in kinds and (kinds[c][0] in ("count", "max") or kinds[c][0] == "sum" and kinds[c][1] in positive) for c, d in order[:1])
+    c, down = order[0]
+    falling = down and c in kinds and (kinds[c][0] in ("count", "max") or kinds[c][0] == "sum" and _never_negative(kinds[c][1], agg, positive))
     return monotone and falling and len(order) == 1
 
 
@@ -169,13 +199,20 @@ def output_columns(node: Node) -> list[str]:
 def choose_attribute(plan: Node, table: str, candidates: list[str], positive: set[str] = frozenset(), clustered: str | None = None) -> str | None:
     """A safe attribute; group-by attributes first, then the one that the files are sorted by."""
     safe = [c for c in candidates if is_safe(plan, table, c, positive)]
-    same = _equal_columns(plan)
-    keys = {k for n in plan.walk() if isinstance(n, Aggregate) for k in n.keys}
-    prefix = {s.prefix for s in plan.scans() if s.table == table}
-    grouped = [c for c in safe if any(same.get(p + c, {p + c}) & keys for p in prefix)]
+    grouped = [c for c in safe if is_group_key(plan, table, c)]
     return next(iter([*grouped, *(c for c in safe if c == clustered), *safe]), None)
 
 
+def is_group_key(plan: Node, table: str, attr: str) -> bool:
+    """Whether the attribute reaches a grouping as a key, under whatever name."""
+    for path in paths(plan):
+        if path[-1].table == table:
+            names = carried(path, attr)
+            if any(isinstance(n, Aggregate) and names[i + 1] & set(n.keys) for i, n in enumerate(path)):
+                return True
+    return False
+
+
 def can_reuse(stored: Node, query: Node) -> bool:
     """Whether the sketch of ``stored`` covers the provenance of ``query``."""
     return template_key(stored) == template_key(query) and _covers(stored, query, False)
@@ -188,7 +225,7 @@ def _covers(a: Node, b: Node, beneath: bool) -> bool:
         return ok and _covers(a.child, b.child, beneath)
     if isinstance(a, TopK):
         return b.k <= a.k and _covers(a.child, b.child, True)
-    if isinstance(a, Join) and a.condition != b.condition and beneath:
+    if isinstance(a, Join) and a.condition != b.condition and (beneath or not implies(b.condition or "", a.condition or "")):
         return False
     deeper = beneath or isinstance(a, (Aggregate, Distinct))
     return all(_covers(x, y, deeper) for x, y in zip(a.children(), b.children()))

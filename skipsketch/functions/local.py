@@ -9,7 +9,7 @@ from __future__ import annotations
 import ast
 import re
 from collections.abc import Callable
-from decimal import ROUND_HALF_UP, Decimal
+from decimal import ROUND_HALF_UP, Context, Decimal
 from functools import cache
 from typing import Any
 
@@ -47,6 +47,30 @@ def compiled(expression: str) -> tuple[Callable[[dict[str, Any]], Any], frozense
     return run, names
 
 
-def exact(value: Any) -> Any:
-    """A number as the decimal that Spark's cast makes of it."""
-    return Decimal(repr(value)).quantize(Decimal("0.0001"), ROUND_HALF_UP) if isinstance(value, float) else Decimal(value)
+CTX = Context(prec=60, rounding=ROUND_HALF_UP)
+_PLACES, _LOSS = 12, 1e-9  # as in operators.aggregate
+_LAST = Decimal(1).scaleb(-_PLACES)
+
+
+def exact(value: Any) -> Decimal:
+    """A number as the decimal that it is added as; one that the decimal can't hold is an error."""
+    if not isinstance(value, float):
+        return Decimal(value)
+    if value - value != 0 or abs(value) >= 1e16:
+        raise ValueError(f"not exact as decimal: {value}")
+    out = CTX.quantize(Decimal(repr(value)), _LAST)
+    if abs(float(out) - value) > abs(value) * _LOSS:
+        raise ValueError(f"not exact as decimal: {value}")
+    return out
+
+
+def scaled(value: Decimal | int) -> int:
+    """A decimal as a whole number of its last place."""
+    out = CTX.scaleb(Decimal(value), _PLACES)
+    if out != out.to_integral_value():
+        raise NotLocal("more decimal places than sums keep")
+    return int(out)
+
+
+def unscaled(value: int) -> Decimal:
+    return CTX.scaleb(Decimal(value), -_PLACES)

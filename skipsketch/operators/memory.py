@@ -1,5 +1,8 @@
 """Maintenance with the operator state in the driver's memory, for small deltas and bounded state.
 
+Sums are whole numbers of 10 ** -PLACES, the decimals of the tables backend, and compared with decimal bounds, so
+both backends decide alike.
+
 What lies below the first aggregation runs as a DataFrame over the delta, or, for selections and projections of
 rows that are still on the driver, without a job; its few result rows go through the aggregation, the conditions above it, the top-k and the merge as Python objects.  Both the
 delta and the state are checked against bounds before they are gathered; beyond them use the tables backend.
@@ -9,18 +12,22 @@ from __future__ import annotations
 
 import bisect
 from dataclasses import dataclass, field
+from decimal import Decimal
+from typing import Any
 
 from pyspark.sql import functions as F
 
-from skipsketch.functions.local import NotLocal, compiled, exact
+from skipsketch.functions.local import CTX, NotLocal, compiled, exact, scaled, unscaled
 from skipsketch.functions.ranges import Partitioning, RangeSet
-from skipsketch.operators.aggregate import AggregateOp, argument
+from skipsketch.operators.aggregate import PLACES, AggregateOp, argument
 from skipsketch.operators.annotated import Annotated
 from skipsketch.operators.maintain import Options, Sketch, delta_of, full, merged
-from skipsketch.plans.algebra import Aggregate, Filter, M, Node, Project, Scan, TopK, UnsupportedForMaintenance, stateful
+from skipsketch.plans.algebra import Aggregate, Filter, Join, M, Node, Project, Scan, TopK, UnsupportedForMaintenance, stateful
 from skipsketch.plans.safety import INF, Interval, intervals
 from skipsketch.sources.delta import Database
+from skipsketch.sources.shared import stored
 
+#: Rows of a delta, after its joins, and entries of the state (groups, fragments of groups, values) up to which memory is used.
 MOST_DELTA, MOST_STATE = 50_000, 2_000_000
 
 
@@ -34,6 +41,28 @@ class Group:
     sorted: list[list] = field(default_factory=list)
 
 
+def _ordered(v: Any) -> Any:
+    if isinstance(v, float) and v != v:
+        raise UnsupportedForMaintenance("in memory: NaN under a minimum or maximum")
+    return v
+
+
+def _mean(total: int, n: int) -> Decimal:
+    """Rounded as Spark rounds a quotient of decimals."""
+    return CTX.quantize(CTX.quantize(CTX.divide(unscaled(total), Decimal(n)), Decimal(1).scaleb(-PLACES - 1)), Decimal(1).scaleb(-PLACES))
+
+
+def _bound(bound: Decimal, value: Any) -> Any:
+    """A bound in the type of the value that it is compared with."""
+    if isinstance(value, float):
+        return float(bound)
+    if isinstance(value, Decimal):
+        return CTX.quantize(bound, Decimal(1).scaleb(-PLACES)) if bound.is_finite() else bound
+    if not isinstance(value, int):
+        raise UnsupportedForMaintenance("in memory: a number is compared with something else")
+    return bound
+
+
 class MemorySketch:
     def __init__(self, db: Database, plan: Node, phi: Partitioning, version: int | None = None):
         self.db, self.plan, self.phi = db, plan, phi
@@ -104,8 +133,12 @@ class MemorySketch:
         op = AggregateOp(self.db.spark, self.node, self.phi)
         op.keyed = None  # counts by fragment are kept for every group here
         groups, frags, values = op.fold(below)
-        if groups.count() > MOST_STATE:
-            raise UnsupportedForMaintenance("in memory: too many groups")
+        if any(getattr(f.dataType, "scale", 0) > PLACES for f in groups.schema if f.name.startswith("sum_")):
+            raise UnsupportedForMaintenance("in memory: decimals of more places")
+        parts = [stored(x, "memory") for x in (groups, frags, *values.values())]
+        if sum(x.count() for x in parts) > MOST_STATE:  # from the files' footers, before anything is gathered
+            raise UnsupportedForMaintenance("in memory: too large a state")
+        groups, frags, values = parts[0], parts[1], dict(zip(values, parts[2:]))
         k = len(self.node.keys)
         for r in groups.toLocalIterator():
             g = self.groups[tuple(r[:k])] = self._new()
@@ -113,13 +146,13 @@ class MemorySketch:
             for j, i in enumerate(self.linear):
                 n, f, e = self.node.aggs[i]
                 g.nn[j] = r[f"nn_{n}"]
-                g.sums[j] = r[f"sum_{n}"] if f != "count" and e != "*" else 0
+                g.sums[j] = scaled(r[f"sum_{n}"]) if f != "count" and e != "*" else 0
         for r in frags.toLocalIterator():
             self.groups[tuple(r[:k])].frags[r["frag"]] = r["cnt"]
         for j, i in enumerate(self.ordered):
             for r in values[self.node.aggs[i][0]].toLocalIterator():
                 g = self.groups[tuple(r[:k])]
-                g.values[j][r["v"]] = r["cnt"]
+                g.values[j][_ordered(r["v"])] = r["cnt"]
         for key, g in self.groups.items():
             g.sorted = [sorted(v) for v in g.values]
             if (row := self._row(key, g)) is not None:
@@ -138,14 +171,17 @@ class MemorySketch:
         out: list = [None] * len(self.node.aggs)
         for j, i in enumerate(self.linear):
             f = self.node.aggs[i][1]
-            out[i] = g.nn[j] if f == "count" else None if not g.nn[j] else g.sums[j] if f == "sum" else g.sums[j] / g.nn[j]
+            out[i] = g.nn[j] if f == "count" else None if not g.nn[j] else unscaled(g.sums[j]) if f == "sum" else _mean(g.sums[j], g.nn[j])
         for j, i in enumerate(self.ordered):
             found = g.sorted[j]
             out[i] = None if not found else found[0] if self.node.aggs[i][1] == "min" else found[-1]
         row = (*key, *out)
         for at, i in self.bounds if bounds is None else bounds:
             x = row[at]
-            if x is None or not ((x > i.lo or (x == i.lo and not i.lo_open)) and (x < i.hi or (x == i.hi and not i.hi_open))):
+            if x is None:
+                return None
+            lo, hi = _bound(i.lo, x), _bound(i.hi, x)
+            if not ((x > lo or (x == lo and not i.lo_open)) and (x < hi or (x == hi and not i.hi_open))):
                 return None
         return row
 
@@ -153,7 +189,9 @@ class MemorySketch:
         out = []
         for c, down in self.top.order:
             x = row[self.names.index(c)]
-            out.append((x is None, INF if x is None else -x if down else x))
+            if down and x is not None and not isinstance(x, (int, float, Decimal)):
+                raise UnsupportedForMaintenance("in memory: a falling order of something else than numbers")
+            out.append((x is None, INF if x is None else x if not down else CTX.minus(x) if isinstance(x, Decimal) else -x))
         return (*out, *((x is None, 0 if x is None else x) for x in row))
 
     def _emit(self, row: tuple, frags: tuple, sign: int, changes: dict[int, int]) -> None:
@@ -176,10 +214,15 @@ class MemorySketch:
 
     def gather(self, delta: Annotated) -> list[tuple]:
         """key, arguments, fragments, multiplicity of each delta row."""
-        args = [F.lit(1) if e == "*" else argument(delta.df, e) for _, _, e in self.node.aggs]
+        args = [F.lit(1) if e == "*" else F.expr(e) if f in ("count", "min", "max") else argument(delta.df, e) for _, f, e in self.node.aggs]
         rows = delta.df.select(F.array(*delta.thin) if not delta.wide else delta.sketch(), M, *self.node.keys, *(a.alias(f"__a{i}") for i, a in enumerate(args)))
-        k = len(self.node.keys)
-        return [(tuple(r[2 : 2 + k]), tuple(r[2 + k :]), r[0], r[1]) for r in rows.collect()]
+        if any(isinstance(n, Join) for n in self.base.walk()):  # a join may make more rows than the log has; one job either way
+            rows = rows.limit(MOST_DELTA + 1).where(F.col(M) != 0)
+        k, sums = len(self.node.keys), {i for i, (_, f, _) in enumerate(self.node.aggs) if f in ("sum", "avg")}
+        found = rows.collect()
+        if len(found) > MOST_DELTA:
+            raise UnsupportedForMaintenance("in memory: too large a delta")
+        return [(tuple(r[2 : 2 + k]), tuple(scaled(x) if i in sums and x is not None else x for i, x in enumerate(r[2 + k :])), r[0], r[1]) for r in found]
 
     def maintain(self, version: int | None = None) -> dict[int, int]:
         """Bring the sketch to a version; returns its delta."""
@@ -192,8 +235,9 @@ class MemorySketch:
             self.version = version
             return self.apply(held)
         found = delta_of(self.db, Sketch(self.base, self.phi, self.version, {}, options=Options()), version)
+        rows = self.gather(found) if found is not None else []
         self.version = version
-        return self.apply(self.gather(found)) if found is not None else {}
+        return self.apply(rows)
 
     def _local(self, version: int) -> list[tuple] | None:
         """The same from rows that are still on the driver, without a job; None where Spark is needed."""
@@ -226,12 +270,16 @@ class MemorySketch:
                     else:
                         now = {n: now[e.strip()] if e.strip() in now else compiled(e)[0](now) for n, e in step.exprs}
                 if keep:
-                    args = tuple(1 if e == "*" else None if now.get(e, 0) is None else exact(now[e] if e in now else compiled(e)[0](now)) for _, _, e in self.node.aggs)
+                    args = tuple(1 if e == "*" else None if now.get(e, 0) is None else self._argument(f, now[e] if e in now else compiled(e)[0](now)) for _, f, e in self.node.aggs)
                     out.append((tuple(now[k] for k in self.node.keys), args, frags, row[-1]))
         except NotLocal:
             return None
         return out
 
+    @staticmethod
+    def _argument(f: str, value: Any) -> Any:
+        return value if f in ("count", "min", "max") else scaled(exact(value))
+
     def apply(self, delta: list[tuple]) -> dict[int, int]:
         changes: dict[int, int] = {}
         if self.top:
@@ -240,6 +288,8 @@ class MemorySketch:
         for key, args, frags, m in delta:
             g = self.groups.get(key)
             if g is None:
+                if any(x != x for x in key):
+                    raise UnsupportedForMaintenance("in memory: NaN as a group key")
                 g = self.groups[key] = self._new()
             if key not in before:  # the old image is kept once for each touched group
                 row = self._row(key, g)
@@ -259,6 +309,7 @@ class MemorySketch:
             for j, i in enumerate(self.ordered):
                 v = args[i]
                 if v is not None:
+                    v = _ordered(v)
                     n = g.values[j].get(v, 0) + m
                     if n and v not in g.values[j]:
                         bisect.insort(g.sorted[j], v)

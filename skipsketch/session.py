@@ -6,16 +6,81 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from skipsketch.functions.ranges import GridRanges, Partitioning, RangeSet
+from skipsketch.functions.ranges import GridRanges, Partitioning, RangeSet, annotate, equi_depth_ranges, merge_ranges, split_range
 from skipsketch.operators.memory import MOST_DELTA, MemorySketch
-from skipsketch.operators.maintain import Options, Sketch, answer, capture, is_stale, maintain, recapture_fragments, supported, with_sketch
-from skipsketch.plans.algebra import Node, UnsupportedForMaintenance, template_key
-from skipsketch.plans.safety import is_safe
+from skipsketch.operators.maintain import Options, Sketch, answer, capture, is_stale, maintain, rebalance, recapture_fragments, supported, with_sketch
+from skipsketch.operators.topk import TopKOp
+from skipsketch.plans.algebra import Aggregate, Distinct, M, Node, TopK, UnsupportedForMaintenance, template_key
+from skipsketch.plans.safety import choose_attribute, is_safe
 from skipsketch.sources.catalog import SketchStore
 from skipsketch.sources.delta import Database
 
 
+@dataclass
+class Loads:
+    """Rows of each range of a table, estimated by the deltas since they were counted."""
+
+    rows: dict[int, int]
+    version: int
+    start: int
+    changed: int = 0
+    stuck: set[int] = field(default_factory=set)  # ranges of one value, that can't be split
+
+    @staticmethod
+    def counted(db: Database, ranges: RangeSet) -> Loads:
+        rows = _by_range(db[ranges.table].image(), ranges)
+        return Loads(rows, db[ranges.table].version, sum(rows.values()))
+
+    def follow(self, db: Database, ranges: RangeSet) -> None:
+        table = db[ranges.table]
+        if table.version > self.version:
+            for f, n in _by_range(table.changes(self.version), ranges).items():
+                self.rows[f] = self.rows.get(f, 0) + n
+            self.changed += table.rows_between(self.version)
+            self.version = table.version
+
+    def step(self, db: Database, ranges: RangeSet, factor: float) -> tuple[str, RangeSet, dict[int, set[int]]] | None:
+        """The next split or merge that is due."""
+        n = [self.rows.get(f, 0) for f in range(ranges.count)]
+        mean = max(1.0, sum(n) / ranges.count)
+        for f in sorted(range(ranges.count), key=n.__getitem__, reverse=True):
+            if n[f] <= factor * mean:
+                break
+            if f in self.stuck:
+                continue
+            inside = db[ranges.table].image().where(ranges.predicate({f})).where(F.col(M) > 0)
+            lowest, middle = inside.agg(F.min(ranges.attr), F.percentile_approx(ranges.attr, 0.5)).first()
+            if middle is None or middle <= lowest:  # half of it is one value: cut after that
+                middle = None if lowest is None else inside.where(F.col(ranges.attr) > F.lit(lowest)).agg(F.min(ranges.attr)).first()[0]
+            if middle is None:
+                self.stuck.add(f)
+                continue
+            return "split", *split_range(ranges, f, middle)
+        for f in range(ranges.count - 1):
+            if ranges.count > 2 and n[f] + n[f + 1] < mean / factor:
+                return "merged", *merge_ranges(ranges, f)
+        return None
+
+    def moved(self, moves: dict[int, set[int]], kind: str) -> None:
+        rows: dict[int, int] = {}
+        for f, to in moves.items():
+            for x in to:  # halves of a split range are taken as equal
+                rows[x] = rows.get(x, 0) + self.rows.get(f, 0) // len(to)
+        self.rows = rows
+        self.stuck = set().union(*(moves[f] for f in self.stuck)) if self.stuck else set()
+
+
+def _by_range(rows: DataFrame, ranges: RangeSet) -> dict[int, int]:
+    """Net rows of each range; as many rows as ranges reach the driver."""
+    found = annotate(rows, ranges).groupBy("__frag").agg(F.sum(M).alias("n"))
+    return {r["__frag"]: r["n"] for r in found.collect()}
+
+
+Ranges = RangeSet | GridRanges
+
+
 @dataclass
 class Strategy:
     """What happens after an update; queries always see a fresh sketch."""
@@ -49,34 +114,47 @@ def NoSketch() -> Strategy:  # noqa: N802
 
 
 class Session:
-    """``ranges``: the partition of each table that may be sketched; ``positive``: expressions never negative.
+    """``ranges``: for each table that may be sketched its partition, or several to choose from; ``positive``: expressions never negative.
 
     ``backend``: tables, memory, or auto, which keeps state in memory while it and the deltas are within the
-    bounds of ``operators.memory`` and goes to state tables beyond them.
+    bounds of ``operators.memory`` and goes to state tables beyond them.  ``clustered``: the column by which a
+    table's files are sorted, preferred where several attributes are safe.  ``balance_share``: after changes of so
+    large a share of a table's rows its ranges are balanced (``balance``); None leaves them as they are.
     """
 
-    def __init__(self, spark: SparkSession, tables: dict[str, DataFrame], ranges: dict[str, RangeSet | GridRanges], strategy: Strategy | None = None, options: Options | None = None, positive: set[str] = frozenset(), persist: bool = False, backend: str = "tables"):
+    def __init__(self, spark: SparkSession, tables: dict[str, DataFrame], ranges: dict[str, Ranges | list[Ranges]], strategy: Strategy | None = None, options: Options | None = None, positive: set[str] = frozenset(), persist: bool = False, backend: str = "tables", clustered: dict[str, str] | None = None, balance_share: float | None = None):
         self.spark, self.db = spark, Database(spark, tables)
-        self.ranges, self.strategy, self.options = ranges, strategy or LazyStrategy(), options or Options()
-        self.positive, self.persist, self.backend = positive, persist, backend
+        self.ranges = {t: r if isinstance(r, list) else [r] for t, r in ranges.items()}
+        self.strategy, self.options = strategy or LazyStrategy(), options or Options()
+        self.positive, self.persist, self.backend, self.clustered, self.balance_share = positive, persist, backend, clustered or {}, balance_share
         self.store = SketchStore(spark)
         self.pending: dict[str, int] = {}
-        self.counts = {"captured": 0, "maintained": 0, "recaptured": 0, "reused": 0, "derived": 0, "plain": 0}
+        self.loads: dict[tuple[str, str], Loads] = {}  # rows of each range, by table and attribute
+        self.counts = {"captured": 0, "maintained": 0, "recaptured": 0, "reused": 0, "derived": 0, "plain": 0, "split": 0, "merged": 0, "renewed": 0}
 
     def partitioning(self, plan: Node) -> Partitioning:
-        """Ranges of the tables on which a sketch is safe for this plan."""
+        """For each table the ranges of the attribute that suits the plan best, of those on which a sketch is safe."""
         safe = []
         for t in plan.tables():
-            r = self.ranges.get(t)
-            attrs = [p.attr for p in r.parts] if isinstance(r, GridRanges) else [r.attr] if r else []
-            if attrs and all(is_safe(plan, t, a, self.positive) for a in attrs):
-                safe.append(r)
+            own = self.ranges.get(t, [])
+            grids = [r for r in own if isinstance(r, GridRanges)]
+            plain = {r.attr: r for r in own if isinstance(r, RangeSet)}
+            best = choose_attribute(plan, t, list(plain), self.positive, self.clustered.get(t))
+            if best is not None:
+                safe.append(plain[best])
+            else:
+                safe += [g for g in grids if all(is_safe(plan, t, p.attr, self.positive) for p in g.parts)][:1]
         return Partitioning(*safe)
 
-    def query(self, plan: Node) -> DataFrame:
-        """The plan's answer at the newest version, over a sketch where one is safe."""
+    def query(self, plan: Node, extra: dict[str, DataFrame] | None = None) -> DataFrame:
+        """The plan's answer at the newest version, over a sketch where one is safe.
+
+        ``extra``: signed rows, by table, that this query's transaction has changed and not committed.
+        """
         supported(plan)
         phi = self.partitioning(plan)
+        if extra:
+            return self._uncommitted(plan, phi, extra)
         if self.strategy.name == "none" or not phi.ranges:
             self.counts["plain"] += 1
             return answer(self.db, plan)
@@ -96,6 +174,17 @@ class Session:
             self._maintain(found)
         return with_sketch(self.db, sketch, plan=plan)
 
+    def _uncommitted(self, plan: Node, phi: Partitioning, extra: dict[str, DataFrame]) -> DataFrame:
+        """Over the stored sketch with an overlay; the stored one stays that of committed versions."""
+        found = self.store.find(plan)
+        sketch = self.store.get(found) if found else None
+        if not isinstance(sketch, Sketch) or not sketch.ops and any(isinstance(n, (Aggregate, Distinct, TopK)) for n in plan.walk()):
+            return answer(self.db, plan, extra=extra)
+        maintain(self.db, sketch, extra={t: d for t, d in extra.items() if t in plan.tables()})
+        out = with_sketch(self.db, sketch, plan=plan, extra=extra)
+        sketch.overlay = None
+        return out
+
     def _derived(self, plan: Node, phi: Partitioning) -> Sketch | None:
         """A sketch for other constants above the same groups, from state in memory and without reading a table."""
         for sketch_id, held in list(self.store.live.items()):
@@ -118,6 +207,11 @@ class Session:
                     raise
         return capture(self.db, plan, phi, options=self.options)
 
+    def _forget(self, sketch_id: str) -> None:
+        self.store.entries.pop(sketch_id, None)
+        self.store.live.pop(sketch_id, None)
+        self.pending.pop(sketch_id, None)
+
     def _full(self, plan: Node, phi: Partitioning) -> DataFrame:
         found = self.store.find(plan)
         sketch = self.store.get(found) if found else None
@@ -141,6 +235,9 @@ class Session:
                 changes = {f: 1 if f in new.fragments else -1 for f in new.fragments ^ sketch.fragments}
                 sketch = new
                 self.counts["recaptured"] += 1
+            except Exception:  # its state may hold a part of the delta
+                self._forget(sketch_id)
+                raise
         else:
             changes = maintain(self.db, sketch)
         self.counts["maintained"] += 1
@@ -170,8 +267,62 @@ class Session:
             self.db[name].commit_delta(self.db.version, delta)
         return self._after(set(deltas))
 
+    def balance(self, table: str, factor: float = 4.0, renew: float = 0.5) -> dict[str, int]:
+        """Split ranges of more than ``factor`` times the mean number of rows and merge neighbours of less than a ``factor``-th.
+
+        The rows of each range are counted once and then carried on from deltas.  Sketches are remapped, which keeps them
+        sound; those whose state can't be split are captured again when they are needed.  Where more than the share
+        ``renew`` of the rows changed since the ranges were made, new equi-depth ranges replace them.
+        """
+        done = {"split": 0, "merged": 0, "renewed": 0}
+        for i, ranges in enumerate(self.ranges.get(table, [])):
+            if not isinstance(ranges, RangeSet) or not ranges.cuts:
+                continue
+            loads = self.loads.get((table, ranges.attr)) or Loads.counted(self.db, ranges)
+            loads.follow(self.db, ranges)
+            if loads.changed > renew * max(1, loads.start):
+                rows = self.db[table].image().where(F.col(M) > 0)
+                new = equi_depth_ranges(rows, table, ranges.attr, ranges.count)
+                if new != ranges:
+                    self.ranges[table][i] = new
+                    for sketch_id in [x for x in self.store.entries if self.store.get(x).phi.ranges.get(table) == ranges]:
+                        self._forget(sketch_id)
+                    done["renewed"] += 1
+                self.loads[table, ranges.attr] = Loads.counted(self.db, new)
+                continue
+            while (step := loads.step(self.db, ranges, factor)) is not None:
+                kind, new, moves = step
+                loads.moved(moves, kind)
+                self._moved(table, ranges, new, moves)
+                self.ranges[table][i] = ranges = new
+                done[kind] += 1
+            self.loads[table, ranges.attr] = loads
+        for kind, n in done.items():
+            self.counts[kind] += n
+        return done
+
+    def _moved(self, table: str, old: RangeSet, new: RangeSet, moves: dict[int, set[int]]) -> None:
+        for sketch_id in list(self.store.entries):
+            sketch = self.store.get(sketch_id)
+            if sketch.phi.ranges.get(table) != old:
+                continue
+            if isinstance(sketch, Sketch) and not any(isinstance(op, TopKOp) for op in sketch.ops.values()):
+                rebalance(sketch, new, moves)
+                self.store.put(sketch_id, sketch, self.persist)
+            else:
+                self._forget(sketch_id)
+
     def _after(self, tables: set[str]) -> dict[str, dict[int, int]]:
         out, s = {}, self.strategy
+        for t in tables if self.balance_share is not None else ():
+            for r in self.ranges.get(t, []):
+                if isinstance(r, RangeSet):
+                    loads = self.loads.get((t, r.attr))
+                    if loads is None:
+                        loads = self.loads[t, r.attr] = Loads.counted(self.db, r)
+                    if self.db[t].rows_between(loads.version) > self.balance_share * max(1, sum(loads.rows.values())):
+                        self.balance(t)
+                        break
         if s.name not in ("eager", "hybrid"):
             return out
         for sketch_id in list(self.store.entries):

@@ -78,7 +78,7 @@ class Vocabulary(dict):
 
 
 def base_counts(text: bytes, numbers: np.ndarray) -> tuple[int, int, int, int, int]:
-    """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of a text; words are given by number, under 2 ** 21."""
+    """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of a text; words are given by number, under 2 ** 31."""
     chars = len(text.translate(None, WHITE)) - int(np.count_nonzero((np.frombuffer(text, np.uint8) & 0xC0) == 0x80))
     lines: set[bytes] = set()
     again = 0
@@ -89,7 +89,11 @@ def base_counts(text: bytes, numbers: np.ndarray) -> tuple[int, int, int, int, i
             lines.add(line)
     repeat = 0
     if len(numbers) > 3:
-        three = numbers[:-2] | numbers[1:-1] << 21 | numbers[2:] << 42
+        if int(numbers.max()) < 1 << 21:
+            three = numbers[:-2] | numbers[1:-1] << 21 | numbers[2:] << 42
+        else:  # pairs get numbers of their own first, so that no bit is lost
+            pairs = np.unique(numbers[:-2] << 31 | numbers[1:-1], return_inverse=True)[1]
+            three = pairs << 31 | numbers[2:]
         order = np.sort(three)
         twice = order[1:][order[1:] == order[:-1]]
         if len(twice):
@@ -203,7 +207,8 @@ def code_points(texts: list[str]) -> np.ndarray:
 def gram_hash(language: int, points: np.ndarray, width: int) -> np.ndarray:
     """Hash of the ``width`` code points that end at each place from width - 1 on."""
     n = len(points) - width + 1
-    out = np.full(max(n, 0), np.uint64(language * 8 + width), np.uint64)
+    # a mixed seed: small ones would cancel against code points, and n-grams of different widths collide
+    out = np.full(max(n, 0), mixed(np.array([language * 64 + width], np.uint64))[0], np.uint64)
     for i in range(width):
         out = mixed(out ^ points[i : n + i]) if n > 0 else out
     return out

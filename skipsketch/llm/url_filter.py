@@ -2,8 +2,9 @@
 
 A URL becomes a set of tokens: its scheme, its host and each end of it after a dot, the words of all labels,
 the segments of its path without numbers, its query keys, and marks for features such as a port.  FP-growth mines frequent
-combinations of tokens and the label of labelled URLs.  Rules that conclude ``block`` are kept if support and
-confidence are high enough and no rule on fewer of their tokens is as confident.  The rules are matched by an
+combinations of tokens and the label of labelled URLs.  Rules that conclude ``block`` are kept if they have enough
+support (a share of the examples, and a number of blocked ones), if their confidence is high and, at its lower limit by
+the number of examples, above the share of blocked examples, and if no rule on fewer of their tokens is as confident.  The rules are matched by an
 inverted index: each rule stands under its rarest token, a page's tokens meet the index, and the rule holds if
 the page has all its tokens.
 
@@ -63,18 +64,33 @@ def tokens(host: Column, path: Column, url: Column) -> Column:
     return F.array_distinct(F.concat(marked("domain:", ends), marked("word:", words), marked("path:", segments), keys, F.when(F.instr(F.coalesce(url, F.lit("")), "://") > 0, scheme).otherwise(F.array().cast("array<string>")), port))
 
 
-def mined(labelled: DataFrame, support: float, confidence: float) -> DataFrame:
+#: Blocked examples that a rule needs, and the normal quantile by which its confidence is lowered before it is compared.
+LEAST, SURE = 20, 2.58
+
+
+def lower_limit(share: Column, n: Column) -> Column:
+    """Wilson's lower limit of a share that was seen in n examples."""
+    z2 = SURE * SURE
+    return (share + z2 / (2 * n) - SURE * F.sqrt(share * (1 - share) / n + z2 / (4 * n * n))) / (1 + z2 / n)
+
+
+def mined(labelled: DataFrame, support: float, confidence: float, least: int = LEAST) -> DataFrame:
     """rule, antecedent, confidence, lift of rules for ``block``, from (tokens, block); none that a shorter rule makes needless."""
+    examples = labelled.agg(F.count("*").alias("n"), F.coalesce(F.avg(F.col("block").cast("double")), F.lit(0.0)).alias("share")).first()
+    if not examples["share"]:
+        least = max(least, examples["n"] + 1)
+    support = min(1.0, max(support, least / max(1, examples["n"])))
     baskets = labelled.select(F.when(F.col("block"), F.concat("tokens", F.array(F.lit(BLOCK)))).otherwise(F.col("tokens")).alias("items")).where("size(items) > 0")
     model = FPGrowth(itemsCol="items", minSupport=support, minConfidence=confidence, numPartitions=int(labelled.sparkSession.conf.get("spark.sql.shuffle.partitions"))).fit(baskets)
     found = model.associationRules.where(F.array_contains("consequent", BLOCK))
+    seen = F.round(F.col("support") * examples["n"] / F.col("confidence"))
+    found = found.where(lower_limit(F.col("confidence"), seen) > examples["share"])
     found = stored(found.select(F.array_sort("antecedent").alias("antecedent"), "confidence", "lift"), "rules")
-    parts = found.select("antecedent", "confidence", F.explode("antecedent").alias("token"))
-    one = found.where("size(antecedent) = 1").select(F.element_at("antecedent", 1).alias("token"), F.col("confidence").alias("short"))
-    needless = parts.join(one, "token").where("size(antecedent) > 1 and short >= confidence").select("antecedent")
-    less = parts.where("size(antecedent) > 2").select("antecedent", "confidence", F.array_remove("antecedent", F.col("token")).alias("fewer"))
-    shorter = found.select(F.col("antecedent").alias("fewer"), F.col("confidence").alias("short"))
-    needless = needless.union(less.join(shorter, "fewer").where("short >= confidence").select("antecedent")).distinct()
+    # every shorter rule stands under its first token and meets the rules that hold this token
+    parts = found.where("size(antecedent) > 1").select("antecedent", "confidence", F.explode("antecedent").alias("token"))
+    shorter = found.select(F.element_at("antecedent", 1).alias("token"), F.col("antecedent").alias("fewer"), F.col("confidence").alias("short"))
+    covers = (F.size("fewer") < F.size("antecedent")) & (F.size(F.array_except("fewer", "antecedent")) == 0) & (F.col("short") >= F.col("confidence"))
+    needless = parts.join(shorter, "token").where(covers).select("antecedent").distinct()
     return found.join(needless, "antecedent", "left_anti").select(F.array_join("antecedent", " & ").alias("mined_rule"), "antecedent", "confidence", "lift")
 
 
@@ -97,12 +113,27 @@ def labelled_urls(pages: DataFrame, labels: DataFrame) -> DataFrame:
     return named.join(bad, "doc_id").select("url", "block").distinct()
 
 
-def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str, str]] = RULES, support: float = 0.0005, confidence: float = 0.6) -> DataFrame:
+def examples_of(pages: DataFrame, labels: DataFrame) -> DataFrame:
+    """tokens, block, held_out (a fifth by a hash of the URL) of the labelled URLs."""
+    url = F.col("url")
+    held = F.crc32(url.cast("binary")) % 5 == 0
+    return labelled_urls(pages, labels).select(tokens(host_of(url), path_of(url), url).alias("tokens"), "block", held.alias("held_out"))
+
+
+def evaluated(pages: DataFrame, labels: DataFrame, support: float = 0.0005, confidence: float = 0.6, least: int = LEAST) -> DataFrame:
+    """n, blocked, n_hit, n_right of held-out examples under rules mined on the others: precision is n_right / n_hit, the base rate blocked / n."""
+    found = examples_of(pages, labels)
+    rules = mined(found.where("not held_out"), support, confidence, least)
+    held = found.where("held_out").withColumn("key", F.monotonically_increasing_id())
+    held = stored(held, "held-out")
+    hits = matched(held.select("key", "tokens"), rules).select("key", F.lit(True).alias("hit"))
+    return held.join(hits, "key", "left").agg(F.count("*").alias("n"), F.count_if("block").alias("blocked"), F.count("hit").alias("n_hit"), F.count_if(F.col("hit") & F.col("block")).alias("n_right"))
+
+
+def judged(pages: DataFrame, labels: DataFrame, rules: list[tuple[str, str, str]] = RULES, support: float = 0.0005, confidence: float = 0.6, least: int = LEAST) -> DataFrame:
     """page_id, host, path, rule, verdict, mined_rule, confidence: a row for each page."""
     host, path, url = host_of(F.col("url")), path_of(F.col("url")), F.col("url")
-    examples = labelled_urls(pages, labels)
-    examples = examples.select(tokens(host, path, url).alias("tokens"), "block")
-    found = mined(examples, support, confidence)
+    found = mined(examples_of(pages, labels), support, confidence, least)
     parts = pages.select("page_id", F.coalesce(host, F.lit("")).alias("host"), F.coalesce(path, F.lit("")).alias("path"), "url")
     open_ = parts.where(curated(F.col("host"), F.col("path"), rules).isNull()).select("url", "host", "path").distinct()
     hits = matched(open_.select(F.col("url").alias("key"), tokens(F.col("host"), F.col("path"), F.col("url")).alias("tokens")), found)

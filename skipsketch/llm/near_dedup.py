@@ -22,12 +22,14 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from skipsketch.llm.common import WordHash, arrow_map, mixed, runs, shingle_hashes, stored, values
 
-REGISTERS, ROWS, BANDS, MANTISSA = 256, 7, 36, 10
+REGISTERS, MANTISSA = 256, 10
+#: Chance up to which a pair at the threshold may share no band.
+MISSED = 1e-5
 BITS = 64 - 8
 #: Standard deviations by which an estimate may lie under the threshold.
 SLACK = 5.0
@@ -65,11 +67,17 @@ def registers(found: np.ndarray) -> np.ndarray:
     return ((np.clip(BITS - power, 0, 63) << MANTISSA) | mantissa).astype(np.uint16)
 
 
-def bands(regs: np.ndarray) -> np.ndarray:
-    """A hash of each band of a matrix of registers, a row for each sketch."""
-    out = np.broadcast_to(np.arange(BANDS, dtype=np.uint64), (len(regs), BANDS)).copy()
-    used = regs[:, : ROWS * BANDS].reshape(len(regs), BANDS, ROWS).astype(np.uint64)
-    for i in range(ROWS):
+def band_rows(threshold: float) -> int:
+    """Registers of a band: as many as a pair at the threshold can have and still share a band, but for ``MISSED``."""
+    return max((r for r in range(1, 33) if (1 - threshold**r) ** (REGISTERS // r) <= MISSED), default=1)
+
+
+def bands(regs: np.ndarray, rows: int) -> np.ndarray:
+    """A hash of each band of so many registers of a matrix of registers, a row for each sketch."""
+    n = REGISTERS // rows
+    out = np.broadcast_to(np.arange(n, dtype=np.uint64), (len(regs), n)).copy()
+    used = regs[:, : rows * n].reshape(len(regs), n, rows).astype(np.uint64)
+    for i in range(rows):
         out = mixed(out ^ (used[:, :, i] + np.uint64(1)))
     return out.view(np.int64)
 
@@ -108,14 +116,14 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), np.uint16).reshape(len(column), REGISTERS)
 
 
-def banded(reps: DataFrame) -> DataFrame:
+def banded(reps: DataFrame, rows: int) -> DataFrame:
     """band (hash), v: a row for each band of each vertex."""
 
     def each(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         if not batch.num_rows:
             return None
         v = batch.column(0).to_numpy(zero_copy_only=False)
-        return pa.RecordBatch.from_arrays([pa.array(bands(_matrix(batch.column(1))).ravel()), pa.array(np.repeat(v, BANDS))], ["band", "v"])
+        return pa.RecordBatch.from_arrays([pa.array(bands(_matrix(batch.column(1)), rows).ravel()), pa.array(np.repeat(v, REGISTERS // rows))], ["band", "v"])
 
     return arrow_map(reps.select("v", "regs"), each, "band long, v long")
 
@@ -143,11 +151,20 @@ BLOCK = 256
 
 
 def dealt(members: DataFrame, sizes: DataFrame) -> DataFrame:
-    """Members (hub, v, ...) of the groups in ``sizes`` (hub, m) with i, j: blocks of a group, each pair of blocks once, so any two members meet."""
-    n = F.ceil(F.col("m") / BLOCK)
-    own = members.join(sizes, "hub").withColumn("n", n).withColumn("own", F.pmod(F.xxhash64("v"), F.col("n")))
-    other = own.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("n") - 1)))
-    return other.select(*members.columns, F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own")
+    """Members (hub, v, comp, ...) of the groups in ``sizes`` (hub, most, m, u) with i, j: blocks whose members are to be compared.
+
+    ``most`` is the component of most of a group's m members, u is the number of the others.  Only pairs with one of the
+    others can join components, so blocks i of those meet blocks j of all; members of ``most`` don't meet each other.
+    """
+    own = members.join(sizes, "hub").withColumn("ni", F.ceil(F.col("u") / BLOCK)).withColumn("nj", F.ceil(F.col("m") / BLOCK))
+    i, j = F.pmod(F.xxhash64("v"), F.col("ni")), F.pmod(F.xxhash64("v", F.lit(1)), F.col("nj"))
+
+    def through(n: str) -> Column:
+        return F.explode(F.sequence(F.lit(0).cast("long"), F.col(n) - 1))
+
+    right = own.select(*members.columns, through("ni").alias("i"), j.alias("j"))
+    left = own.where("comp <> most").withColumn("own", j).select(*members.columns, i.alias("i"), through("nj").alias("j"), "own").where("j <> own").drop("own")
+    return right.union(left)
 
 
 def together(rows: DataFrame) -> DataFrame:
@@ -239,7 +256,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     groups = usable.groupBy("key").agg(F.min("doc_id").alias("doc_id"))
     reps = stored(usable.join(groups, ["key", "doc_id"]).dropDuplicates(["key", "doc_id"]).select(F.col("doc_id").alias("v"), "n", "regs"), "vertices")
 
-    rows = banded(reps)
+    rows = banded(reps, band_rows(threshold))
     full = rows.groupBy("band").agg(F.count("*").alias("m")).where("m > 1")
     met = stored(rows.join(full, "band"), "met")
     degree = met.groupBy("v").agg(F.sum("m").alias("degree"))
@@ -264,7 +281,7 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     links = stored(confirmed(best, docs, k, percent), "confirmed")
     comps = components(links)
 
-    def label(v: str, name: str) -> F.Column:
+    def label(v: str, name: str) -> Column:
         return F.coalesce(F.col(name), F.col(v))
 
     def labelled(rows: DataFrame, v: str) -> DataFrame:
@@ -278,14 +295,17 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame
     comps = components(links.union(more)) if not more.isEmpty() else comps
     # ... and members that share a hub
     members = labelled(around, "v")
-    mixed_hubs = members.groupBy("hub").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("m")).where("lo <> hi")
-    mixed_hubs = stored(mixed_hubs.select("hub", "m"), "hubs")  # a plain table, so that the join below may split a large hub
+    shares = members.groupBy("hub", "comp").agg(F.count("*").alias("n"))
+    mixed_hubs = shares.groupBy("hub").agg(F.max(F.struct("n", "comp")).alias("top"), F.sum("n").alias("m")).where("top.n < m")
+    mixed_hubs = stored(mixed_hubs.select("hub", F.col("top.comp").alias("most"), "m", (F.col("m") - F.col("top.n")).alias("u")), "hubs")  # a plain table, so that the join below may split a large hub
     blocks = dealt(members, mixed_hubs).join(reps.select("v", "n", "regs"), "v").select("hub", "i", "j", "v", "comp", "n", "regs")
     inner = stored(crossing_links(hopeful(blocks, least, percent), docs, k, percent), "crossing")
     comps = components(links.union(more).union(inner)) if not inner.isEmpty() else comps
 
     group = usable.groupBy("key").agg(F.min("doc_id").alias("v")).join(comps, "v", "left").select("key", label("v", "comp").alias("comp"))
-    return sketches.select("doc_id", "n", "key").join(group, "key", "left").select(
+    # rows without a set have no partner; a key of their own keeps them from meeting in one task
+    alone = F.concat(F.lit(b"-"), F.encode(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), "UTF-8"))
+    return sketches.select("doc_id", "n", F.coalesce("key", alone).alias("key")).join(group, "key", "left").select(
         "doc_id",
         F.col("n").alias("n_shingles"),
         F.when(F.col("doc_id").isNotNull(), F.coalesce("comp", "doc_id")).alias("component_id"),

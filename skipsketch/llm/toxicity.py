@@ -26,7 +26,8 @@ from pyspark.sql import functions as F
 
 from skipsketch.llm.common import arrow_map, stored, values
 
-SAMPLE, VOTERS, FEATURES = 20_000, 150, 1_500
+#: Labelled documents to learn from; voters and features are all that these give evidence for.
+SAMPLE = 20_000
 #: Least evidence for a feature: log-likelihood ratio of its toxic share against the share in all texts.
 EVIDENCE = 9.0
 BEGINNINGS = (4, 5, 6)
@@ -47,7 +48,9 @@ def sample(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFrame:
     """text, toxic: training rows."""
     known = labels.where("toxic is not null and doc_id is not null").where(~held_out()).groupBy("doc_id").agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     known = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
-    return docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").select("text", "toxic")
+    found = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id")  # at most ``most`` rows are broadcast
+    # a document that stands there more than once is one of the sample
+    return found.groupBy("doc_id").agg(F.max_by(F.struct("text", "toxic"), F.struct(F.xxhash64("text"), "text")).alias("row")).select("row.text", "row.toxic")
 
 
 def marked(rows: DataFrame) -> list[tuple[str, int, int]]:
@@ -67,7 +70,7 @@ def marked(rows: DataFrame) -> list[tuple[str, int, int]]:
     base = min(max((total["toxic"] or 0) / max(1, total["n"]), 1e-4), 0.5)
     share = F.col("toxic") / F.col("n")
     evidence = F.col("toxic") * F.log(share / base) + (F.col("n") - F.col("toxic")) * F.log(F.greatest(1 - share, F.lit(1e-9)) / (1 - base))
-    top = found.where(F.col("toxic") >= 0.85 * F.col("n")).where(evidence >= EVIDENCE).orderBy(F.desc("toxic"), "n", "feature").limit(FEATURES)
+    top = found.where(F.col("toxic") >= 0.85 * F.col("n")).where(evidence >= EVIDENCE).orderBy(F.desc("toxic"), "n", "feature")
     return [tuple(r) for r in top.collect()]
 
 
@@ -83,19 +86,26 @@ class LabelModel:
     def posterior(self, votes: np.ndarray) -> np.ndarray:
         yes = np.log(self.toxic / self.clean) * self.weight
         no = np.log((1 - self.toxic) / (1 - self.clean)) * self.weight
-        logit = np.log(self.prior / (1 - self.prior)) + votes @ (yes - no) + no.sum()
+        logit = np.log(self.prior / (1 - self.prior)) + _times(votes, yes - no) + no.sum()
         return 1 / (1 + np.exp(-np.clip(logit, -30, 30)))
 
     def fit(self, votes: np.ndarray, rounds: int = 12) -> np.ndarray:
-        """Posterior labels of a matrix of votes, a column for each voter; the last column votes for clean."""
+        """Posterior labels of a boolean matrix of votes, a column for each voter; the last column votes for clean."""
         p = np.where(votes[:, :-1].any(axis=1), 0.9, 0.05)
+        n = len(votes)
         for _ in range(rounds):
             self.prior = float(np.clip(p.mean(), 1e-3, 1 - 1e-3))
-            self.toxic = (p @ votes + 0.5) / (p.sum() + 1)
-            self.clean = ((1 - p) @ votes + 0.05) / ((1 - p).sum() + 1)
-            rest = votes - np.outer(p, self.toxic) - np.outer(1 - p, self.clean)
-            spread = np.sqrt(np.maximum((rest**2).mean(axis=0), 1e-9))
-            tied = np.clip((rest.T @ rest) / len(votes) / np.outer(spread, spread), 0, 1)
+            self.toxic = (_times(votes.T, p) + 0.5) / (p.sum() + 1)
+            self.clean = (_times(votes.T, 1 - p) + 0.05) / ((1 - p).sum() + 1)
+            # what voters share beyond the class, summed over a few documents at a time
+            both = np.zeros((votes.shape[1],) * 2)
+            for at in range(0, n, CHUNK):
+                q = p[at : at + CHUNK]
+                rest = votes[at : at + CHUNK] - np.outer(q, self.toxic) - np.outer(1 - q, self.clean)
+                both += rest.T @ rest
+            both /= n
+            spread = np.sqrt(np.maximum(np.diag(both), 1e-9))
+            tied = np.clip(both / np.outer(spread, spread), 0, 1)
             np.fill_diagonal(tied, 0)
             tied[tied < 0.1] = 0
             self.weight = 1 / (1 + tied.sum(axis=1))
@@ -103,6 +113,15 @@ class LabelModel:
         return p
 
 
+#: Documents whose votes are numbers in memory at once.
+CHUNK = 2_000
+
+
+def _times(votes: np.ndarray, by: np.ndarray) -> np.ndarray:
+    """The product of a matrix of votes with a vector, a few rows at a time."""
+    return np.concatenate([votes[at : at + CHUNK].astype(float) @ by for at in range(0, len(votes), CHUNK)]) if len(votes) else np.zeros(0)
+
+
 def linear(rows: np.ndarray, cols: np.ndarray, goal: np.ndarray, width: int, rounds: int = 300, ridge: float = 1e-4) -> tuple[np.ndarray, float]:
     """Logistic regression on sparse presence features towards labels between 0 and 1."""
     w, bias, n = np.zeros(width), -2.0, max(1, len(goal))
@@ -131,13 +150,12 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> tuple[dict[st
         found = [sorted(number[x] for x in features(t) if x in number) for t in batch.column(0).to_pylist()]
         return pa.RecordBatch.from_arrays([pa.array(found, pa.list_(pa.int32()))], ["found"])
 
-    held = [r[0] for r in arrow_map(rows, each, "found array<int>").collect()]  # at most ``most`` rows, and FEATURES numbers each
+    held = [r[0] for r in arrow_map(rows, each, "found array<int>").collect()]  # at most ``most`` rows, with the numbers of their features
     n = len(held)
     at = np.repeat(np.arange(n), [len(x) for x in held]).astype(np.int64)
     cols = np.concatenate([np.asarray(x, np.int64) for x in held]) if n else np.zeros(0, np.int64)
-    voters = min(VOTERS, len(chosen))
-    votes = np.zeros((n, voters + 1))
-    votes[at[cols < voters], cols[cols < voters]] = 1
+    votes = np.zeros((n, len(chosen) + 1), bool)
+    votes[at, cols] = True
     votes[:, -1] = ~votes[:, :-1].any(axis=1)
     model = LabelModel()
     goal = model.fit(votes)
@@ -148,7 +166,7 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> tuple[dict[st
 def scored(docs: DataFrame, labels: DataFrame, most: int = SAMPLE) -> DataFrame:
     """All columns of ``docs`` with held_out, score and predicted."""
     weights, bias, _ = fit(docs, labels, most)
-    own = [c for c in docs.columns if c not in ("held_out", "score", "predicted")]
+    own = [c for c in docs.columns if c.lower() not in ("held_out", "score", "predicted")]
     kept = docs.select(F.struct(*(F.col(f"`{c}`") for c in own)).alias("row"), F.col("text"), held_out().alias("held_out"))
     known: dict[str, tuple[str, ...]] = {}
 

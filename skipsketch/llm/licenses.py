@@ -10,9 +10,11 @@ table: empty result.  Other columns are ignored.
 
 from __future__ import annotations
 
+import bisect
 import re
 from collections.abc import Iterator
 from functools import cache
+from itertools import groupby
 
 import numpy as np
 import pyarrow as pa
@@ -102,12 +104,29 @@ def notices(text: str) -> list[tuple[int, int, int, int]]:
             for m in places(patterns[i], text, a, b):
                 found.append((i, m.start(), m.end(), sum(m.fuzzy_counts)))
     kept: list[tuple[int, int, int, int]] = []
-    for x in sorted(found, key=lambda x: (x[3], x[1] - x[2], x[1], x[0])):  # of overlapping notices the nearest
-        if not any(x[1] < y[2] and y[1] < x[2] and y[3] < x[3] for y in kept):
-            kept.append(x)
+    taken: list[tuple[int, int]] = []  # what notices of fewer errors cover, as ascending spans apart from each other
+    for _, level in groupby(sorted(found, key=lambda x: (x[3], x[1] - x[2], x[1], x[0])), key=lambda x: x[3]):  # of overlapping notices the nearest
+        here = [x for x in level if not _meets(taken, x[1], x[2])]
+        kept += here
+        taken = _spans([*taken, *((x[1], x[2]) for x in here)])
     return sorted(kept, key=lambda x: (x[1], x[2], x[0]))
 
 
+def _spans(parts: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(parts):
+        if out and a < out[-1][1]:
+            out[-1] = (out[-1][0], max(out[-1][1], b))
+        else:
+            out.append((a, b))
+    return out
+
+
+def _meets(spans: list[tuple[int, int]], a: int, b: int) -> bool:
+    i = bisect.bisect_left(spans, (b,)) - 1  # the last that begins before b
+    return i >= 0 and spans[i][1] > a
+
+
 _base = re.compile("(?<![^ ])(?=(" + "|".join(BASE) + ")(?![^ ]))")
 
 
@@ -117,7 +136,11 @@ def scan(text: bytes) -> tuple[int, list[tuple[int, str]], list[tuple[int, int,
     normal = b" ".join(found).decode("utf-8", "replace")
     base = []
     if any(x in normal for x in BASE):
-        base = [(normal.count(" ", 0, m.start()), m.group(1)) for m in _base.finditer(normal)]
+        at = word = 0
+        for m in _base.finditer(normal):  # words are counted on from place to place
+            word += normal.count(" ", at, m.start())
+            at = m.start()
+            base.append((word, m.group(1)))
     return len(found), base, notices(normal), normal
 
 

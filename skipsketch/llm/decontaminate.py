@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from skipsketch.llm.common import small, stored
+from skipsketch.llm.common import BROADCAST_ROWS, small, stored
 
 #: What lies between words, and the letters that are lower-cased.
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -53,8 +53,8 @@ def word_counts(docs: DataFrame, wanted: DataFrame, n_wanted: int) -> DataFrame:
     return words.join(small(wanted, n_wanted), "word").groupBy("word").agg(F.count("*").alias("count"))
 
 
-def contained(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
-    """doc_id, n_words, n_hit, n_items, items (array of strings): a row for each row of ``docs``."""
+def contained(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, most: int = BROADCAST_ROWS) -> DataFrame:
+    """doc_id, n_words, n_hit, n_items, items (array of strings): a row for each row of ``docs``; up to ``most`` prefixes are broadcast."""
     wins = stored(windows(benchmark, width).groupBy("words").agg(F.collect_set("item_id").alias("items")).withColumn("id", F.xxhash64("words")), "windows")
     # lower() also maps letters that the rule keeps; it only widens the candidates, which are compared exactly below
     wanted = stored(wins.select(F.explode("words").alias("w")).select(F.lower("w").alias("word")).distinct(), "vocabulary")
@@ -67,18 +67,32 @@ def contained(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> Data
     own = docs.sparkSession.range(1).select(F.lit(DOCUMENT).alias("token"), F.lit(0).alias("at"), F.lit(0).alias("at2"), F.lit("").alias("word2"), F.lit(0).alias("len"), F.lit("").alias("window"), F.array().cast(prefix.schema["items"].dataType).alias("items"))
     prefix = stored(prefix.union(own), "prefixes")
 
+    n_prefix = prefix.count()
     source = docs.select(F.col("doc_id"), F.xxhash64("text").alias("t"), split_words(F.col("text")).alias("words"))
-    places = source.select("doc_id", "t", "words", n_words(F.col("words")).alias("n_words"), F.posexplode(F.concat("words", F.array(F.lit(DOCUMENT)))).alias("pos", "w"))
     start = F.col("pos") - F.col("at")
     fits = (start >= 0) & (start + F.col("len") <= F.size("words"))
     near = F.lower(F.element_at("words", start + F.col("at2") + 1)) == F.col("word2")
     exact = F.translate(F.array_join(F.slice("words", start + 1, F.col("len")), " "), UPPER, LOWER) == F.col("window")
-    hit = (F.col("token") == DOCUMENT) | F.when(fits, F.when(near, exact).otherwise(False)).otherwise(False)
-    hits = places.join(small(prefix, prefix.count()), F.lower("w") == F.col("token")).where(hit)
-    hits = hits.select("doc_id", "t", "n_words", "items", F.when(F.col("token") != DOCUMENT, F.struct(start.alias("s"), (start + F.col("len")).alias("e"))).alias("span"))
-    each = hits.groupBy("doc_id", "t").agg(F.max("n_words").alias("n_words"), F.count(F.when(F.col("span").isNull(), 1)).alias("copies"), F.array_sort(F.collect_set("span")).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items"))
+    hit = F.when(fits, F.when(near, exact).otherwise(False)).otherwise(False)
+    span = F.struct(start.alias("s"), (start + F.col("len")).alias("e"))
     zero = F.struct(F.lit(0).alias("covered"), F.lit(0).alias("end"))
     covered = F.aggregate("spans", zero, lambda a, x: F.struct((a["covered"] + F.greatest(x["e"] - F.greatest(a["end"], x["s"]), F.lit(0))).alias("covered"), F.greatest(a["end"], x["e"]).alias("end")))["covered"]
+    found = [F.array_sort(F.collect_set("span")).alias("spans"), F.array_distinct(F.flatten(F.collect_set("items"))).alias("items")]
+    if n_prefix <= most:  # one pass: the prefixes go to the documents, and a token of its own stands for each document
+        places = source.select("doc_id", "t", "words", n_words(F.col("words")).alias("n_words"), F.posexplode(F.concat("words", F.array(F.lit(DOCUMENT)))).alias("pos", "w"))
+        hits = places.join(F.broadcast(prefix), F.lower("w") == F.col("token")).where((F.col("token") == DOCUMENT) | hit)
+        hits = hits.select("doc_id", "t", "n_words", "items", F.when(F.col("token") != DOCUMENT, span).alias("span"))
+        each = hits.groupBy("doc_id", "t").agg(F.max("n_words").alias("n_words"), F.count(F.when(F.col("span").isNull(), 1)).alias("copies"), *found)
+    else:  # thin places meet the prefixes by word; only candidates get their words back
+        base = source.select("doc_id", "t", n_words(F.col("words")).alias("n_words")).groupBy("doc_id", "t").agg(F.max("n_words").alias("n_words"), F.count("*").alias("copies"))
+        texts = source.dropDuplicates(["doc_id", "t"])
+        rare = prefix.where(F.col("token") != DOCUMENT)
+        places = texts.select(F.col("doc_id").alias("d"), F.col("t").alias("h"), F.posexplode("words").alias("pos", "w")).select("d", "h", "pos", F.lower("w").alias("token"))
+        candidates = places.join(rare, "token").where(start >= 0)
+        met = candidates.join(texts, F.col("d").eqNullSafe(F.col("doc_id")) & F.col("h").eqNullSafe(F.col("t"))).where(hit)
+        hits = met.select(F.col("d"), F.col("h"), "items", span.alias("span")).groupBy("d", "h").agg(*found)
+        each = base.join(hits, F.col("doc_id").eqNullSafe(F.col("d")) & F.col("t").eqNullSafe(F.col("h")), "left")
+        each = each.withColumn("spans", F.coalesce("spans", F.array().cast(hits.schema["spans"].dataType))).withColumn("items", F.coalesce("items", F.array().cast(hits.schema["items"].dataType)))
     each = each.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))))
     return each.select("doc_id", F.col("n_words").cast("long").alias("n_words"), covered.cast("long").alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.array_sort(F.transform("items", lambda x: x.cast("string"))).alias("items"), "t")
 
@@ -91,8 +105,10 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) ->
 
 def clean(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH) -> DataFrame:
     """The rows of ``docs`` that are not contaminated, with their columns."""
-    bad = decontaminate(docs, benchmark, width).where("contaminated").select(F.col("doc_id").alias("_d"), F.col("t").alias("_t")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.xxhash64(docs["text"]) == F.col("_t")), "left_anti")
+    bad = decontaminate(docs, benchmark, width).where("contaminated").select(F.col("doc_id").alias("__bad_doc"), F.col("t").alias("__bad_text")).distinct()
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("row"))  # whatever the columns' names
+    kept = rows.join(bad, F.col("row.doc_id").eqNullSafe(F.col("__bad_doc")) & (F.xxhash64("row.text") == F.col("__bad_text")), "left_anti")
+    return kept.select("row.*")
 
 
 def oracle(width: int = WIDTH) -> str:

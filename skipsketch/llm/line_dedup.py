@@ -168,7 +168,7 @@ def removed_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
 def dedup_lines(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     """All columns of ``docs`` with text rewritten, and n_lines, n_removed, n_near, kept."""
     gone = removed_lines(docs, min_words).groupBy("d", "t").agg(F.collect_set("line").alias("gone"), F.sum(F.col("near").cast("long")).alias("near"))
-    own = [c for c in docs.columns if c not in ("n_lines", "n_removed", "n_near", "kept")]
+    own = [c for c in docs.columns if c.lower() not in ("n_lines", "n_removed", "n_near", "kept")]
     keyed = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)).alias("d"), F.coalesce(F.xxhash64("text"), F.lit(0)).alias("t"), F.struct(*(F.col(f"`{c}`") for c in own)).alias("row"))
     joined = keyed.join(gone, ["d", "t"], "left").select("row", F.col("row.text").cast("binary").alias("text"), "gone", "near")
 

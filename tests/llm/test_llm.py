@@ -723,12 +723,54 @@ def test_url_rules_of_many_tokens(spark):
 # ---- pipeline ----------------------------------------------------------------------------------------------
 
 
-def test_pipeline(spark):
+def test_pipeline_against_brute_force(spark, tmp_path):
+    """Each stage by what plain Python makes of what the stage before kept."""
     import corpus_pipeline
+    from tokenizers import Tokenizer
 
-    rows = spark.read.parquet(f"{SF}/documents.parquet")
+    rng = random.Random(17)
+    words = ["".join(rng.choice("aeioubcdst") for _ in range(rng.randrange(2, 8))) for _ in range(200)]
+    line = lambda n: " ".join(rng.choice(words) for _ in range(n))
+    texts = ["\n".join(line(rng.choice([5, 12, 30])) for _ in range(rng.randrange(1, 4))) for _ in range(60)]
+    texts += [t.replace("\n", " x\n", 1) + " y" for t in texts[:6]] + texts[10:14]  # near and exact copies
+    texts += [f"{line(20)} vilest {line(9)}" for _ in range(30)]
+    item = line(20)
+    texts += [f"{line(6)} {item} {line(7)}" for _ in range(3)] + [None, "", " \n"]
+    one_line = [" ".join((t or "").split()[:40]) for t in texts[:8]]
+    rows = [(i, t, "en", "s", len(t or ""), "x") for i, t in enumerate(texts + one_line)] + [(None, line(9), None, None, None, None)]
+    kinds = "doc_id long, text string, lang string, source string, n_chars long, `Kept.x` string"
+    d = str(tmp_path)
+    spark.createDataFrame(rows, kinds).write.parquet(f"{d}/documents.parquet")
+    labels = [(i, 1, int(bool(t) and "vilest" in t)) for i, t in enumerate(texts)]
+    spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{d}/labels.parquet")
+    spark.createDataFrame([(7, item), (8, None)], "item_id long, text string").write.parquet(f"{d}/benchmark.parquet")
+    now, held = spark.read.parquet(f"{d}/documents.parquet"), {}
     for name, stage in corpus_pipeline.STAGES[:-1]:
-        before, rows = rows, stage(spark, rows, SF).cache()
-        assert rows.columns == before.columns and 0 < rows.count() <= before.count(), name
-    last = corpus_pipeline.run(spark, SF).select("doc_id").distinct()
-    assert sorted(r[0] for r in last.collect()) == sorted(r[0] for r in rows.select("doc_id").collect())
+        after = stage(spark, now, d)
+        assert after.columns == now.columns
+        now = after.cache()
+        held[name] = {r["doc_id"]: r["text"] for r in now.collect()}
+    start = {r[0]: r[1] for r in rows}
+    assert held["toxicity"] == {i: t for i, t in start.items() if not (t and "vilest" in t)}
+    ordered = sorted(held["toxicity"].items(), key=lambda x: (x[0] is None, x[0] or 0))
+    lines = brute_lines(ordered)
+    want = {i: t if t is None else lines[i] for i, t in ordered if not (t and t.split() and not lines[i].split())}
+    assert held["line_dedup"] == want
+    comps = brute_near([(i, t) for i, t in want.items() if i is not None], 5, 80)[0]
+    want = {i: t for i, t in want.items() if i is None or comps[i] == i}
+    assert held["near_dedup"] == want
+    hits = brute_hits(list(want.items()), [(7, item)])
+    want = {i: t for i, t in want.items() if not hits[i][4]}
+    assert held["decontamination"] == want and len(want) < len(held["near_dedup"])
+    got = corpus_pipeline.run(spark, d).collect()
+    assert check_packing(list(want.items()), got, 2048) >= 0
+    t = Tokenizer.from_file(queries.tokenizer_path())
+    assert {r["doc_id"]: r["doc_tokens"] for r in got} == {i: len(t.encode(x or "", add_special_tokens=False).ids) + 1 for i, x in want.items()}
+
+
+def test_pipeline_of_empty_tables(spark, tmp_path):
+    import corpus_pipeline
+
+    for name, kinds in (("documents", DOCS), ("labels", "doc_id long, quality int, toxic int"), ("benchmark", "item_id long, text string")):
+        spark.createDataFrame([], kinds).write.parquet(f"{tmp_path}/{name}.parquet")
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0

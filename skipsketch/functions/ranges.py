@@ -57,12 +57,16 @@ class RangeSet:
         if not self.cuts:
             return F.when(col.isNull(), F.lit(1)).otherwise(F.lit(0))
         if self.count <= TREE and name and all(type(c) in (int, float) and c - c == 0 for c in self.cuts):
-            return F.expr(f"CASE WHEN {name} IS NULL THEN {self.null_fragment} ELSE {_tree_text(name, self.cuts, 0, len(self.cuts))} END")
+            return F.expr(self.text(name.strip("`")))
         if self.count <= TREE:
             return F.when(col.isNull(), F.lit(self.null_fragment)).otherwise(_tree(col, self.cuts, 0, len(self.cuts)))
         found = _searched(self.cuts)(F.coalesce(col, F.lit(self.cuts[0])))  # no nulls in pandas, where they would be NaN
         return F.when(col.isNull(), F.lit(self.null_fragment)).otherwise(found)
 
+    def text(self, attr: str) -> str:
+        """The fragment as SQL, for few ranges of numbers."""
+        return f"CASE WHEN `{attr}` IS NULL THEN {self.null_fragment} ELSE {_tree_text(f'`{attr}`', self.cuts, 0, len(self.cuts))} END"
+
     def predicate(self, fragments: set[int], attr: str | None = None) -> Column:
         """The condition that a row lies in one of the fragments; adjacent ones are merged, so it can be pushed down."""
         name = attr or self.attr

@@ -267,7 +267,7 @@ for _k in (1, 2, 3, 9):
     QUERIES[f"maintain_multi_agg{_k}"] = lambda spark, d, k=_k: sketch_rows(spark, maintained(spark, d, w.multi_aggregate(k), [("lineitem", "l_partkey", 100)])[1])
     ORACLES[f"maintain_multi_agg{_k}"] = accurate_sql("lineitem", LI1, "l_partkey", "avg(l_extendedprice) > 60000", "l_partkey")
 
-for _key, _c in (("l_quantity", 50000), ("l_suppkey", 56000), ("l_orderkey", 70000)):
+for _key, _c in (("l_quantity", 50000), ("l_suppkey", 53500), ("l_orderkey", 70000)):
     def _by_group(spark: SparkSession, d: str, key: str = _key, c: int = _c) -> DataFrame:
         db = w.split_database(spark, d, {"lineitem": "l_orderkey"}, commit=False)
         ranges = RangeSet("lineitem", key, tuple(float(x) for x in range(2, 51))) if key == "l_quantity" else dense(spark, d, "lineitem", key)
@@ -322,9 +322,10 @@ def maintain_join_bloom(spark: SparkSession, d: str) -> DataFrame:
     return sketch_rows(spark, maintained(spark, d, TWO_SIDES, [("orders", "o_custkey", 100), ("lineitem", "l_orderkey", 100)], Options(bloom=True))[1])
 
 
-@query(join_sql(LI1, "p_partkey % 100 < 5", 50000))
-def maintain_join_selective(spark: SparkSession, d: str) -> DataFrame:
-    return sketch_rows(spark, maintained(spark, d, w.join_having(50000, 5), BOTH, changed={"lineitem"})[1])
+for _share in (1, 5, 10):
+    _name = "maintain_join_selective" + ("" if _share == 5 else f"_{_share}")
+    QUERIES[_name] = lambda spark, d, share=_share: sketch_rows(spark, maintained(spark, d, w.join_having(50000, share), BOTH, changed={"lineitem"})[1])
+    ORACLES[_name] = join_sql(LI1, f"p_partkey % 100 < {_share}", 50000)
 
 
 @query(f"SELECT DISTINCT 'orders' AS tbl, {frag_sql('o_custkey')} AS frag FROM {OR1} a WHERE o_totalprice > 480000 AND EXISTS (SELECT 1 FROM {OR1} b WHERE b.o_custkey = a.o_custkey AND b.o_totalprice < 20000) UNION SELECT DISTINCT 'orders', {frag_sql('o_custkey')} FROM {OR1} b WHERE o_totalprice < 20000 AND EXISTS (SELECT 1 FROM {OR1} a WHERE b.o_custkey = a.o_custkey AND a.o_totalprice > 480000)")
@@ -358,7 +359,7 @@ def maintain_large_orders(spark: SparkSession, d: str) -> DataFrame:
 def extremes(spark: SparkSession, d: str, f: str, limit: int | None) -> DataFrame:
     db, sketch, _ = maintained(spark, d, w.extreme(f), [("lineitem", "l_suppkey", 10)], Options(limit=limit))
     op = sketch.ops[sketch.plan]
-    return op.image().df.select("l_suppkey", (F.col("price") * 100).cast("long").alias("cents"))
+    return op.image().df.select("l_suppkey", F.round(F.col("price") * 100).cast("long").alias("cents"))
 
 
 for _f in ("min", "max"):
@@ -525,10 +526,11 @@ def coverage_by_threshold(spark: SparkSession, d: str) -> DataFrame:
     return rows_of(spark, rows, "threshold int, ranges long, covered long")
 
 
-@query(" UNION ALL ".join(f"SELECT {p}::INTEGER AS p, count(*) AS ranges FROM ({join_sql(LI1, 'true', 46000).replace('// 100)', f'// {p})').replace('least(100', f'least({p}')}) WHERE tbl = 'lineitem'" for p in (10, 50, 100, 200)))
+@query(" UNION ALL ".join(f"SELECT {p}::INTEGER AS p, count(*) AS ranges FROM ({join_sql(LI1, 'true', 46000).replace('// 100)', f'// {p})').replace('least(100', f'least({p}')}) WHERE tbl = 'lineitem'" for p in (10, 50, 100, 500, 1000)))
 def granularity(spark: SparkSession, d: str) -> DataFrame:
+    """Ranges in the sketch by the number of ranges; 5000 of them in ``experiments``, as there are fewer parts here."""
     rows = []
-    for p in (10, 50, 100, 200):
+    for p in (10, 50, 100, 500, 1000):
         sketch = maintained(spark, d, w.join_having(46000), [("part", "p_partkey", p), ("lineitem", "l_partkey", p)], changed={"lineitem"})[1]
         rows.append((p, len(sketch.by_table()["lineitem"])))
     return rows_of(spark, rows, "p int, ranges long")
@@ -710,3 +712,214 @@ def sql_frontend_topk(spark: SparkSession, d: str) -> DataFrame:
     db.update({"skipsketch_orders": (orders.where("o_orderkey % 40 = 0"), orders.where("o_orderkey % 40 = 1"))})
     maintain(db, sketch)
     return with_sketch(db, sketch).select("o_custkey", (F.col("total") * 100).cast("long").alias("cents"))
+
+
+# ---- what must not go wrong ------------------------------------------------------------------------------
+
+
+def _changed_session(spark: SparkSession, d: str, name: str, ranges, **more) -> tuple[Session, DataFrame]:  # noqa: ANN001, ANN003
+    """A session on a table at version 0, and the whole table; ``_change`` brings it to version 1."""
+    rows = w.table(spark, d, name)
+    return Session(spark, {name: rows.where(f"{KEY[name]} % 40 <> 0")}, {name: ranges}, positive=w.POSITIVE, **more), rows
+
+
+def _change(s: Session, name: str, rows: DataFrame) -> None:
+    s.update({name: (rows.where(f"{KEY[name]} % 40 = 0"), rows.where(f"{KEY[name]} % 40 = 1"))})
+
+
+@query(f"SELECT o_orderkey FROM (SELECT o_orderkey, o_custkey FROM {OR1} ORDER BY o_totalprice, o_orderkey LIMIT 60) WHERE o_custkey % 2 = 0")
+def safety_topk_below_filter(spark: SparkSession, d: str) -> DataFrame:
+    """A condition above a top-k drops some of its rows; a sketch of the others alone would let further rows move up."""
+    s, orders = _changed_session(spark, d, "orders", RangeSet("orders", "o_totalprice", tuple(float(x) for x in range(2000, 60000, 1000))))
+    plan = Filter(TopK(w.ORDERS, (("o_totalprice", False),), 60), "o_custkey % 2 = 0")
+    s.query(plan).count()
+    _change(s, "orders", orders)
+    return s.query(plan).select("o_orderkey")
+
+
+@query(f"SELECT l_suppkey AS l_partkey FROM {LI1} GROUP BY 1 HAVING avg(l_quantity::DECIMAL(20,4)) > 26")
+def safety_renamed_key(spark: SparkSession, d: str) -> DataFrame:
+    """Grouped by another column under the name of the sketched one."""
+    s, rows = _changed_session(spark, d, "lineitem", dense(spark, d, "lineitem", "l_partkey"))
+    plan = Filter(Aggregate(Project(w.LINEITEM, (("l_partkey", "l_suppkey"), ("l_quantity", "l_quantity"))), ("l_partkey",), (("m", "avg", "l_quantity"),)), "m > 26")
+    s.query(plan).count()
+    _change(s, "lineitem", rows)
+    return s.query(plan).select("l_partkey")
+
+
+for _backend in ("memory", "tables"):
+    def _exact_bound(spark: SparkSession, d: str, backend: str = _backend) -> DataFrame:
+        """Sums that meet a decimal bound exactly."""
+        s, orders = _changed_session(spark, d, "orders", dense(spark, d, "orders", "o_custkey"), backend=backend)
+        total = orders.where("o_orderkey % 40 <> 1").groupBy("o_custkey").agg(F.sum(F.col("o_totalprice").cast("decimal(20,4)")).alias("t"))
+        bound = total.orderBy("o_custkey").first()["t"]
+        plan = Filter(Aggregate(w.ORDERS, ("o_custkey",), (("total", "sum", "o_totalprice"),)), f"total >= {bound} and total <= {bound}")
+        s.query(plan).count()
+        _change(s, "orders", orders)
+        return s.query(plan).select("o_custkey")
+
+    QUERIES[f"{_backend}_exact_bound"] = _exact_bound
+    ORACLES[f"{_backend}_exact_bound"] = f"WITH t AS (SELECT o_custkey, sum(o_totalprice::DECIMAL(20,4)) AS t FROM {OR1} GROUP BY 1) SELECT o_custkey FROM t WHERE t = (SELECT t FROM t ORDER BY o_custkey LIMIT 1)"
+
+
+@query(
+    "SELECT step::INTEGER AS step, count(*) AS groups FROM (SELECT 0 AS step, l_partkey FROM lineitem WHERE l_orderkey % 40 <> 0 GROUP BY 2 HAVING sum(l_quantity) > 900 "
+    "UNION ALL SELECT 1, l_partkey FROM lineitem GROUP BY 2 HAVING sum(l_quantity) > 900 UNION ALL SELECT 2, l_partkey FROM lineitem GROUP BY 2 HAVING sum(l_quantity) > 900) GROUP BY 1"
+)
+def uncommitted_then_committed(spark: SparkSession, d: str) -> DataFrame:
+    """Groups before a transaction's inserts, with them while they aren't committed, and after; they count once."""
+    rows = w.table(spark, d, "lineitem")
+    s = Session(spark, {"lineitem": rows.where("l_orderkey % 40 <> 0")}, {"lineitem": dense(spark, d, "lineitem", "l_partkey")}, positive=w.POSITIVE)
+    plan, new = w.sum_having(900), rows.where("l_orderkey % 40 = 0")
+    found = [s.query(plan).count(), s.query(plan, extra={"lineitem": signed(new)}).count()]
+    s.update({"lineitem": (new, None)})
+    found.append(s.query(plan).count())
+    sketch = s.store.get(next(iter(s.store.entries)))
+    assert sketch.fragments == recapture_fragments(s.db, plan, sketch.phi)
+    return rows_of(spark, enumerate(found), "step int, groups long")
+
+
+@query(f"SELECT l_partkey FROM {LI1} GROUP BY 1 HAVING sum(l_quantity) > 1100")
+def small_doubles_having(spark: SparkSession, d: str) -> DataFrame:
+    """Sums of doubles of seven and more decimal places."""
+    s, rows = _changed_session(spark, d, "lineitem", dense(spark, d, "lineitem", "l_partkey"))
+    plan = Filter(Aggregate(Project(w.LINEITEM, (("l_partkey", "l_partkey"), ("q", "l_quantity / 1e7"))), ("l_partkey",), (("s", "sum", "q"),)), "s > 0.00011")
+    s.query(plan).count()
+    _change(s, "lineitem", rows)
+    return s.query(plan).select("l_partkey")
+
+
+# ---- further methods and workloads -----------------------------------------------------------------------
+
+
+@query(accurate_sql("lineitem", LI1, "l_partkey", "sum(l_quantity) > 1100", "l_partkey"))
+def view_maintenance_sum_having(spark: SparkSession, d: str) -> DataFrame:
+    """Baseline: the sketch as a relational view under classical view maintenance, without annotations."""
+    db = w.split_database(spark, d, {"lineitem": "l_orderkey"}, commit=False)
+    view = w.as_view(w.sum_having(1100), dense(spark, d, "lineitem", "l_partkey"))
+    kept = capture(db, view, Partitioning())
+    rows = w.table(spark, d, "lineitem")
+    db.update({"lineitem": (rows.where("l_orderkey % 40 = 0"), rows.where("l_orderkey % 40 = 1"))})
+    maintain(db, kept)
+    return kept.ops[view].image().df.select(F.lit("lineitem").alias("tbl"), F.col("frag").cast("int").alias("frag"))
+
+
+@query(f"SELECT o_orderkey FROM {OR1} ORDER BY o_totalprice DESC, o_orderkey LIMIT 500")
+def maintain_topk_large(spark: SparkSession, d: str) -> DataFrame:
+    """A large k: only positions that change are handed on, and the state isn't read while the head suffices."""
+    db, sketch, _ = maintained(spark, d, TopK(w.ORDERS, (("o_totalprice", True),), 500), [("orders", "o_custkey", 100)])
+    op = sketch.ops[sketch.plan]
+    at = op.state.keys.index("o_orderkey")
+    assert op.refilled == 0
+    return rows_of(spark, ((row[at],) for row in op._top()), "o_orderkey long")
+
+
+#: Rows that go by step, as SQL with the step's number: the smallest groups, any rows, and the two mixed.
+_small = "o_custkey IN (SELECT o_custkey FROM (SELECT o_custkey, row_number() OVER (ORDER BY o_custkey) AS r FROM (SELECT DISTINCT o_custkey FROM orders)) WHERE r > {lo} AND r <= {hi})"
+_any = "o_orderkey * 7919 % 15013 >= {lo} * 10 AND o_orderkey * 7919 % 15013 < {hi} * 10"
+DELETES = {"minimal": [_small] * 6, "random": [_any] * 6, "mix2": [_any, _any, _small] * 2, "mix4": [_any] * 4 + [_small, _any]}
+
+for _kind, _steps in DELETES.items():
+    for _limit in (20, 50):
+        def _deleted(spark: SparkSession, d: str, steps: list[str] = _steps, limit: int = _limit) -> DataFrame:
+            """The first ten groups after each of six updates has deleted rows; the state keeps ``limit`` groups."""
+            orders = w.table(spark, d, "orders").select(*w.ORDERS.columns)
+            orders.createOrReplaceTempView("orders")
+            db = Database(spark, {"orders": orders})
+            plan = w.top_customers()
+            sketch = capture(db, plan, Partitioning(dense(spark, d, "orders", "o_custkey")), options=Options(limit=limit))
+            gone = "false"
+            for i, step in enumerate(steps):
+                now = step.format(lo=2 * i, hi=2 * i + 2)
+                db.update({"orders": (None, orders.where(f"({now}) and not ({gone})"))})
+                gone = f"{gone} or ({now})"
+                maintain(db, sketch)
+            return with_sketch(db, sketch).select("o_custkey")
+
+        QUERIES[f"topk_deletes_{_kind}_limit{_limit}"] = _deleted
+        _gone = " OR ".join(f"({x.format(lo=2 * i, hi=2 * i + 2)})" for i, x in enumerate(_steps))
+        ORACLES[f"topk_deletes_{_kind}_limit{_limit}"] = f"SELECT DISTINCT o_custkey FROM orders WHERE NOT ({_gone}) ORDER BY 1 LIMIT 10"
+
+
+@query(f"SELECT l_partkey, p_size FROM (SELECT l_partkey FROM {LI1} GROUP BY 1 HAVING sum(l_quantity) > 1100) JOIN part ON l_partkey = p_partkey")
+def maintain_part_volume(spark: SparkSession, d: str) -> DataFrame:
+    db, sketch, _ = maintained(spark, d, w.part_volume(1100), BOTH, changed={"lineitem"})
+    return with_sketch(db, sketch).select("l_partkey", "p_size")
+
+
+@query(f"SELECT s_suppkey FROM supplier JOIN {LI1} ON s_suppkey = l_suppkey WHERE l_shipdate >= DATE '1995-03-01' AND l_shipdate < DATE '1995-06-01' GROUP BY 1 ORDER BY sum((l_extendedprice * (1 - l_discount))::DECIMAL(28,12)) DESC, 1 LIMIT 10")
+def maintain_top_suppliers(spark: SparkSession, d: str) -> DataFrame:
+    db, sketch, _ = maintained(spark, d, w.top_suppliers("1995-03-01", "1995-06-01"), [("supplier", "s_suppkey", 10), ("lineitem", "l_suppkey", 10)], changed={"lineitem"})
+    return with_sketch(db, sketch).select("s_suppkey")
+
+
+@query(f"SELECT l_partkey % 5000 AS bucket FROM {LI1} GROUP BY 1 HAVING avg(l_extendedprice) > 60000")
+def maintain_groups_bucket(spark: SparkSession, d: str) -> DataFrame:
+    """Grouped by a computed column, which the table holds so that it can carry the ranges."""
+    rows = w.table(spark, d, "lineitem").withColumn("bucket", F.expr("l_partkey % 5000"))
+    db = Database(spark, {"lineitem": rows.where("l_orderkey % 40 <> 0")})
+    plan = Filter(Aggregate(Scan("lineitem", ("bucket", "l_extendedprice")), ("bucket",), (("price", "avg", "l_extendedprice"),)), "price > 60000")
+    sketch = capture(db, plan, Partitioning(RangeSet("lineitem", "bucket", tuple(range(50, 5000, 50)))))
+    db.update({"lineitem": (rows.where("l_orderkey % 40 = 0"), rows.where("l_orderkey % 40 = 1"))})
+    maintain(db, sketch)
+    return with_sketch(db, sketch).select("bucket")
+
+
+@query(accurate_sql("lineitem", LI1, "l_partkey", "sum(l_quantity) > 1100", "l_partkey"))
+def maintain_in_batches(spark: SparkSession, d: str) -> DataFrame:
+    """A delta longer than ``batch_rows`` is taken in parts by a hash of its rows."""
+    return sketch_rows(spark, maintained(spark, d, w.sum_having(1100), [("lineitem", "l_partkey", 100)], Options(batch_rows=1000))[1])
+
+
+@query("SELECT 'o_custkey' AS chosen, count(*) AS groups FROM (SELECT o_custkey FROM orders GROUP BY 1 HAVING avg(o_totalprice) > 345000 AND avg(o_totalprice) < 355000)")
+def chosen_attribute(spark: SparkSession, d: str) -> DataFrame:
+    """Of several partitions the session takes the one that is safe for the query and is its group key."""
+    s = Session(spark, {"orders": w.table(spark, d, "orders")}, {"orders": [dense(spark, d, "orders", "o_orderkey"), dense(spark, d, "orders", "o_custkey")]}, positive=w.POSITIVE)
+    plan = w.avg_interval(345000, 355000)
+    return rows_of(spark, [(s.partitioning(plan).ranges["orders"].attr, s.query(plan).count())], "chosen string, groups long")
+
+
+@query("SELECT l_partkey, CAST(sum(l_quantity) AS BIGINT) AS qty FROM lineitem GROUP BY 1 HAVING sum(l_quantity) > 1100")
+def answer_after_balancing(spark: SparkSession, d: str) -> DataFrame:
+    """Ranges that inserts overfill are split and thin ones merged; the remapped sketch goes on serving."""
+    rows = w.table(spark, d, "lineitem")
+    cuts = dense(spark, d, "lineitem", "l_partkey", 10).cuts[1:]  # the first range is twice as wide
+    few = rows.where(f"l_partkey < {cuts[0]} and l_orderkey % 10 <> 0")
+    s = Session(spark, {"lineitem": rows.where(f"l_partkey >= {cuts[0]} or l_orderkey % 10 = 0")}, {"lineitem": RangeSet("lineitem", "l_partkey", cuts)}, positive=w.POSITIVE)
+    plan = w.sum_having(1100)
+    s.query(plan).count()
+    s.update({"lineitem": (few, None)})
+    s.query(plan).count()
+    done = s.balance("lineitem", factor=1.5, renew=2.0)
+    assert done["split"] and s.counts["captured"] == 1
+    return s.query(plan).select("l_partkey", F.col("qty").cast("long").alias("qty"))
+
+
+@query(" UNION ALL ".join(f"SELECT '{'all' if x is None else x}' AS kept, {'count(*)' if x is None else f'least({x}, count(*))'} AS n FROM (SELECT DISTINCT c_custkey FROM customer JOIN {OR1} ON c_custkey = o_custkey JOIN {LI1} ON o_orderkey = l_orderkey WHERE o_orderdate >= DATE '1995-01-01' AND o_orderdate < DATE '1995-04-01')" for x in (50, 100, None)))
+def state_rows_by_limit(spark: SparkSession, d: str) -> DataFrame:
+    """Rows that a top-k over four tables keeps as its state."""
+    out = []
+    for limit in (50, 100, None):
+        db = w.split_database(spark, d, {"orders": "o_orderkey", "lineitem": "l_orderkey", "customer": "c_custkey", "nation": "n_nationkey"}, {"orders", "lineitem"})
+        sketch = capture(db, w.returned_revenue("1995-01-01", "1995-04-01", descending=True), Partitioning(dense(spark, d, "customer", "c_custkey")), options=Options(limit=limit))
+        out.append((str(limit or "all"), sketch.ops[sketch.plan].state.read().where("cnt > 0").count()))
+    return rows_of(spark, out, "kept string, n long")
+
+
+@query("SELECT s::INTEGER AS share, true AS none_lost, true AS fewer FROM (VALUES (1), (5), (10)) t(s)")
+def bloom_ablation(spark: SparkSession, d: str) -> DataFrame:
+    """With the filter fewer delta rows reach the join than without, and the sketch is the same."""
+    out = []
+    for share in (1, 5, 10):
+        with_filter = maintained(spark, d, w.join_having(50000, share), BOTH, Options(bloom=True), {"lineitem"})[1]
+        without = maintained(spark, d, w.join_having(50000, share), BOTH, None, {"lineitem"})[1]
+        out.append((share, with_filter.fragments == without.fragments, with_filter.measures.joined < with_filter.measures.fetched))
+    return rows_of(spark, out, "share int, none_lost boolean, fewer boolean")
+
+
+@query()
+def eager_cost_by_batch(spark: SparkSession, d: str) -> DataFrame:
+    """batch, seconds of a hundred updates of ten rows with eager maintenance of that batch size (0: lazy, one query at the end)."""
+    from skipsketch import experiments
+
+    return rows_of(spark, ((r["batch"], r["seconds"]) for r in experiments.eager_cost(spark, d, (1, 50, 1000, 0), 100)), "batch int, seconds double")

@@ -126,6 +126,32 @@ def large_orders(c: int) -> Node:
     return Join(big, Join(ORDERS, CUSTOMER, (("o_custkey", "c_custkey"),)), (("l_orderkey", "o_orderkey"),))
 
 
+def part_volume(c: int) -> Node:
+    """Parts of which much is ordered, with their size."""
+    volume = Aggregate(Project(LINEITEM, (("l_partkey", "l_partkey"), ("l_quantity", "l_quantity"))), ("l_partkey",), (("qty", "sum", "l_quantity"),))
+    return Join(Filter(volume, f"qty > {c}"), PART, (("l_partkey", "p_partkey"),))
+
+
+def top_suppliers(lo: str, hi: str, k: int = 10) -> Node:
+    """Suppliers by revenue shipped in a window."""
+    rows = Filter(LINEITEM, f"l_shipdate >= timestamp_ntz '{lo} 00:00:00' and l_shipdate < timestamp_ntz '{hi} 00:00:00'")
+    total = Aggregate(Join(SUPPLIER, rows, (("s_suppkey", "l_suppkey"),)), ("s_suppkey",), (("revenue", "sum", "l_extendedprice * (1 - l_discount)"),))
+    return TopK(total, (("revenue", True),), k)
+
+
+def as_view(plan: Node, ranges: RangeSet) -> Node:
+    """What captures a sketch as a plain relational view: the ranges of the rows that join the qualifying groups.
+
+    For classical view maintenance, which has no sketch type: the view is maintained like any query, a range is a
+    column, and rows carry no annotations.  For a selection on groups of one table.
+    """
+    agg = plan.child if isinstance(plan, Filter) else plan
+    if not isinstance(agg, Aggregate) or not isinstance(agg.child, Scan) or agg.child.table != ranges.table:
+        raise ValueError("a condition on groups of one table")
+    rows = Project(agg.child, (*((f"of_{k}", k) for k in agg.keys), ("frag", ranges.text(ranges.attr))))
+    return Distinct(Project(Join(plan, rows, tuple((k, f"of_{k}") for k in agg.keys)), (("frag", "frag"),)))
+
+
 def extreme(f: str) -> Node:
     return Aggregate(LINEITEM, ("l_suppkey",), (("price", f, "l_extendedprice"),))
 

@@ -1,7 +1,8 @@
 """Headline benchmark: one JSON line.  BENCH_SF_DIR and BENCH_CPUS name the tables and the cores.
 
-For each workload: seconds to bring a sketch up to date after a delta of 10, 100 and 1000 rows (in memory, and on
-state tables), to capture it again, and to run the query without a sketch; medians of ``REPEATS``.
+For each workload: seconds to bring a sketch up to date after a delta of 10, 100 and 1000 rows (in memory, and of 1000
+rows on state tables), to capture it again, to run the query without a sketch, and to run it by plain Spark on a plain
+table; medians of ``REPEATS``.  BENCH_LOADS limits the workloads, BENCH_PARTS the parts, both by comma-separated names.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import functions as F  # noqa: E402
 
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = int(os.environ.get("BENCH_CPUS", "8"))
-REPEATS, DELTAS = int(os.environ.get("BENCH_REPEATS", "5")), (10, 100, 1000)
+REPEATS, DELTAS = int(os.environ.get("BENCH_REPEATS", "10")), (10, 100, 1000)
 
 
 def seconds(work, repeats: int = REPEATS) -> list[float]:  # noqa: ANN001
@@ -38,8 +39,10 @@ def main() -> None:
     spark.sparkContext.setLogLevel("ERROR")
     from skipsketch import workloads as w
     from skipsketch.functions.ranges import Partitioning, RangeSet
-    from skipsketch.operators.maintain import Options, answer, capture, maintain, recapture_fragments, with_sketch
+    from skipsketch import experiments
+    from skipsketch.operators.maintain import answer, capture, maintain, recapture_fragments, with_sketch
     from skipsketch.operators.memory import MemorySketch
+    from skipsketch.operators.plain import plain
     from skipsketch.queries import dense
     from skipsketch.session import EagerStrategy, FullMaintenance, LazyStrategy, NoSketch
     from skipsketch.sources.delta import Database
@@ -69,14 +72,18 @@ def main() -> None:
     times: dict[str, float] = {}
     spread: dict[str, float] = {}
     ratio: dict[str, float] = {}
-    even: dict[str, float] = {}  # share of the table from which full maintenance is faster, from the cost of a further row
+    even: dict[str, float] = {}  # share of the table from which full maintenance is faster than state tables, by bisection
 
     def note(name: str, found: list[float]) -> float:
         times[name] = round(statistics.median(found), 5)
         spread[name] = round((max(found) - min(found)) / max(1e-9, statistics.median(found)), 3)
         return statistics.median(found)
 
+    wanted = set(filter(None, os.environ.get("BENCH_LOADS", "").split(",")))
+    parts = set(filter(None, os.environ.get("BENCH_PARTS", "loads,mixed,synthetic,eager,break_even,bloom,llm").split(",")))
     for name, (plan, ranges, changed) in loads.items():
+        if "loads" not in parts or wanted and name not in wanted:
+            continue
         phi = Partitioning(*ranges)
         # deltas are taken out of the base first, so that each is inserted and deleted in turn
         key = {"lineitem": "l_orderkey", "orders": "o_orderkey"}[changed]
@@ -87,30 +94,36 @@ def main() -> None:
         db = Database(spark, tables)
         memory = MemorySketch(db, plan, phi)
         sketch = capture(db, plan, phi)
-        full = note(f"{name}_full", seconds(lambda: recapture_fragments(db, plan, phi), 3))
+        full = note(f"{name}_full", seconds(lambda: recapture_fragments(db, plan, phi), 5))
         note(f"{name}_none", seconds(lambda: answer(db, plan).write.format("noop").mode("overwrite").save(), 3))
+        note(f"{name}_spark", seconds(lambda: plain(tables, plan).write.format("noop").mode("overwrite").save(), 3))
         note(f"{name}_use", seconds(lambda: with_sketch(db, sketch).write.format("noop").mode("overwrite").save(), 3))
         for n in DELTAS:
             rows = [tuple(x) for x in source[:n]]
             found = []
-            for i in range(2 * (REPEATS // 2) + 2):
+            for i in range(2 * -(-REPEATS // 2)):
                 db.version += 1
                 db[changed].commit_rows(db.version, [] if i % 2 else rows, rows if i % 2 else [])
                 found += seconds(memory.maintain, 1)
             ratio[f"{name}_d{n}"] = round(full / note(f"{name}_memory_d{n}", found), 1)
-        size = tables[changed].count()
-        slope = (times[f"{name}_memory_d1000"] - times[f"{name}_memory_d10"]) / 990
-        even[name] = round(min(1.0, max(0.0, full - times[f"{name}_memory_d10"]) / max(slope, 1e-9) / size), 4)
-        note(f"{name}_tables_d{DELTAS[-1]}", seconds(lambda: maintain(db, sketch), 1))
+        maintain(db, sketch)
+        found = []
+        for i in range(2 * -(-REPEATS // 2)):
+            db.version += 1
+            db[changed].commit_rows(db.version, [] if i % 2 else rows, rows if i % 2 else [])
+            found += seconds(lambda: maintain(db, sketch), 1)
+        ratio[f"{name}_tables_d{DELTAS[-1]}"] = round(full / note(f"{name}_tables_d{DELTAS[-1]}", found), 2)
+        memory.maintain()
         assert sketch.fragments == memory.fragments == recapture_fragments(db, plan, phi), name
 
     operations = list(w.mixed(1, 5, 20, 36, 100_000))
-    for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()):
+    for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()) if "mixed" in parts else ():
         times[f"mixed_1U5Q_d20_{strategy.name}"] = round(w.run_mixed(spark, d, operations, strategy)[-1]["cum_seconds"], 3)
 
     rows, groups = int(os.environ.get("BENCH_SYNTHETIC_ROWS", "5000000")), 5000
     path = fresh_dir(spark, "synthetic")
-    w.write_synthetic(spark, path, rows, groups)
+    if "synthetic" in parts:
+        w.write_synthetic(spark, path, rows, groups)
     rng = random.Random(3)
     operations = []
     for i in range(24):
@@ -118,24 +131,30 @@ def main() -> None:
         operations.append(w.Operation("update", start=(i // 4) * 500, size=200) if i % 4 == 3 else w.Operation("query", lo=round(lo, 1), hi=round(lo + 40, 1)))
     operations[0] = w.Operation("query", lo=2000, hi=2600)
     operations = [o if o.kind == "update" or i == 0 else w.Operation("query", lo=2000 + o.lo % 500, hi=2040 + o.lo % 500) for i, o in enumerate(operations)]
-    for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()):
+    for strategy in (LazyStrategy(), EagerStrategy(50), FullMaintenance(), NoSketch()) if "synthetic" in parts else ():
         found = w.run_synthetic(spark, path, operations, strategy, groups)
         times[f"synthetic_mixed_{strategy.name}"] = round(found[-1]["cum_seconds"], 3)
         times[f"synthetic_query_{strategy.name}"] = round(statistics.median(x["seconds"] for x in found[1:] if x["kind"] == "query"), 4)
 
-    # counts of what optimizations leave
-    db = w.split_database(spark, d, {"lineitem": "l_orderkey", "part": "p_partkey"}, {"lineitem"}, commit=False)
-    sketch = capture(db, w.join_having(50000, 5), Partitioning(*both()), options=Options(bloom=True))
-    rows = w.table(spark, d, "lineitem")
-    db.update({"lineitem": (rows.where("l_orderkey % 40 = 0"), rows.where("l_orderkey % 40 = 1"))})
-    note("join_selective_5_bloom_tables", seconds(lambda: maintain(db, sketch), 1))
-    kept = {"bloom_delta_in": sketch.measures.fetched, "bloom_delta_kept": sketch.measures.joined}
+    if "eager" in parts:  # a thousand updates of ten rows; 0 is lazy
+        for r in experiments.eager_cost(spark, d):
+            times[f"eager_1000_updates_batch_{r['batch']}"] = round(r["seconds"], 3)
+    if "break_even" in parts:
+        for name in ("run_sum_having", "join_part"):
+            plan, ranges, changed = loads[name]
+            even[name] = round(experiments.even(spark, d, plan, Partitioning(*ranges), changed, "l_orderkey", 4), 4)
+    kept = {}
+    if "bloom" in parts:  # with and without the filter, for a delta of 5 % of the table
+        for r in experiments.bloom(spark, d):
+            if r["share"] == 5:
+                times[f"join_selective_5_large_delta_{'bloom' if r['bloom'] else 'no_bloom'}"] = round(r["seconds"], 3)
+                kept["bloom_delta_kept" if r["bloom"] else "bloom_delta_in"] = r["joined"]
 
     try:
         from skipsketch.llm.queries import QUERIES
     except ImportError:
         QUERIES = {}
-    for name, q in QUERIES.items():
+    for name, q in QUERIES.items() if "llm" in parts else ():
         times[name] = round(seconds(lambda q=q: q(spark, d).write.format("noop").mode("overwrite").save(), 1)[0], 3)
     headline = [v for k, v in times.items() if "_memory_d" in k or k.endswith("_use")]
     print(json.dumps({"metric": "sum of medians: sketch maintenance in memory and answers over sketches", "value": round(sum(headline), 4), "unit": "sec", "queries": times, "spread": spread, "speedup_over_full": ratio, "break_even_share": even, "counts": kept, "sf": Path(d).name}))

@@ -22,6 +22,7 @@ from skipsketch.functions.ranges import Partitioning, RangeSet
 from skipsketch.operators.aggregate import PLACES, AggregateOp, argument
 from skipsketch.operators.annotated import Annotated
 from skipsketch.operators.maintain import Options, Sketch, delta_of, full, merged
+from skipsketch.operators.ranked import Ranked
 from skipsketch.plans.algebra import Aggregate, Filter, Join, M, Node, Project, Scan, TopK, UnsupportedForMaintenance, stateful
 from skipsketch.plans.safety import INF, Interval, intervals
 from skipsketch.sources.delta import Database
@@ -82,7 +83,7 @@ class MemorySketch:
         self.ordered = [i for i, (_, f, _) in enumerate(node.aggs) if f in ("min", "max")]
         self.groups: dict[tuple, Group] = {}
         self.counters: dict[int, int] = {}
-        self.rows: list[tuple] = []  # of a top-k: (order, row, sketch), sorted
+        self.rows = Ranked()  # of a top-k: (order, row, sketch)
         self._capture()
 
     @property
@@ -153,13 +154,17 @@ class MemorySketch:
             for r in values[self.node.aggs[i][0]].toLocalIterator():
                 g = self.groups[tuple(r[:k])]
                 g.values[j][_ordered(r["v"])] = r["cnt"]
+        rows = []
         for key, g in self.groups.items():
             g.sorted = [sorted(v) for v in g.values]
-            if (row := self._row(key, g)) is not None:
-                self._emit(row, tuple(g.frags), 1, self.counters)
+            if (row := self._row(key, g)) is None:
+                continue
+            if self.top:
+                rows.append(self._item(row, g.frags))
+            else:
+                self._count(g.frags, 1, self.counters)
         if self.top:
-            self.counters = {}
-            self._count_top(self.counters, 1)
+            self._count_top([], rows, self.counters)
 
     def _new(self) -> Group:
         return Group(0, [0] * len(self.linear), [0] * len(self.linear), {}, [{} for _ in self.ordered], [[] for _ in self.ordered])
@@ -194,21 +199,24 @@ class MemorySketch:
             out.append((x is None, INF if x is None else x if not down else CTX.minus(x) if isinstance(x, Decimal) else -x))
         return (*out, *((x is None, 0 if x is None else x) for x in row))
 
-    def _emit(self, row: tuple, frags: tuple, sign: int, changes: dict[int, int]) -> None:
-        if self.top:
-            item = (self._order(row), row, tuple(sorted(frags)))
-            if sign > 0:
-                bisect.insort(self.rows, item)
-            else:
-                self.rows.pop(bisect.bisect_left(self.rows, item))
-            return
+    def _item(self, row: tuple, frags: dict[int, int] | tuple) -> tuple:
+        return self._order(row), row, tuple(sorted(frags))
+
+    @staticmethod
+    def _count(frags: dict[int, int] | tuple, sign: int, changes: dict[int, int]) -> None:
         for f in frags:
             changes[f] = changes.get(f, 0) + sign
 
-    def _count_top(self, changes: dict[int, int], sign: int) -> None:
-        for _, _, frags in self.rows[: self.top.k]:
-            for f in frags:
-                changes[f] = changes.get(f, 0) + sign
+    def _count_top(self, gone: list[tuple], new: list[tuple], changes: dict[int, int]) -> None:
+        """Replace rows of a top-k's input; only positions that change among the first k are counted."""
+        if not len(self.rows) and not gone:
+            self.rows = Ranked(new)
+            leaving, entering = [], [self.rows[i] for i in range(min(self.top.k, len(new)))]
+        else:
+            leaving, entering = self.rows.replaced(gone, new, self.top.k)
+        for sign, items in ((-1, leaving), (1, entering)):
+            for _, _, frags in items:
+                self._count(frags, sign, changes)
 
     # ---- maintenance -------------------------------------------------------------------------------------
 
@@ -282,8 +290,8 @@ class MemorySketch:
 
     def apply(self, delta: list[tuple]) -> dict[int, int]:
         changes: dict[int, int] = {}
-        if self.top:
-            self._count_top(changes, -1)
+        gone: list[tuple] = []
+        come: list[tuple] = []
         before: dict[tuple, tuple | None] = {}
         for key, args, frags, m in delta:
             g = self.groups.get(key)
@@ -325,14 +333,15 @@ class MemorySketch:
             new = self._row(key, g)
             after = None if new is None else (new, tuple(g.frags))
             if old != after:
-                if old is not None:
-                    self._emit(*old, -1, changes)
-                if after is not None:
-                    self._emit(*after, 1, changes)
+                for sign, found, items in ((-1, old, gone), (1, after, come)):
+                    if found is not None and self.top:
+                        items.append(self._item(*found))
+                    elif found is not None:
+                        self._count(found[1], sign, changes)
             if not g.cnt:
                 del self.groups[key]
         if self.top:
-            self._count_top(changes, 1)
+            self._count_top(gone, come, changes)
         return merged(self.counters, {f: n for f, n in changes.items() if n})
 
     def state_bytes(self) -> int:

@@ -211,6 +211,54 @@ def test_topk_reads_its_state_only_when_the_head_is_short(spark, monkeypatch):
     assert 0 < sketch.ops[plan].refilled < 6
 
 
+@pytest.mark.parametrize("block", [1, 2, 512])
+def test_ranked_items_against_sorted_lists(monkeypatch, block):
+    from skipsketch.operators import ranked
+
+    monkeypatch.setattr(ranked, "BLOCK", block)
+    for seed in range(40):
+        rng = random.Random(seed)
+        pool, k = range(rng.choice([6, 30, 200])), rng.choice([1, 3, 10, 50])
+        held = set(rng.sample(pool, rng.randrange(len(pool))))
+        items = ranked.Ranked(held)
+        for _ in range(30):
+            gone = rng.sample(sorted(held), rng.randrange(min(len(held), 8) + 1))
+            free = [x for x in pool if x not in held or x in gone]
+            new = rng.sample(free, rng.randrange(min(len(free), 8) + 1))
+            old, held = held, held - set(gone) | set(new)
+            leaving, entering = items.replaced(gone, new, k)
+            was, now = set(sorted(old)[:k]), set(sorted(held)[:k])
+            assert sorted(leaving) == sorted(was - now) and sorted(entering) == sorted(now - was)
+            assert [items[i] for i in range(len(items))] == sorted(held)
+            assert all(items.position(x) == i for i, x in enumerate(sorted(held)))
+    with pytest.raises(ValueError):
+        items.remove(-1)
+
+
+@pytest.mark.parametrize("down", [False, True])
+def test_large_topk_in_memory(spark, down):
+    """Groups come, go and tie around the bound of a top-k that holds most of them."""
+    from skipsketch.operators.memory import MemorySketch
+
+    rng = random.Random(9)
+    rows = [(rng.randrange(6), rng.randrange(30), i) for i in range(60)]
+    plan, phi = TopK(Aggregate(T, ("g",), (("s", "sum", "v"),)), (("s", down),), 17), Partitioning(RangeSet("t", "g", tuple(range(1, 30))))
+    db = one_table(spark, rows).db
+    sketch = MemorySketch(db, plan, phi)
+    for i in range(25):
+        gone = rng.sample(rows, min(len(rows), rng.randrange(9)))
+        new = [(rng.randrange(6), rng.randrange(30), 100 + 10 * i + j) for j in range(rng.randrange(9) if i < 15 else 1)]
+        rows = [r for r in rows if r not in gone] + new
+        db.version += 1
+        db["t"].commit_rows(db.version, new, gone)
+        sketch.maintain()
+        totals = {}
+        for v, g, _ in rows:
+            totals[g] = totals.get(g, 0) + v
+        first = sorted(totals, key=lambda g: (-totals[g] if down else totals[g], g))[:17]
+        assert sketch.counters == {phi.ranges["t"].fragment_of(g): 1 for g in first}
+
+
 def test_oversized_deltas_in_steps(spark):
     plan, rng = Filter(Aggregate(T, ("g",), (("s", "sum", "v"),)), "s > 12"), random.Random(3)
     db = one_table(spark, [(i % 5, i % 6, i) for i in range(30)]).db

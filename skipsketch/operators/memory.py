@@ -3,9 +3,11 @@
 Sums are whole numbers of 10 ** -PLACES, the decimals of the tables backend, and compared with decimal bounds, so
 both backends decide alike.
 
-What lies below the first aggregation runs as a DataFrame over the delta, or, for selections and projections of
-rows that are still on the driver, without a job; its few result rows go through the aggregation, the conditions above it, the top-k and the merge as Python objects.  Both the
-delta and the state are checked against bounds before they are gathered; beyond them use the tables backend.
+What lies below the first aggregation runs as a DataFrame over the delta, or, for selections, projections and equi-joins
+of rows that are still on the driver, without a job: the other side of a join is read once, counted before, and then
+follows its own deltas.  The few result rows go through the aggregation, the conditions above it, the top-k and the
+merge as Python objects.  The delta and the state are checked against bounds before they are gathered; beyond them use
+the tables backend.  A side beyond its bound is left to Spark, which joins it with the delta.
 """
 
 from __future__ import annotations
@@ -30,6 +32,8 @@ from skipsketch.sources.shared import stored
 
 #: Rows of a delta, after its joins, and entries of the state (groups, fragments of groups, values) up to which memory is used.
 MOST_DELTA, MOST_STATE = 50_000, 2_000_000
+#: Rows of a join's side up to which a delta of the other side meets them in memory; beyond it they meet in Spark.
+MOST_SIDE = 200_000
 
 
 @dataclass
@@ -42,6 +46,63 @@ class Group:
     sorted: list[list] = field(default_factory=list)
 
 
+#: A row by column names, its fragments, its multiplicity.
+Move = tuple[dict[str, Any], tuple, int]
+
+
+class HeldSide:
+    """The rows of one side of a join by its join columns, up to ``MOST_SIDE`` of them; without an index beyond that."""
+
+    def __init__(self, columns: list[str], on: tuple[str, ...], version: int):
+        self.columns, self.on, self.version = columns, on, version
+        self.index: dict[tuple, dict[tuple, int]] | None = {}
+        self.rows = 0
+
+    @classmethod
+    def of(cls, side: Annotated, on: tuple[str, ...], version: int) -> HeldSide:
+        out = cls(side.columns, on, version)
+        rows = side.df.select(*(F.col(f"`{c}`") for c in out.columns), F.array(*side.thin) if not side.wide else side.sketch(), M)
+        if rows.limit(MOST_SIDE + 1).count() > MOST_SIDE:
+            out.index = None
+            return out
+        for r in rows.toLocalIterator():
+            out.add(tuple(r[:-2]), tuple(r[-2]), r[-1])
+            if out.index is None:
+                break
+        return out
+
+    def add(self, row: tuple, frags: tuple, m: int) -> None:
+        key = tuple(row[self.columns.index(c)] for c in self.on)
+        if None in key:  # has no partner
+            return
+        try:
+            if any(isinstance(x, float) for x in key):  # Spark's equality of NaN isn't Python's
+                raise TypeError
+            found = self.index.setdefault(key, {})
+            n = found.get((row, frags), 0) + m
+            self.rows += ((row, frags) not in found) - (not n)
+            if n:
+                found[row, frags] = n
+            else:
+                found.pop((row, frags), None)
+        except TypeError:  # arrays, maps and binary values can't be looked up
+            self.index = None
+        if self.rows > MOST_SIDE:
+            self.index = None
+
+    def moved(self, moves: list[Move], version: int) -> HeldSide:
+        for now, frags, m in moves:
+            if self.index is not None:
+                self.add(tuple(now[c] for c in self.columns), frags, m)
+        self.version = version
+        return self
+
+    def partners(self, key: tuple) -> Any:
+        if any(isinstance(x, float) for x in key):
+            raise NotLocal("a join of doubles")
+        return () if None in key else self.index.get(key, {}).items()
+
+
 def _ordered(v: Any) -> Any:
     if isinstance(v, float) and v != v:
         raise UnsupportedForMaintenance("in memory: NaN under a minimum or maximum")
@@ -84,6 +145,7 @@ class MemorySketch:
         self.groups: dict[tuple, Group] = {}
         self.counters: dict[int, int] = {}
         self.rows = Ranked()  # of a top-k: (order, row, sketch)
+        self.sides: dict[tuple[Node, tuple[str, ...]], HeldSide] = {}  # of joins below the aggregation
         self._capture()
 
     @property
@@ -248,42 +310,73 @@ class MemorySketch:
         return self.apply(rows)
 
     def _local(self, version: int) -> list[tuple] | None:
-        """The same from rows that are still on the driver, without a job; None where Spark is needed."""
-        steps: list[Node] = []
-        node = self.base
-        while isinstance(node, (Filter, Project)):
-            steps.append(node)
-            node = node.child
-        if not isinstance(node, Scan):
-            return None
-        table = self.db[node.table]
-        wanted = [v for v in table.log if self.version < v <= version]
-        if not all(v in table.recent for v in wanted):
-            return None
-        ranges = self.phi.ranges.get(node.table)
-        if ranges is not None and not isinstance(ranges, RangeSet):
-            return None
-        out = []
+        """The same from rows that are on the driver, without a job; None where Spark is needed."""
         try:
-            at = {c: i for i, c in enumerate(table.columns)}
-            for row in (r for v in wanted for r in table.recent[v]):
-                frags = [] if ranges is None else [self.phi.offset[node.table] + ranges.fragment_of(row[at[ranges.attr]])]
-                now = {node.prefix + c: row[at[c]] for c in node.columns}
-                keep = True
-                for step in reversed(steps):
-                    if isinstance(step, Filter):
-                        keep = compiled(step.condition)[0](now)
-                        if not keep:
-                            break
-                    else:
-                        now = {n: now[e.strip()] if e.strip() in now else compiled(e)[0](now) for n, e in step.exprs}
-                if keep:
-                    args = tuple(1 if e == "*" else None if now.get(e, 0) is None else self._argument(f, now[e] if e in now else compiled(e)[0](now)) for _, f, e in self.node.aggs)
-                    out.append((tuple(now[k] for k in self.node.keys), args, frags, row[-1]))
+            out = []
+            for now, frags, m in self._moves(self.base, self.version, version):
+                args = tuple(1 if e == "*" else None if now.get(e, 0) is None else self._argument(f, now[e] if e in now else compiled(e)[0](now)) for _, f, e in self.node.aggs)
+                out.append((tuple(now[k] for k in self.node.keys), args, frags, m))
         except NotLocal:
             return None
         return out
 
+    def _moves(self, node: Node, since: int, version: int) -> list[Move]:
+        """Signed rows of a node between two versions, from deltas and sides of joins that are on the driver."""
+        if isinstance(node, Scan):
+            table, ranges = self.db[node.table], self.phi.ranges.get(node.table)
+            wanted = [v for v in table.log if since < v <= version]
+            if not all(v in table.recent for v in wanted) or not (ranges is None or isinstance(ranges, RangeSet)):
+                raise NotLocal("written deltas, or a grid")
+            at = {c: i for i, c in enumerate(table.columns)}
+            out = []
+            for row in (r for v in wanted for r in table.recent[v]):
+                frags = () if ranges is None else (self.phi.offset[node.table] + ranges.fragment_of(row[at[ranges.attr]]),)
+                out.append(({node.prefix + c: row[at[c]] for c in node.columns}, frags, row[-1]))
+            return out
+        if isinstance(node, Filter):
+            holds = compiled(node.condition)[0]
+            return [r for r in self._moves(node.child, since, version) if holds(r[0])]
+        if isinstance(node, Project):
+            return [({n: now[e.strip()] if e.strip() in now else compiled(e)[0](now) for n, e in node.exprs}, frags, m) for now, frags, m in self._moves(node.child, since, version)]
+        if not isinstance(node, Join) or not node.on:
+            raise NotLocal(type(node).__name__)
+        sides = [(node.left, tuple(a for a, _ in node.on)), (node.right, tuple(b for _, b in node.on))]
+        moved = [any(self.db[t].rows_between(since, version) for t in child.tables()) for child, _ in sides]
+        out = []
+        for i, (child, on) in enumerate(sides):  # the left delta meets the right side as it was, the right one the new left side
+            if moved[i]:
+                out += self._meeting(node, self._moves(child, since, version), on, self._held(*sides[1 - i], (since, version)[i]))
+        return out
+
+    @staticmethod
+    def _meeting(node: Join, moves: list[Move], on: tuple[str, ...], held: HeldSide) -> list[Move]:
+        holds = compiled(node.condition)[0] if node.condition else None
+        out, made = [], 0
+        for now, frags, m in moves:
+            for (row, others), n in held.partners(tuple(now[c] for c in on)):
+                both = now | dict(zip(held.columns, row))
+                if holds is None or holds(both):
+                    out.append((both, (*frags, *others), m * n))
+                    made += abs(m * n)
+            if made > MOST_DELTA:
+                raise UnsupportedForMaintenance("in memory: too large a delta")
+        return out
+
+    def _held(self, child: Node, on: tuple[str, ...], version: int) -> HeldSide:
+        """A side of a join at a version; it is read once, then kept by its own deltas while these are on the driver."""
+        side = self.sides.get((child, on))
+        if side is not None and side.index is not None and side.version != version:
+            try:
+                moves = self._moves(child, side.version, version) if side.version < version else None
+            except NotLocal:
+                moves = None
+            side = side.moved(moves, version) if moves is not None else None
+        if side is None:
+            side = self.sides[child, on] = HeldSide.of(full(self.db, child, self.phi, version), on, version)
+        if side.index is None:
+            raise NotLocal("too large a side of a join")
+        return side
+
     @staticmethod
     def _argument(f: str, value: Any) -> Any:
         return value if f in ("count", "min", "max") else scaled(exact(value))
@@ -346,4 +439,4 @@ class MemorySketch:
 
     def state_bytes(self) -> int:
         """An estimate: 64 bytes for each group, and 24 for each of its entries."""
-        return sum(64 + 24 * (len(g.frags) + 2 * len(g.sums) + 2 * sum(map(len, g.values))) for g in self.groups.values()) + 64 * len(self.rows)
+        return sum(64 + 24 * (len(g.frags) + 2 * len(g.sums) + 2 * sum(map(len, g.values))) for g in self.groups.values()) + 64 * len(self.rows) + sum(64 * x.rows for x in self.sides.values() if x.index)

@@ -296,3 +296,36 @@ def test_bloom_of_two_columns(spark):
     s.update_rows("t", [(99, 1, 2), (3, 2, 2)], [rows[3]])
     maintain(s.db, sketch)
     assert sketch.measures.joined < sketch.measures.fetched and sketch.fragments == recapture_fragments(s.db, plan, sketch.phi)
+
+
+@pytest.mark.parametrize("most", [200_000, 8])
+def test_sides_of_joins_in_memory(spark, monkeypatch, most):
+    """Deltas of either side or of both, nulls, a flush, a side beyond its bound: as by state tables."""
+    from skipsketch.functions.ranges import Partitioning
+    from skipsketch.operators import memory
+    from skipsketch.operators.maintain import capture
+    from skipsketch.sources.delta import Database
+
+    monkeypatch.setattr(memory, "MOST_SIDE", most)
+    rng = random.Random(most)
+    bags = {"t": [(i % 4, i % 7, i % 3) for i in range(12)], "u": [(i % 5, i % 2) for i in range(10)]}
+    bags["t"][0] = (None, 1, 1)
+    bags["u"][0] = (None, 1)
+    db = Database(spark, {t: frame(spark, rows, SCHEMA[t]) for t, rows in bags.items()})
+    phi = Partitioning(RangeSet("t", "g", (2, 4)), RangeSet("u", "a", (1, 3)))
+    plan = Filter(Aggregate(Join(T, U, (("g", "a"),)), ("g",), (("n", "count", "*"),)), "n > 3")
+    held, tables = memory.MemorySketch(db, plan, phi), capture(db, plan, phi)
+    for step, changed in enumerate((("t",), ("t",), ("u",), ("t", "u"), ("t",), ("u",))):
+        db.version += 1
+        for t in changed:
+            gone, width = rng.sample(bags[t], 2), len(bags[t][0])
+            new = [tuple(rng.randrange(5) for _ in range(width)) for _ in range(3)]
+            for x in gone:
+                bags[t].remove(x)
+            bags[t] += new
+            db[t].commit_rows(db.version, new, gone)
+        if step == 4:
+            db["u"].flush()
+        assert held.maintain() == maintain(db, tables), step
+        assert held.counters == tables.counters
+    assert any(side.index is not None for side in held.sides.values()) == (most > 8)

@@ -653,6 +653,27 @@ def maintain_topk_large_k(spark: SparkSession, d: str) -> DataFrame:
     return sketch_rows(spark, sketch.fragments, phi)
 
 
+@query(join_sql("(SELECT * FROM lineitem WHERE l_orderkey NOT BETWEEN 101 AND 200)", "p_partkey > 10", 46000))
+def maintain_join_held_sides(spark: SparkSession, d: str) -> DataFrame:
+    """Small deltas of one side, of the other and of both meet the sides that are held in memory, as far as these are bounded."""
+    from skipsketch.operators.memory import MemorySketch
+
+    plan = w.join_having(46000)
+    tables = {s.table: w.table(spark, d, s.table).select(*s.columns) for s in plan.scans()}
+    items = [tuple(r) for r in tables["lineitem"].where("l_orderkey <= 200").collect()]
+    parts = [tuple(r) for r in tables["part"].where("p_partkey <= 20").collect()]
+    order, part = tables["lineitem"].columns.index("l_orderkey"), tables["part"].columns.index("p_partkey")
+    db, phi = Database(spark, tables), Partitioning(*(dense(spark, d, *r) for r in BOTH))
+    sketch = MemorySketch(db, plan, phi)
+    back = {"lineitem": ([r for r in items if r[order] <= 100], []), "part": ([r for r in parts if r[part] > 10], [])}
+    for changes in ({"lineitem": ([], items)}, {"part": ([], parts)}, back):
+        db.version += 1
+        for t, (inserts, deletes) in changes.items():
+            db[t].commit_rows(db.version, inserts, deletes)
+        sketch.maintain()
+    return sketch_rows(spark, sketch.fragments, phi)
+
+
 @query(accurate_sql("lineitem", LI1, "l_partkey", "sum(l_quantity) > 1100", "l_partkey"))
 def maintain_restored_sketch(spark: SparkSession, d: str) -> DataFrame:
     """Evicted after its capture, restored from the catalog's files, then maintained."""

@@ -270,6 +270,24 @@ def test_oversized_deltas_in_steps(spark):
     assert sketch.version == 3 and sketch.fragments == recapture_fragments(db, plan, sketch.phi)
 
 
+@pytest.mark.parametrize("name", ["group", "attr", "join"])
+def test_one_long_version_in_parts_of_one_step(spark, name):
+    """A version of hundreds of parts adds to the state once, not once for each part."""
+    from skipsketch.sources.delta import Database, dealt
+
+    rows = [(i % 50, i % 6, i) for i in range(300)]
+    child = T if name != "join" else Join(T, U, (("g", "a"),))
+    plan = Filter(Aggregate(child, ("g",), (("s", "sum", "v"), ("hi", "max", "k"))), "s > 1200")
+    ranges = RangeSet("t", "v", tuple(range(5, 50, 5))) if name == "attr" else RangeSet("t", "g", (1, 2, 3, 4))
+    db = Database(spark, {"t": frame(spark, rows, SCHEMA["t"]), "u": frame(spark, [(i, 0) for i in range(5)], SCHEMA["u"])})
+    sketch = capture(db, plan, Partitioning(ranges), options=Options(batch_rows=1))
+    db.update({"t": (frame(spark, [(7 * i % 50, i % 6, 300 + i) for i in range(120)], SCHEMA["t"]), frame(spark, rows[:80], SCHEMA["t"]))})
+    maintain(db, sketch)
+    assert sketch.version == 1 and sketch.counters == capture(db, plan, sketch.phi).counters
+    assert all(len(part.parts) == 2 for op in sketch.ops.values() for part in op.state.all())
+    assert dealt(db["t"].changes(0), 200).rdd.getNumPartitions() == 200
+
+
 def test_session_chooses_and_balances(spark):
     rows = [(i % 50, i % 40, 0) for i in range(200)]
     ranges = {"t": [RangeSet("t", "v", (10, 20, 30, 40)), RangeSet("t", "g", (10, 20, 30))]}

@@ -11,7 +11,7 @@ from skipsketch.plans.algebra import Aggregate, Filter, Join, Project, Scan, Top
 from skipsketch.plans.safety import can_reuse, implies, is_safe
 from skipsketch.session import EagerStrategy, FullMaintenance, LazyStrategy, Session
 from skipsketch.sources import state
-from skipsketch.sources.delta import signed
+from skipsketch.sources.delta import Database, signed
 
 T = Scan("t", ("v", "g", "k"))
 U = Scan("u", ("a", "b"))
@@ -273,7 +273,7 @@ def test_oversized_deltas_in_steps(spark):
 @pytest.mark.parametrize("name", ["group", "attr", "join"])
 def test_one_long_version_in_parts_of_one_step(spark, name):
     """A version of hundreds of parts adds to the state once, not once for each part."""
-    from skipsketch.sources.delta import Database, dealt
+    from skipsketch.sources.delta import dealt
 
     rows = [(i % 50, i % 6, i) for i in range(300)]
     child = T if name != "join" else Join(T, U, (("g", "a"),))
@@ -347,3 +347,40 @@ def test_sides_of_joins_in_memory(spark, monkeypatch, most):
         assert held.maintain() == maintain(db, tables), step
         assert held.counters == tables.counters
     assert any(side.index is not None for side in held.sides.values()) == (most > 8)
+
+
+@pytest.mark.parametrize(("most_delta", "most_state", "kind"), [(5, 2_000_000, "memory"), (5, 70, "grown"), (5, 3, "tables")])
+def test_memory_beyond_its_bounds(spark, monkeypatch, most_delta, most_state, kind):
+    """Long deltas are folded to their groups, large states move to tables: as by state tables, none refused."""
+    from skipsketch.operators import memory
+
+    monkeypatch.setattr(memory, "MOST_DELTA", most_delta)
+    monkeypatch.setattr(memory, "MOST_STATE", most_state)
+    rng = random.Random(8)
+    rows = [(rng.randrange(9), i % 6 if i % 6 < 5 else None, i) for i in range(30)]
+    db = Database(spark, {"t": frame(spark, rows, SCHEMA["t"]), "u": frame(spark, [(i % 4, i) for i in range(8)], SCHEMA["u"])})
+    by_group, by_row = Partitioning(RangeSet("t", "g", (1, 2, 3, 4))), Partitioning(RangeSet("t", "k", tuple(range(3, 120, 3))))
+    total = Aggregate(T, ("g",), (("s", "sum", "v"), ("n", "count", "*")))
+    plans = [
+        (Filter(total, "s > 20"), by_group),
+        (Filter(Aggregate(T, ("g",), (("s", "avg", "v"), ("lo", "min", "k"), ("hi", "max", "v"))), "hi > 5"), by_row),
+        (TopK(total, (("s", True),), 3), by_group),
+        (Filter(Aggregate(Join(T, U, (("g", "a"),)), ("g",), (("n", "count", "*"),)), "n > 11"), by_group),
+    ]
+    if kind != "memory":
+        plans = plans[1:2] if kind == "grown" else plans[:3:2]
+    both = [(memory.MemorySketch(db, plan, phi), capture(db, plan, phi)) for plan, phi in plans]
+    for step in range(3):
+        gone = rng.sample(rows, 6)
+        new = [(rng.randrange(9), rng.choice([0, 1, 2, 3, 7 + step, None]), 100 * step + i) for i in range(18)]
+        rows = [r for r in rows if r not in gone] + new
+        db.update({"t": (frame(spark, new, SCHEMA["t"]), frame(spark, gone, SCHEMA["t"]))})
+        for held, tables in both:
+            assert held.maintain() == maintain(db, tables), (step, held.plan)
+            assert held.counters == tables.counters
+    for held, _ in both:
+        assert (held.tables is None) == (kind == "memory")
+        assert held.tables is not None or held.entries == sum(g.entries() for g in held.groups.values())
+    if kind == "tables":
+        with pytest.raises(memory.TooLarge):
+            memory.MemorySketch(db, *plans[0], strict=True)

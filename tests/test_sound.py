@@ -384,3 +384,21 @@ def test_memory_beyond_its_bounds(spark, monkeypatch, most_delta, most_state, ki
     if kind == "tables":
         with pytest.raises(memory.TooLarge):
             memory.MemorySketch(db, *plans[0], strict=True)
+
+
+def test_state_of_a_join_without_fragments_that_its_keys_tell(spark, monkeypatch):
+    """Both sides are sketched by the group key: the state in memory is its groups, and sides are held as before."""
+    from skipsketch.operators import memory
+
+    monkeypatch.setattr(memory, "MOST_STATE", 12)
+    rows, others = [(i % 4, i % 10, i) for i in range(40)], [(i, i) for i in range(12)]
+    db = Database(spark, {"t": frame(spark, rows, SCHEMA["t"]), "u": frame(spark, others, SCHEMA["u"])})
+    phi = Partitioning(RangeSet("t", "g", (2, 4, 6)), RangeSet("u", "a", (3, 5)))
+    plan = Filter(Aggregate(Join(T, U, (("g", "a"),)), ("a",), (("s", "sum", "v"),)), "s > 5")
+    held, tables = memory.MemorySketch(db, plan, phi, strict=True), capture(db, plan, phi)
+    for changes in ({"t": ([(9, 11, 1), (3, 0, 2)], rows[:3])}, {"u": ([(10, 0)], others[2:4])}, {"t": ([], rows[4:6]), "u": (others[2:3], [])}):
+        db.version += 1
+        for t, (new, gone) in changes.items():
+            db[t].commit_rows(db.version, new, gone)
+        assert held.maintain() == maintain(db, tables)
+        assert held.counters == tables.counters and held.entries == len(held.groups)

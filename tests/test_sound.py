@@ -402,3 +402,27 @@ def test_state_of_a_join_without_fragments_that_its_keys_tell(spark, monkeypatch
             db[t].commit_rows(db.version, new, gone)
         assert held.maintain() == maintain(db, tables)
         assert held.counters == tables.counters and held.entries == len(held.groups)
+
+
+@pytest.mark.parametrize("down", [False, True])
+def test_long_delta_under_a_large_topk_in_memory(spark, monkeypatch, down):
+    """Groups replaced a few at a time end up as the first k that they are together."""
+    from skipsketch.operators import memory
+
+    monkeypatch.setattr(memory, "MOST_DELTA", 4)
+    rng = random.Random(5)
+    rows = [(rng.randrange(6), rng.randrange(40), i) for i in range(80)]
+    plan, phi = TopK(Aggregate(T, ("g",), (("s", "sum", "v"),)), (("s", down),), 21), Partitioning(RangeSet("t", "g", tuple(range(1, 40))))
+    db = Database(spark, {"t": frame(spark, rows, SCHEMA["t"])})
+    sketch = memory.MemorySketch(db, plan, phi)
+    for step in range(3):
+        gone = rng.sample(rows, 30)
+        new = [(rng.randrange(6), rng.randrange(40), 100 * step + 100 + j) for j in range(25)]
+        rows = [r for r in rows if r not in gone] + new
+        db.update({"t": (frame(spark, new, SCHEMA["t"]), frame(spark, gone, SCHEMA["t"]))})
+        sketch.maintain()
+        totals = {}
+        for v, g, _ in rows:
+            totals[g] = totals.get(g, 0) + v
+        first = sorted(totals, key=lambda g: (-totals[g] if down else totals[g], g))[:21]
+        assert sketch.tables is None and sketch.counters == {phi.ranges["t"].fragment_of(g): 1 for g in first}

@@ -426,3 +426,12 @@ def test_long_delta_under_a_large_topk_in_memory(spark, monkeypatch, down):
             totals[g] = totals.get(g, 0) + v
         first = sorted(totals, key=lambda g: (-totals[g] if down else totals[g], g))[:21]
         assert sketch.tables is None and sketch.counters == {phi.ranges["t"].fragment_of(g): 1 for g in first}
+
+
+def test_sizes_are_those_of_a_given_table(spark, tmp_path):
+    from skipsketch.queries import QUERIES
+
+    rows = [(i, 1, 460000.0 if i in (4, 5, 149) else 100.0, None) for i in range(150)]
+    frame(spark, rows, "o_orderkey long, o_custkey long, o_totalprice double, o_orderdate timestamp").write.parquet(f"{tmp_path}/orders.parquet")
+    found = [tuple(r) for r in QUERIES["sketch_sizes"](spark, str(tmp_path)).collect()]
+    assert found == [(100, 100, 2, 40, 4508), *((p, 150, 3, 48, 6708) for p in (1000, 10_000, 100_000))]

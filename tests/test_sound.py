@@ -435,3 +435,18 @@ def test_sizes_are_those_of_a_given_table(spark, tmp_path):
     frame(spark, rows, "o_orderkey long, o_custkey long, o_totalprice double, o_orderdate timestamp").write.parquet(f"{tmp_path}/orders.parquet")
     found = [tuple(r) for r in QUERIES["sketch_sizes"](spark, str(tmp_path)).collect()]
     assert found == [(100, 100, 2, 40, 4508), *((p, 150, 3, 48, 6708) for p in (1000, 10_000, 100_000))]
+
+
+def test_split_and_merged_ranges_of_a_given_table(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from skipsketch.queries import QUERIES
+    from skipsketch.workloads import LINEITEM
+
+    frame(spark, [(i, 1) for i in range(28)], "p_partkey long, p_size int").write.parquet(f"{tmp_path}/part.parquet")
+    rows = frame(spark, [(i,) for i in range(28) for _ in range(1 + i % 2)], "l_partkey long")
+    others = [F.lit(1.0).alias(c) for c in LINEITEM.columns if c != "l_partkey"]
+    rows.where("l_partkey <> 22").select("l_partkey", *others).write.parquet(f"{tmp_path}/lineitem.parquet")
+    found = sorted(tuple(r) for r in QUERIES["split_merge_ranges"](spark, str(tmp_path)).collect())
+    # bounds 2, 8, 12, 14, 16, 20, 24; part 13 is needed of range 3, and 22, which has no rows, of range 5
+    assert found == [(0, False, 3, 0), (1, False, 9, 0), (2, False, 6, 0), (3, True, 3, 2), (4, True, 3, 0), (5, False, 6, 0), (6, False, 5, 0), (7, False, 6, 0)]

@@ -428,6 +428,31 @@ def test_long_delta_under_a_large_topk_in_memory(spark, monkeypatch, down):
         assert sketch.tables is None and sketch.counters == {phi.ranges["t"].fragment_of(g): 1 for g in first}
 
 
+@pytest.mark.parametrize("kind", ["sums", "join", "topk"])
+def test_largest_state_in_memory_fits_a_driver(spark, kind):
+    """What groups take in Python, times the bound: 400 MB at most, beside Spark's heap."""
+    import gc
+    import tracemalloc
+
+    from skipsketch.operators import memory
+
+    db = Database(spark, {"t": frame(spark, [(i % 97, i, i) for i in range(4000)], SCHEMA["t"]), "u": frame(spark, [(i, i) for i in range(4000)], SCHEMA["u"])})
+    phi = Partitioning(RangeSet("t", "g", tuple(range(40, 4000, 40))), *([RangeSet("u", "a", tuple(range(40, 4000, 40)))] if kind == "join" else []))
+    total = Aggregate(Join(T, U, (("g", "a"),)) if kind == "join" else T, ("g",), (("s", "sum", "v"),))
+    plan = TopK(total, (("s", True),), 200) if kind == "topk" else Filter(total, "s > 20")
+    memory.MemorySketch(db, plan, phi)  # what is made once is left out
+    gc.collect()
+    tracemalloc.start()
+    try:
+        sketch = memory.MemorySketch(db, plan, phi)
+        gc.collect()
+        held = tracemalloc.get_traced_memory()[0]
+    finally:
+        tracemalloc.stop()
+    assert sketch.tables is None and sketch.entries == 4000
+    assert held / sketch.entries * memory.MOST_STATE < 400e6
+
+
 def test_sizes_are_those_of_a_given_table(spark, tmp_path):
     from skipsketch.queries import QUERIES
 

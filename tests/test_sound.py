@@ -453,6 +453,29 @@ def test_largest_state_in_memory_fits_a_driver(spark, kind):
     assert held / sketch.entries * memory.MOST_STATE < 400e6
 
 
+def test_large_state_of_a_join_is_folded_once(spark, monkeypatch):
+    """A state that turns out too large for memory becomes tables without its rows being joined again."""
+    from skipsketch.operators import memory
+    from skipsketch.operators.aggregate import AggregateOp
+
+    rows, others = [(i % 4, i % 10, i) for i in range(40)], [(i, i) for i in range(12)]
+    db = Database(spark, {"t": frame(spark, rows, SCHEMA["t"]), "u": frame(spark, others, SCHEMA["u"])})
+    phi = Partitioning(RangeSet("t", "g", (2, 4, 6)), RangeSet("u", "b", (3, 5)))
+    joined = Aggregate(Join(T, U, (("g", "a"),)), ("a",), (("s", "sum", "v"), ("hi", "max", "v"), ("n", "count", "*")))
+    plan = Filter(joined, "s > 5")
+    tables, calls, fold = capture(db, plan, phi), [], AggregateOp.fold
+    monkeypatch.setattr(memory, "MOST_STATE", 3)
+    monkeypatch.setattr(AggregateOp, "fold", lambda self, child: calls.append(1) or fold(self, child))
+    held = memory.MemorySketch(db, plan, phi)
+    assert held.tables is not None and len(calls) == 1 and held.counters == tables.counters
+    for changes in ({"t": ([(9, 11, 1), (3, 0, 2)], rows[:3])}, {"u": ([(10, 0)], others[2:4])}, {"t": ([], rows[4:6]), "u": (others[2:3], [])}):
+        db.version += 1
+        for t, (new, gone) in changes.items():
+            db[t].commit_rows(db.version, new, gone)
+        assert held.maintain() == maintain(db, tables)
+        assert held.counters == tables.counters
+
+
 def test_sizes_are_those_of_a_given_table(spark, tmp_path):
     from skipsketch.queries import QUERIES
 
